@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
-from graphviews.llm import decontamination
+from graphviews.llm import chat, decontamination, line_dedup
 
 QUERIES = {
+    "op1_line_dedup": line_dedup.op1_line_dedup,
+    "op6_chat_format": chat.op6_chat_format,
     "op7_decontaminate": decontamination.op7_decontaminate,
 }
 
 ORACLE_SQL = {
+    "op1_line_dedup": line_dedup.OP1_SQL,
+    "op6_chat_format": chat.OP6_SQL,
     "op7_decontaminate": decontamination.OP7_SQL,
 }
