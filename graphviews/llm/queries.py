@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
-from graphviews.llm import chat, decontamination, line_dedup
+from graphviews.llm import chat, decontamination, line_dedup, minhash
 
 QUERIES = {
     "op1_line_dedup": line_dedup.op1_line_dedup,
     "op6_chat_format": chat.op6_chat_format,
     "op7_decontaminate": decontamination.op7_decontaminate,
+    "op9_minhash_dedup": minhash.op9_minhash_dedup,
 }
 
 ORACLE_SQL = {
     "op1_line_dedup": line_dedup.OP1_SQL,
     "op6_chat_format": chat.OP6_SQL,
     "op7_decontaminate": decontamination.OP7_SQL,
+    "op9_minhash_dedup": minhash.OP9_SQL,
 }
