@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from graphviews.llm import chat, decontamination, line_dedup, minhash
+from graphviews.llm import chat, decontamination, line_dedup, minhash, packing
 
 QUERIES = {
     "op1_line_dedup": line_dedup.op1_line_dedup,
+    "op2_retrieval_packing": packing.op2_retrieval_packing,
     "op6_chat_format": chat.op6_chat_format,
     "op7_decontaminate": decontamination.op7_decontaminate,
     "op9_minhash_dedup": minhash.op9_minhash_dedup,
