@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from graphviews.llm import chat, decontamination, line_dedup, minhash, packing
+from graphviews.llm import chat, decontamination, langid, line_dedup, minhash, packing, toxicity
 
 QUERIES = {
     "op1_line_dedup": line_dedup.op1_line_dedup,
     "op2_retrieval_packing": packing.op2_retrieval_packing,
+    "op4_language_id": langid.op4_language_id,
     "op6_chat_format": chat.op6_chat_format,
     "op7_decontaminate": decontamination.op7_decontaminate,
     "op9_minhash_dedup": minhash.op9_minhash_dedup,
+    "op10_toxicity_chain": toxicity.op10_toxicity_chain,
 }
 
 ORACLE_SQL = {
