@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from graphviews.llm import chat, decontamination, langid, line_dedup, minhash, packing, toxicity
+from graphviews.llm import ann, chat, decontamination, langid, line_dedup, minhash, packing, toxicity, warc
 
 QUERIES = {
     "op1_line_dedup": line_dedup.op1_line_dedup,
     "op2_retrieval_packing": packing.op2_retrieval_packing,
+    "op3_nearest_neighbours": ann.op3_nearest_neighbours,
     "op4_language_id": langid.op4_language_id,
+    "op5_warc_convert": warc.op5_warc_convert,
     "op6_chat_format": chat.op6_chat_format,
     "op7_decontaminate": decontamination.op7_decontaminate,
     "op9_minhash_dedup": minhash.op9_minhash_dedup,
@@ -16,6 +18,7 @@ QUERIES = {
 
 ORACLE_SQL = {
     "op1_line_dedup": line_dedup.OP1_SQL,
+    "op5_warc_convert": warc.OP5_SQL,
     "op6_chat_format": chat.OP6_SQL,
     "op7_decontaminate": decontamination.OP7_SQL,
     "op9_minhash_dedup": minhash.OP9_SQL,
