@@ -22,8 +22,10 @@ or not, is a document; a document of n ids lies in pieces that cover 0 to n.
 
 from __future__ import annotations
 
+import unicodedata
 import zlib
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -37,7 +39,7 @@ WINDOW = 2048
 END_ID = 1
 SHARD_TOKENS = 1 << 20
 K1, B = 1.2, 0.75
-REMEMBERED = 600_000
+REMEMBERED = 1_000_000
 
 SCHEMA = "kind int, doc_id long, start long, length long, doc_tokens long, ids_crc32 long, sequence_id long, ids binary"
 PIECE = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
@@ -50,8 +52,19 @@ def default_tokenizer() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
+def byte_letters() -> list[str]:
+    """The letter that stands for each byte in a byte-level vocabulary: itself if it prints, else the next from U+0100."""
+    prints = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+    spare = iter(range(0x100, 0x200))
+    return [chr(b if b in prints else next(spare)) for b in range(256)]
+
+
 class TextIds:
-    """Ids of whole texts as bytes, with the ids of words remembered."""
+    """Ids of whole texts as bytes, with the ids of words remembered.
+
+    A word of Latin letters only is one unit of the merges: folded and spelled in
+    byte letters, it goes to the model at once.  Any other word takes the whole way.
+    """
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
@@ -61,19 +74,40 @@ class TextIds:
         self.kind = np.dtype("<u2") if self.vocabulary <= 1 << 16 else np.dtype("<u4")
         self.end = np.array([END_ID], self.kind).tobytes()
         self.known: dict[str, bytes] = {"": b""}
+        self.model, self.letters = self.tokenizer.model, byte_letters()
+
+    def learned(self, word: str) -> bytes | None:
+        """Ids of a word of letters up to U+012F, whose case and composition have no exceptions; None for others."""
+        if not word.isalpha() or max(word) > "\u012f":
+            return None
+        spelled = "".join(map(self.letters.__getitem__, unicodedata.normalize("NFC", word).lower().encode()))
+        return np.array([t.id for t in self.model.tokenize(spelled)], self.kind).tobytes()
 
     def learn(self, words: set[str]) -> None:
         """Add the words' ids; a word of letters before a final mark is learnt apart from the mark."""
         if len(self.known) + len(words) > REMEMBERED:
             self.known = {"": b""}
-        apart = {w: w[:-1] for w in words if len(w) > 1 and w[-1] in ".," and w[-2].isalpha()}
-        wanted = [w for w in {*words, *apart.values(), *(w[-1] for w in apart)} if w not in self.known and w not in apart]
-        for at in range(0, len(wanted), 20_000):
-            part = wanted[at : at + 20_000]
+        known, apart, whole = self.known, [], []
+        for w in words:
+            base = w[:-1] if len(w) > 1 and w[-1] in ".," and w[-2].isalpha() else w
+            low = base.lower() if base.isascii() else base
+            if (ids := known.get(low)) is None:
+                ids = self.learned(low)
+                if ids is None:
+                    whole.append(w)
+                    continue
+                known[low] = ids
+            if base is not w:
+                apart.append((w, ids))
+            else:
+                known[w] = ids
+        whole += {w[-1] for w, _ in apart} - known.keys()
+        for at in range(0, len(whole), 20_000):
+            part = whole[at : at + 20_000]
             for w, e in zip(part, self.tokenizer.encode_batch(part, add_special_tokens=False)):
-                self.known[w] = np.array(e.ids, self.kind).tobytes()
-        for w, base in apart.items():
-            self.known[w] = self.known[base] + self.known[w[-1]]
+                known[w] = np.array(e.ids, self.kind).tobytes()
+        for w, ids in apart:
+            known[w] = ids + known[w[-1]]
 
     def of(self, texts: list[str | None]) -> list[bytes]:
         split = []
@@ -89,6 +123,12 @@ class TextIds:
         return [b"".join(map(get, words)) + self.end for words in split]
 
 
+@lru_cache(maxsize=1)
+def text_ids(path: str) -> TextIds:
+    """One for each worker process, so that tasks share what it remembers."""
+    return TextIds(path)
+
+
 def _crc(ids: np.ndarray) -> int:
     return zlib.crc32(ids.astype("<u4").tobytes())
 
@@ -98,7 +138,7 @@ def _encode(path: str, window: int):
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        encoder = TextIds(path)
+        encoder = text_ids(path)
         frequency = np.zeros(encoder.vocabulary, np.int64)
         documents = tokens = made = 0
         base = TaskContext.get().partitionId() << 34
