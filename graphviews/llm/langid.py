@@ -162,8 +162,8 @@ def _predict(shared, with_words: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         chain: Chain = shared.value
         size = max(1, len(chain.langs))
-        number: dict[str, int] = {}
-        scores = np.zeros((1024, size), np.float32)
+        # a reused worker keeps what it knows of words with the broadcast field
+        number, scores = chain.__dict__.get("memory") or ({}, np.zeros((1024, size), np.float32))
         for batch in batches:
             texts = batch.column("text").to_pylist()
             lo = 0
@@ -182,6 +182,7 @@ def _predict(shared, with_words: bool):
                             scores = np.concatenate([scores, np.zeros_like(scores)])
                         value = chain.scores(w)
                         scores[at] = np.exp(np.maximum(value - value.max(), -60))
+                chain.memory = number, scores
                 lengths = np.fromiter(map(len, docs), np.int64, len(docs))
                 get = number.__getitem__
                 ids = np.fromiter((i for words in docs for i in map(get, words)), np.int64, int(lengths.sum()))

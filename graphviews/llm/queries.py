@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from graphviews.llm import ann, chat, decontamination, langid, line_dedup, minhash, packing, toxicity, warc
+from graphviews.llm import ann, chat, decontamination, langid, line_dedup, lm_scoring, minhash, packing, toxicity, warc
 
 QUERIES = {
     "op1_line_dedup": line_dedup.op1_line_dedup,
@@ -12,6 +12,7 @@ QUERIES = {
     "op5_warc_convert": warc.op5_warc_convert,
     "op6_chat_format": chat.op6_chat_format,
     "op7_decontaminate": decontamination.op7_decontaminate,
+    "op8_lm_score": lm_scoring.op8_lm_score,
     "op9_minhash_dedup": minhash.op9_minhash_dedup,
     "op10_toxicity_chain": toxicity.op10_toxicity_chain,
 }

@@ -157,7 +157,8 @@ def score(docs: DataFrame, chain: ChainModel, *, text: str = "text") -> DataFram
     added = [f"p_{c}" for c, _ in chain.models]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model, known = shared.value, {}
+        model = shared.value
+        known = model.__dict__.setdefault("memory", {})
         for batch in batches:
             for lo in range(0, len(batch), 512):
                 part = batch.slice(lo, 512)
