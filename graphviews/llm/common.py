@@ -79,3 +79,9 @@ def held_out(doc_id: str, modulus: int, remainder: int):
     """Column: crc32 of the decimal id, modulo, equals the remainder; null ids hash as the empty text."""
     crc = F.crc32(F.coalesce(F.col(doc_id).cast("string"), F.lit("")).cast("binary"))
     return crc % modulus == remainder
+
+
+def shielded(df: DataFrame, added: list[str]) -> tuple[DataFrame, dict[str, str]]:
+    """df with columns renamed that an operator would add itself, and how to name them back."""
+    back = {f"{c}__input": c for c in df.columns if c in added}
+    return df.withColumnsRenamed({v: k for k, v in back.items()}), back

@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from graphviews.llm.common import alnum_words
+from graphviews.llm.common import alnum_words, shielded, table
 
 WINDOW = 10
 BLOCK_BYTES = 32 << 20
@@ -289,12 +289,11 @@ def contamination(docs: DataFrame, items: DataFrame, *, doc_id: str = "doc_id",
 
 def remove_contaminated(docs: DataFrame, items: DataFrame, **options) -> DataFrame:
     """The documents, all columns, in which no benchmark window occurs."""
-    return match_benchmark(docs, items, **options).where(F.size("decon_spans") == 0).drop(*ADDED.names)
+    rows, back = shielded(docs, ADDED.names)
+    return match_benchmark(rows, items, **options).where(F.size("decon_spans") == 0).drop(*ADDED.names).withColumnsRenamed(back)
 
 
 def op7_decontaminate(spark, sf_dir):
-    from graphviews.llm.common import table
-
     return contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 

@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphviews.llm.common import held_out, table
+from graphviews.llm.common import held_out, shielded, table
 
 UNKNOWN = "und"
 SLOTS = 1 << 16
@@ -158,14 +158,14 @@ def train(rows: list[tuple[str, str]], seed: int = 7) -> Chain:
     return Chain(langs, lexicon, weights.astype(np.float32), np.exp(start - start.max()), np.exp(move - move.max()))
 
 
-def _predict(shared, with_words: bool):
+def _predict(shared, text: str, with_words: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         chain: Chain = shared.value
         size = max(1, len(chain.langs))
         # a reused worker keeps what it knows of words with the broadcast field
         number, scores = chain.__dict__.get("memory") or ({}, np.zeros((1024, size), np.float32))
         for batch in batches:
-            texts = batch.column("text").to_pylist()
+            texts = batch.column(text).to_pylist()
             lo = 0
             while lo < len(texts):
                 docs, total, hi = [], 0, lo
@@ -222,7 +222,14 @@ def identify(docs: DataFrame, chain: Chain, *, text: str = "text", with_words: b
     shared = docs.sparkSession.sparkContext.broadcast(chain)
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
     extra = ", lang_words array<struct<word: string, lang: string>>" if with_words else ""
-    return docs.mapInArrow(_predict(shared, with_words), f"{fields}, lang_pred string, lang_score double{extra}")
+    return docs.mapInArrow(_predict(shared, text, with_words), f"{fields}, lang_pred string, lang_score double{extra}")
+
+
+def keep_known(docs: DataFrame, chain: Chain, *, text: str = "text", least: float = 0.35) -> DataFrame:
+    """The documents, all columns, with a known language of at least the score."""
+    rows, back = shielded(docs, ["lang_pred", "lang_score"])
+    found = identify(rows, chain, text=text)
+    return found.where((F.col("lang_pred") != UNKNOWN) & (F.col("lang_score") >= least)).drop("lang_pred", "lang_score").withColumnsRenamed(back)
 
 
 def op4_language_id(spark, sf_dir):

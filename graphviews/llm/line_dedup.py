@@ -23,7 +23,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphviews.llm.common import table
+from graphviews.llm.common import shielded, table
 
 WINDOW = 3
 
@@ -99,6 +99,19 @@ def dedup_lines(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text",
     )
 
 
+def without_repeats(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", n_chars: str = "n_chars", window: int = WINDOW) -> DataFrame:
+    """The documents, all columns, with deduplicated texts; those left without any text are dropped.
+
+    A column n_chars, where there is one, follows the text.
+    """
+    rows, back = shielded(docs, ["ld_k1", "ld_k2", "ld_starts", "ld_kept", "ld_lines", "ld_removed"])
+    out = dedup_lines(rows, doc_id=doc_id, text=text, window=window).where((F.col("ld_removed") == 0) | (F.trim(F.col(text)) != ""))
+    if n_chars in docs.columns:
+        kind = dict(docs.dtypes)[n_chars]
+        out = out.withColumn(n_chars, F.when(F.col("ld_removed") > 0, F.length(text).cast(kind)).otherwise(F.col(n_chars)))
+    return out.drop("ld_lines", "ld_removed").withColumnsRenamed(back).select(*docs.columns)
+
+
 def op1_line_dedup(spark, sf_dir):
     out = dedup_lines(table(spark, sf_dir, "documents").select("doc_id", "text"))
     return out.select("doc_id", "text", F.col("ld_lines").alias("n_lines"), F.col("ld_removed").alias("n_removed"))

@@ -29,10 +29,10 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphviews.llm.common import blank_words, drop_stored, stored, table
+from graphviews.llm.common import blank_words, shielded, stored, table
 from graphviews.llm.components import components
 
 SHINGLE = 5
@@ -116,8 +116,8 @@ def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 packed.append(sig)
                 bands.append(keys)
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id").slice(lo, 512), pa.array(digests, pa.binary()), pa.array(sizes, pa.int64()), pa.array(packed, pa.binary()), pa.array(bands, pa.list_(pa.int64()))],
-                ["doc_id", "digest", "n_shingles", "sig", "bands"],
+                [batch.column("doc_id").slice(lo, 512), batch.column("text_hash").slice(lo, 512), pa.array(digests, pa.binary()), pa.array(sizes, pa.int64()), pa.array(packed, pa.binary()), pa.array(bands, pa.list_(pa.int64()))],
+                ["doc_id", "text_hash", "digest", "n_shingles", "sig", "bands"],
             )
 
 
@@ -279,9 +279,13 @@ def _dealt(df: DataFrame, *keys: str) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", num: int = 85, den: int = 100) -> DataFrame:
-    """One row per document: n_shingles, component_id, kept; linked where den * intersection >= num * union."""
+    """One row per document: n_shingles, component_id, kept; linked where den * intersection >= num * union.
+
+    Further columns: text_hash, and label, which only rows of one component share (null without words).
+    """
     plain = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
-    signed = stored(plain.mapInArrow(_sign, "doc_id long, digest binary, n_shingles long, sig binary, bands array<long>"), "signed")
+    hashed = plain.withColumn("text_hash", F.xxhash64("text"))
+    signed = stored(hashed.mapInArrow(_sign, "doc_id long, text_hash long, digest binary, n_shingles long, sig binary, bands array<long>"), "signed")
     classes = stored(
         signed.where("digest is not null").groupBy("digest").agg(F.min("doc_id").alias("doc_id"), F.first("sig").alias("sig"), F.first("bands").alias("bands")),
         "classes",
@@ -303,14 +307,28 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
     labels = components(links).withColumnRenamed("node", "digest")
     named = classes.select("digest", "doc_id").join(labels, "digest", "left").select("digest", "doc_id", F.coalesce("label", "digest").alias("label"))
     smallest = named.groupBy("label").agg(F.min("doc_id").alias("component_id"))
-    of_class = named.join(smallest, "label").select("digest", "component_id")
-    out = signed.select("doc_id", "digest", "n_shingles").join(of_class, "digest", "left")
+    of_class = named.join(smallest, "label").select("digest", "label", "component_id")
+    out = signed.select("doc_id", "text_hash", "digest", "n_shingles").join(of_class, "digest", "left")
     component = F.when(F.col("digest").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))
-    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"))
+    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"), "text_hash", "label")
+
+
+def keep_one(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", num: int = 80, den: int = 100) -> DataFrame:
+    """The documents, all columns, less all but one of each component; texts without words all stay."""
+    marks = near_duplicates(docs, doc_id=doc_id, text=text, num=num, den=den)
+    best = marks.where("kept and label is not null").groupBy("label").agg(F.min(F.struct("doc_id", "text_hash")).alias("k"))
+    alone = marks.where("label is null").select("doc_id", "text_hash", F.lit(False).alias("mh_once")).distinct()
+    keep = best.select("k.doc_id", "k.text_hash", F.lit(True).alias("mh_once")).unionByName(alone).withColumnsRenamed({"doc_id": "mh_id", "text_hash": "mh_hash"})
+    rows, back = shielded(docs, ["mh_id", "mh_hash", "mh_once", "mh_key", "mh_row"])
+    rows = rows.withColumns({"mh_key": F.col(doc_id).cast("long"), "mh_row": F.xxhash64(F.col(text))})
+    joined = rows.join(keep, F.col("mh_key").eqNullSafe(F.col("mh_id")) & (F.col("mh_row") == F.col("mh_hash")))
+    again = F.row_number().over(Window.partitionBy("mh_key", "mh_row").orderBy(F.lit(0)))
+    one = joined.withColumn("mh_number", again).where("mh_number = 1 or not mh_once")
+    return one.drop("mh_number", "mh_id", "mh_hash", "mh_once", "mh_key", "mh_row").withColumnsRenamed(back)
 
 
 def op9_minhash_dedup(spark, sf_dir):
-    return near_duplicates(table(spark, sf_dir, "documents"))
+    return near_duplicates(table(spark, sf_dir, "documents")).select("doc_id", "n_shingles", "component_id", "kept")
 
 
 OP9_SQL = r"""
