@@ -98,6 +98,8 @@ def chain_posteriors(emit: np.ndarray, lengths: np.ndarray, start: np.ndarray, m
 def train(rows: list[tuple[str, str]], seed: int = 7) -> Chain:
     """Fit the field to (language, text) rows by stochastic gradients of the conditional likelihood."""
     langs = sorted({lang for lang, _ in rows})
+    if not langs:
+        return Chain([], {}, np.zeros((SLOTS, 0), np.float32), np.zeros(0), np.zeros((0, 0)))
     number = {lang: i for i, lang in enumerate(langs)}
     docs = [(number[lang], words_of(text)) for lang, text in rows]
     counts = [Counter() for _ in langs]

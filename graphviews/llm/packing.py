@@ -22,8 +22,10 @@ or not, is a document; a document of n ids lies in pieces that cover 0 to n.
 
 from __future__ import annotations
 
+import re
 import unicodedata
 import zlib
+from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -39,7 +41,9 @@ WINDOW = 2048
 END_ID = 1
 SHARD_TOKENS = 1 << 20
 K1, B = 1.2, 0.75
-REMEMBERED = 1_000_000
+REMEMBERED = 1_500_000
+#: Letters from here on have exceptions of case or composition.
+EXCEPTIONAL = re.compile("[^\x00-\u012f]").search
 
 SCHEMA = "kind int, doc_id long, start long, length long, doc_tokens long, ids_crc32 long, sequence_id long, ids binary"
 PIECE = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
@@ -75,18 +79,20 @@ class TextIds:
         self.end = np.array([END_ID], self.kind).tobytes()
         self.known: dict[str, bytes] = {"": b""}
         self.model, self.letters = self.tokenizer.model, byte_letters()
+        self.code = "H" if self.kind.itemsize == 2 else "I"  # little-endian machines
 
     def learned(self, word: str) -> bytes | None:
-        """Ids of a word of letters up to U+012F, whose case and composition have no exceptions; None for others."""
-        if not word.isalpha() or max(word) > "\u012f":
+        """Ids of a lower-case word of letters without exceptions; None for others."""
+        if not word.isalpha():
             return None
-        spelled = "".join(map(self.letters.__getitem__, unicodedata.normalize("NFC", word).lower().encode()))
-        return np.array([t.id for t in self.model.tokenize(spelled)], self.kind).tobytes()
+        if not word.isascii():
+            if EXCEPTIONAL(word):
+                return None
+            word = "".join(map(self.letters.__getitem__, unicodedata.normalize("NFC", word).lower().encode()))
+        return array(self.code, [t.id for t in self.model.tokenize(word)]).tobytes()
 
     def learn(self, words: set[str]) -> None:
         """Add the words' ids; a word of letters before a final mark is learnt apart from the mark."""
-        if len(self.known) + len(words) > REMEMBERED:
-            self.known = {"": b""}
         known, apart, whole = self.known, [], []
         for w in words:
             base = w[:-1] if len(w) > 1 and w[-1] in ".," and w[-2].isalpha() else w
@@ -105,7 +111,7 @@ class TextIds:
         for at in range(0, len(whole), 20_000):
             part = whole[at : at + 20_000]
             for w, e in zip(part, self.tokenizer.encode_batch(part, add_special_tokens=False)):
-                known[w] = np.array(e.ids, self.kind).tobytes()
+                known[w] = array(self.code, e.ids).tobytes()
         for w, ids in apart:
             known[w] = ids + known[w[-1]]
 
@@ -113,12 +119,15 @@ class TextIds:
         split = []
         for text in texts:
             text = text or ""
-            split.append((text.lower() if text.isascii() else text).replace("\n", " ").split(" "))
-        missing = {w for words in split for w in words} - self.known.keys()
-        if missing:
+            plain = text.isascii() or not EXCEPTIONAL(text)
+            split.append((text.lower() if plain else text).replace("\n", " ").split(" "))
+        used: set[str] = set()
+        for words in split:
+            used.update(words)
+        if missing := used - self.known.keys():
+            if len(self.known) + len(missing) > REMEMBERED:
+                self.known, missing = {"": b""}, used - {""}
             self.learn(missing)
-            if len(missing) and any(w not in self.known for words in split for w in words):
-                self.learn({w for words in split for w in words} - self.known.keys())
         get = self.known.__getitem__
         return [b"".join(map(get, words)) + self.end for words in split]
 

@@ -65,9 +65,9 @@ class Linear:
     @classmethod
     def fitted(cls, x: Sparse, dense: np.ndarray, y: np.ndarray, use: np.ndarray) -> Linear:
         known = use & ~np.isnan(y)
-        share = y[known].mean() if known.any() else 0.5
+        share = float(y[known].mean()) if known.any() else 0.5
         words, extra, bias = np.zeros(x.width), np.zeros(dense.shape[1]), float(np.log(max(share, 1e-4) / max(1 - share, 1e-4)))
-        if not 0 < share < 1:
+        if not 0 < share < 1 or not known.any():
             return cls(words, extra, bias)
         weight = known / known.sum()
         rows = np.bincount(x.columns, known[x.owner].astype(float), x.width)
