@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from graphviews.llm.common import alnum_words, shielded, table
+from graphviews.llm.common import alnum_words, bounded_batches, shielded, table
 
 WINDOW = 10
 BLOCK_BYTES = 32 << 20
@@ -253,7 +253,7 @@ def match_benchmark(
     ).where("text is not null").distinct()
     total = items.agg(F.sum(F.octet_length("text") + F.octet_length("item"))).first()[0] or 0
     blocks = max(1, -(-2 * total // block_bytes)) if total > block_bytes else 1
-    out = docs
+    out = bounded_batches(docs)
     schema = T.StructType([*docs.schema.fields, *ADDED.fields])
     for block in range(blocks):
         part = items if blocks == 1 else items.where(F.pmod(F.xxhash64("item", "text"), F.lit(blocks)) == block)

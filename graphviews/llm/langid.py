@@ -31,14 +31,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphviews.llm.common import held_out, shielded, table
+from graphviews.llm.common import bounded_batches, held_out, shielded, table
 
 UNKNOWN = "und"
 SLOTS = 1 << 16
 PER_LANG, MAX_CHARS = 300, 4000
 STRETCH, BATCH, EPOCHS = 32, 128, 3
 #: Words in one pass of the chains, and words whose scores a worker remembers.
-CHAIN_WORDS, REMEMBERED = 1_000_000, 400_000
+CHAIN_WORDS, REMEMBERED = 500_000, 400_000
 WORD = re.compile(r"[^\W\d_]+")
 
 
@@ -46,12 +46,26 @@ def words_of(text: str | None) -> list[str]:
     return WORD.findall(text.lower()) if text and any(map(str.isalpha, text)) else []
 
 
+class Slots(dict):
+    """Hashed slots of features, remembered; slot 0 stays empty."""
+
+    def __missing__(self, feature: str) -> int:
+        if len(self) > REMEMBERED:
+            self.clear()
+        value = self[feature] = 1 + zlib.crc32(feature.encode("utf-8", "surrogatepass")) % (SLOTS - 1)
+        return value
+
+
+_SLOT = Slots()
+
+
 def features(word: str, lexicon: dict[str, int]) -> list[int]:
-    """Slots of a word's features; slot 0 stays empty, the last slots are the lexicons'."""
+    """Slots of a word's features; the last slots are the lexicons'."""
     marked = f"^{word}$"
-    found = {f"p{word[:k]}" for k in (1, 2, 3)} | {f"s{word[-k:]}" for k in (1, 2, 3)}
-    found |= {marked[i : i + n] for n in (2, 3) for i in range(len(marked) - n + 1)}
-    slots = [1 + zlib.crc32(f.encode("utf-8", "surrogatepass")) % (SLOTS - 1) for f in found]
+    found = {"p" + word[:1], "p" + word[:2], "p" + word[:3], "s" + word[-1:], "s" + word[-2:], "s" + word[-3:]}
+    found.update([marked[i : i + 2] for i in range(len(marked) - 1)])
+    found.update([marked[i : i + 3] for i in range(len(marked) - 2)])
+    slots = sorted(map(_SLOT.__getitem__, found))
     if (lang := lexicon.get(word)) is not None:
         slots.append(SLOTS + lang)
     return slots
@@ -64,8 +78,13 @@ class Chain:
         self.langs, self.lexicon = langs, lexicon
         self.weights, self.start, self.move = weights, start, move
 
-    def scores(self, word: str) -> np.ndarray:
-        return self.weights[features(word, self.lexicon)].sum(0)
+    def scores(self, words: list[str]) -> np.ndarray:
+        """Positive scores of each word for each language, the best about 1."""
+        slots = [features(w, self.lexicon) for w in words]
+        sizes = np.fromiter(map(len, slots), np.int64, len(slots))
+        flat = np.fromiter((x for s in slots for x in s), np.int64, int(sizes.sum()))
+        value = np.add.reduceat(self.weights[flat], np.cumsum(sizes) - sizes, 0)
+        return np.exp(np.maximum(value - value.max(1, keepdims=True), -60))
 
 
 def chain_posteriors(emit: np.ndarray, lengths: np.ndarray, start: np.ndarray, move: np.ndarray) -> np.ndarray:
@@ -177,13 +196,13 @@ def _predict(shared, text: str, with_words: bool):
                     hi += 1
                 if len(number) > REMEMBERED:
                     number = {}
-                for words in docs:
-                    for w in set(words).difference(number):
-                        at = number[w] = len(number)
-                        if at >= len(scores):
-                            scores = np.concatenate([scores, np.zeros_like(scores)])
-                        value = chain.scores(w)
-                        scores[at] = np.exp(np.maximum(value - value.max(), -60))
+                fresh = list({w for words in docs for w in words}.difference(number))
+                while len(scores) < len(number) + len(fresh):
+                    scores = np.concatenate([scores, np.zeros_like(scores)])
+                for at in range(0, len(fresh), 20_000):
+                    part = fresh[at : at + 20_000]
+                    scores[len(number) : len(number) + len(part)] = chain.scores(part)
+                    number.update(zip(part, range(len(number), len(number) + len(part))))
                 chain.memory = number, scores
                 lengths = np.fromiter(map(len, docs), np.int64, len(docs))
                 get = number.__getitem__
@@ -224,7 +243,7 @@ def identify(docs: DataFrame, chain: Chain, *, text: str = "text", with_words: b
     shared = docs.sparkSession.sparkContext.broadcast(chain)
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
     extra = ", lang_words array<struct<word: string, lang: string>>" if with_words else ""
-    return docs.mapInArrow(_predict(shared, text, with_words), f"{fields}, lang_pred string, lang_score double{extra}")
+    return bounded_batches(docs).mapInArrow(_predict(shared, text, with_words), f"{fields}, lang_pred string, lang_score double{extra}")
 
 
 def keep_known(docs: DataFrame, chain: Chain, *, text: str = "text", least: float = 0.35) -> DataFrame:

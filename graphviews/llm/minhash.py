@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphviews.llm.common import blank_words, shielded, stored, table
+from graphviews.llm.common import blank_words, bounded_batches, shielded, stored, table
 from graphviews.llm.components import components
 
 SHINGLE = 5
@@ -285,7 +285,7 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
     """
     plain = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
     hashed = plain.withColumn("text_hash", F.xxhash64("text"))
-    signed = stored(hashed.mapInArrow(_sign, "doc_id long, text_hash long, digest binary, n_shingles long, sig binary, bands array<long>"), "signed")
+    signed = stored(bounded_batches(hashed).mapInArrow(_sign, "doc_id long, text_hash long, digest binary, n_shingles long, sig binary, bands array<long>"), "signed")
     classes = stored(
         signed.where("digest is not null").groupBy("digest").agg(F.min("doc_id").alias("doc_id"), F.first("sig").alias("sig"), F.first("bands").alias("bands")),
         "classes",

@@ -35,7 +35,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphviews.llm.common import stored, table
+from graphviews.llm.common import bounded_batches, stored, table
 
 WINDOW = 2048
 END_ID = 1
@@ -277,7 +277,7 @@ def pack(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", tokeniz
     spark = docs.sparkSession
     path = tokenizer or default_tokenizer()
     plain = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"))
-    encoded = stored(plain.mapInArrow(_encode(path, window), SCHEMA), "encoded")
+    encoded = stored(bounded_batches(plain).mapInArrow(_encode(path, window), SCHEMA), "encoded")
     terms = encoded.where(F.col("kind") == TERM).groupBy("start").agg(F.sum("length").alias("n")).toPandas()  # at most the vocabulary
     totals = encoded.agg(
         F.sum(F.when(F.col("kind") == TOTAL, F.col("start"))).alias("documents"),

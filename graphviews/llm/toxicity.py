@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphviews.llm.common import alnum_words, table
+from graphviews.llm.common import alnum_words, bounded_batches, table
 
 MAX_ROWS, MAX_CHARS, MIN_DOCS = 6000, 20_000, 8
 FOLDS, STEPS, RIDGE = 4, 150, 2e-4
@@ -166,7 +166,7 @@ def score(docs: DataFrame, chain: ChainModel, *, text: str = "text") -> DataFram
                 yield pa.RecordBatch.from_arrays([*part.columns, *(pa.array(p[:, k]) for k in range(len(added)))], [*part.schema.names, *added])
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return docs.mapInArrow(run, f"{fields}, " + ", ".join(f"{a} double" for a in added))
+    return bounded_batches(docs).mapInArrow(run, f"{fields}, " + ", ".join(f"{a} double" for a in added))
 
 
 #: The chain's order and the labels behind it.
