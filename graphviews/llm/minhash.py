@@ -190,8 +190,15 @@ def _bucket_links(bar: float):
                 for at in range(0, len(starts), 2048):
                     left = (starts[at : at + 2048, None] + i).ravel()
                     right = (starts[at : at + 2048, None] + j).ravel()
-                    near = estimated(sig[left], sig[right]) >= bar
-                    found += zip(left[near].tolist(), right[near].tolist())
+                    near = (estimated(sig[left], sig[right]) >= bar).reshape(-1, len(i))
+                    tree = near.sum(1) < m
+                    keep = (near & tree[:, None]).ravel()
+                    found += zip(left[keep].tolist(), right[keep].tolist())
+                    for g in np.flatnonzero(~tree).tolist():  # more pairs than a star needs
+                        square = np.zeros((m, m), bool)
+                        square[i, j] = square[j, i] = near[g]
+                        lo = int(starts[at + g])
+                        found += [(lo + x, lo + y) for x, y in stars(square)]
             for g in np.flatnonzero(size > 12).tolist():
                 lo, hi = int(edge[g]), int(edge[g + 1])
                 part, bi, bj = sig[lo:hi], keys[1][lo], keys[2][lo]
@@ -275,7 +282,8 @@ def _cluster_links(num: int, den: int):
 
 
 def _dealt(df: DataFrame, *keys: str) -> DataFrame:
-    return df.repartition(*keys).sortWithinPartitions(*keys)
+    """Groups together; inside a group the smallest digest first, so that stars of different bands share their roots."""
+    return df.repartition(*keys).sortWithinPartitions(*keys, "digest")
 
 
 def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", num: int = 85, den: int = 100) -> DataFrame:
