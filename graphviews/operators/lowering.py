@@ -49,8 +49,8 @@ class Lowering:
                 return one.select(F.lit(1).cast("long").alias(WEIGHT)) if self.graph.weighted else one.select()
             case ScanVertices(var=v, labels=labels, props=props):
                 return self.graph.scan_vertices(v, labels, props)
-            case ScanEdges(v=v, v_labels=a, e=e, types=types, w=w, w_labels=b, direction=d, props=props):
-                return self.graph.scan_edges(v, a, e, types, w, b, d, props)
+            case ScanEdges(v=v, v_labels=a, e=e, types=types, w=w, w_labels=b, direction=d, props=props, ends=ends):
+                return self.graph.scan_edges(v, a, e, types, w, b, d, props, ends)
             case TransitiveJoin():
                 return transitive_join(node, *inputs)
             case Select(cond=cond):

@@ -57,6 +57,7 @@ class ScanEdges(Node):
     w_labels: tuple[str, ...]
     direction: str = OUT
     props: tuple[tuple[str, str], ...] = ()
+    ends: bool = True  # whether the scan itself joins the vertices at its ends
 
 
 @dataclass(frozen=True)

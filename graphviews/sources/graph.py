@@ -78,9 +78,18 @@ class PropertyGraph:
         self.spark, self.tables = spark, tables
         self.vertices = {v.name: v for v in vertices}
         self.edges = edges
+        self.scanned: set[str] | None = None
+
+    def of_sources(self, vertices: list[VertexSource], edges: list[EdgeSource]) -> PropertyGraph:
+        """The graph with fewer sources of rows; what is known of all vertices stays known."""
+        out = PropertyGraph(self.spark, self.tables, list(self.vertices.values()), edges)
+        out.scanned = {v.name for v in vertices}
+        return out
 
     def with_tables(self, tables: dict[str, DataFrame]) -> PropertyGraph:
-        return PropertyGraph(self.spark, {**self.tables, **tables}, list(self.vertices.values()), self.edges)
+        out = PropertyGraph(self.spark, {**self.tables, **tables}, list(self.vertices.values()), self.edges)
+        out.scanned = self.scanned
+        return out
 
     # -- what is known of labels
     def may_have(self, source: VertexSource, labels: tuple[str, ...]) -> bool:
@@ -137,7 +146,7 @@ class PropertyGraph:
         kind = {flat(var, k): "array<string>" if k == LABELS else self.property_type(every, k) for k in props}
         out = []
         for s in every:
-            if (only and s.name != only) or not self.may_have(s, labels):
+            if (only and s.name != only) or not self.may_have(s, labels) or (self.scanned is not None and s.name not in self.scanned):
                 continue
             wanted = [(var, k, self._labels_expr(s) if k == LABELS else s.props.get(k, "")) for k in props]
             rest = sorted(set(labels) - set(s.labels))
@@ -158,14 +167,14 @@ class PropertyGraph:
     def weighted(self) -> bool:
         return any(WEIGHT in t.columns for t in self.tables.values())
 
-    def scan_edges(self, v: str, v_labels, e: str, types, w: str, w_labels, direction: str = OUT, props=(), fold: bool = True) -> DataFrame:
+    def scan_edges(self, v: str, v_labels, e: str, types, w: str, w_labels, direction: str = OUT, props=(), ends: bool = True) -> DataFrame:
         """Edges as (v, e, w, properties); an end's vertices are joined only where a label is unsure or a property needed.
 
         Both directions are one pass over the edges, each given in its two orientations.
         """
         sources = self.edge_sources(tuple(types))
-        ends = {x for s in sources for x in (s.source, s.target)}
-        every = [s for n, s in self.vertices.items() if n in ends]
+        used = {x for s in sources for x in (s.source, s.target)}
+        every = [s for n, s in self.vertices.items() if n in used]
         kind = {}
         for x, k in props:
             special = {LABELS: "array<string>", TYPE: "string", SOURCE: "bigint", TARGET: "bigint"}
@@ -190,11 +199,11 @@ class PropertyGraph:
                 for var, labels, vertex in ((v, v_labels, va), (w, w_labels, vb)):
                     keys = tuple(k for x, k in props if x == var)
                     unsure = not set(labels) <= set(vertex.labels)
-                    if keys or unsure or not fold:
-                        ends = self.scan_vertices(var, tuple(labels), keys, only=vertex.name)
+                    if ends and (keys or unsure):
+                        there = self.scan_vertices(var, tuple(labels), keys, only=vertex.name)
                         for k in keys:
-                            ends = ends.withColumn(flat(var, k), F.col(f"`{flat(var, k)}`").cast(kind[flat(var, k)]))
-                        df = weighted_join(df, ends, [var])
+                            there = there.withColumn(flat(var, k), F.col(f"`{flat(var, k)}`").cast(kind[flat(var, k)]))
+                        df = weighted_join(df, there, [var])
                 out.append(df)
         return self._union(out, [v, e, w], kind)
 
