@@ -39,7 +39,7 @@ from graphviews.llm.common import bounded_batches, stored, table
 
 WINDOW = 2048
 END_ID = 1
-SHARD_TOKENS = 1 << 20
+SHARD_TOKENS = 1 << 19
 K1, B = 1.2, 0.75
 REMEMBERED = 1_500_000
 #: Letters from here on have exceptions of case or composition.
@@ -63,13 +63,37 @@ def byte_letters() -> list[str]:
     return [chr(b if b in prints else next(spare)) for b in range(256)]
 
 
-class TextIds:
-    """Ids of whole texts as bytes, with the ids of words remembered.
+class WordIds(dict):
+    """Ids of words as bytes, remembered.
 
-    A word of Latin letters only is one unit of the merges: folded and spelled in
-    byte letters, it goes to the model at once.  Any other word takes the whole way.
+    A lower-case word of Latin letters is one unit of the merges: spelled in byte
+    letters, it goes to the model at once.  A mark behind a letter is a unit of its
+    own.  Any other word takes the tokenizer's whole way.
     """
 
+    def __init__(self, tokenizer, code: str):
+        super().__init__({"": b""})
+        self.tokenizer, self.code, self.letters, self.model = tokenizer, code, byte_letters(), tokenizer.model
+
+    def __missing__(self, word: str) -> bytes:
+        if len(self) >= REMEMBERED:
+            self.clear()
+            self[""] = b""
+        plain = not EXCEPTIONAL(word)
+        if plain and word[-1] in ".," and word[:-1].isalpha():
+            value = self[word[:-1]] + self[word[-1]]
+        elif plain and word.isalpha() and word.islower():
+            spelled = word if word.isascii() else "".join(map(self.letters.__getitem__, unicodedata.normalize("NFC", word).encode()))
+            value = array(self.code, [t.id for t in self.model.tokenize(spelled)]).tobytes()
+        else:
+            value = array(self.code, self.tokenizer.encode(word, add_special_tokens=False).ids).tobytes()
+        self[word] = value
+        return value
+
+
+class TextIds:
+    """Ids of whole texts as bytes."""
+
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
@@ -77,59 +101,15 @@ class TextIds:
         self.vocabulary = self.tokenizer.get_vocab_size()
         self.kind = np.dtype("<u2") if self.vocabulary <= 1 << 16 else np.dtype("<u4")
         self.end = np.array([END_ID], self.kind).tobytes()
-        self.known: dict[str, bytes] = {"": b""}
-        self.model, self.letters = self.tokenizer.model, byte_letters()
-        self.code = "H" if self.kind.itemsize == 2 else "I"  # little-endian machines
-
-    def learned(self, word: str) -> bytes | None:
-        """Ids of a lower-case word of letters without exceptions; None for others."""
-        if not word.isalpha():
-            return None
-        if not word.isascii():
-            if EXCEPTIONAL(word):
-                return None
-            word = "".join(map(self.letters.__getitem__, unicodedata.normalize("NFC", word).lower().encode()))
-        return array(self.code, [t.id for t in self.model.tokenize(word)]).tobytes()
-
-    def learn(self, words: set[str]) -> None:
-        """Add the words' ids; a word of letters before a final mark is learnt apart from the mark."""
-        known, apart, whole = self.known, [], []
-        for w in words:
-            base = w[:-1] if len(w) > 1 and w[-1] in ".," and w[-2].isalpha() else w
-            low = base.lower() if base.isascii() else base
-            if (ids := known.get(low)) is None:
-                ids = self.learned(low)
-                if ids is None:
-                    whole.append(w)
-                    continue
-                known[low] = ids
-            if base is not w:
-                apart.append((w, ids))
-            else:
-                known[w] = ids
-        whole += {w[-1] for w, _ in apart} - known.keys()
-        for at in range(0, len(whole), 20_000):
-            part = whole[at : at + 20_000]
-            for w, e in zip(part, self.tokenizer.encode_batch(part, add_special_tokens=False)):
-                known[w] = array(self.code, e.ids).tobytes()
-        for w, ids in apart:
-            known[w] = ids + known[w[-1]]
+        self.known = WordIds(self.tokenizer, "H" if self.kind.itemsize == 2 else "I")  # little-endian machines
 
     def of(self, texts: list[str | None]) -> list[bytes]:
-        split = []
+        get, out = self.known.__getitem__, []
         for text in texts:
             text = text or ""
-            plain = text.isascii() or not EXCEPTIONAL(text)
-            split.append((text.lower() if plain else text).replace("\n", " ").split(" "))
-        used: set[str] = set()
-        for words in split:
-            used.update(words)
-        if missing := used - self.known.keys():
-            if len(self.known) + len(missing) > REMEMBERED:
-                self.known, missing = {"": b""}, used - {""}
-            self.learn(missing)
-        get = self.known.__getitem__
-        return [b"".join(map(get, words)) + self.end for words in split]
+            folded = text.lower() if text.isascii() or not EXCEPTIONAL(text) else text
+            out.append(b"".join(map(get, folded.replace("\n", " ").split(" "))) + self.end)
+        return out
 
 
 @lru_cache(maxsize=1)
