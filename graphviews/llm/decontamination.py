@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from graphviews.llm.common import alnum_words, bounded_batches, shielded, table
+from graphviews.llm.common import alnum_words, bounded_batches, table
 
 WINDOW = 10
 BLOCK_BYTES = 32 << 20
@@ -247,19 +247,25 @@ def match_benchmark(
     item_text: str = "text", window: int = WINDOW, block_bytes: int = BLOCK_BYTES,
 ) -> DataFrame:
     """docs with decon_words, decon_spans (hit words as start, length pairs), decon_items and decon_longest."""
-    spark = docs.sparkSession
+    out = bounded_batches(docs)
+    schema = T.StructType([*docs.schema.fields, *ADDED.fields])
+    for block, shared in enumerate(_indexes(docs.sparkSession, items, item_id=item_id, item_text=item_text, window=window, block_bytes=block_bytes)):
+        out = out.mapInArrow(_searcher(lambda shared=shared: shared.value, text, block > 0), schema)
+    return out
+
+
+def _indexes(spark, items: DataFrame, *, item_id: str = "item_id", item_text: str = "text", window: int = WINDOW, block_bytes: int = BLOCK_BYTES) -> list:
+    """Broadcasts of the benchmark's windows, in as many blocks as its size asks for."""
     items = items.select(
         F.coalesce(F.col(item_id).cast("string"), F.lit("")).alias("item"), F.col(item_text).cast("string").alias("text")
     ).where("text is not null").distinct()
     total = items.agg(F.sum(F.octet_length("text") + F.octet_length("item"))).first()[0] or 0
     blocks = max(1, -(-2 * total // block_bytes)) if total > block_bytes else 1
-    out = bounded_batches(docs)
-    schema = T.StructType([*docs.schema.fields, *ADDED.fields])
+    out = []
     for block in range(blocks):
         part = items if blocks == 1 else items.where(F.pmod(F.xxhash64("item", "text"), F.lit(blocks)) == block)
         index = BenchmarkWindows([(r["item"], r["text"].encode()) for r in part.toLocalIterator()], window)
-        shared = spark.sparkContext.broadcast(index)
-        out = out.mapInArrow(_searcher(lambda shared=shared: shared.value, text, block > 0), schema)
+        out.append(spark.sparkContext.broadcast(index))
     return out
 
 
@@ -289,8 +295,23 @@ def contamination(docs: DataFrame, items: DataFrame, *, doc_id: str = "doc_id",
 
 def remove_contaminated(docs: DataFrame, items: DataFrame, **options) -> DataFrame:
     """The documents, all columns, in which no benchmark window occurs."""
-    rows, back = shielded(docs, ADDED.names)
-    return match_benchmark(rows, items, **options).where(F.size("decon_spans") == 0).drop(*ADDED.names).withColumnsRenamed(back)
+    text = options.get("text", "text")
+    out = bounded_batches(docs)
+    for shared in _indexes(docs.sparkSession, items, **{k: v for k, v in options.items() if k != "text"}):
+        out = out.where(~_hit(shared)(F.col(text)))
+    return out
+
+
+def _hit(shared):
+    @F.arrow_udf("boolean")
+    def hit(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        # only texts go to Python and only verdicts come back; the rows wait in Spark
+        search = _searcher(lambda: shared.value, "text", False)
+        for batch in texts:
+            flags = [bool(s) for part in search(iter([pa.RecordBatch.from_arrays([batch], ["text"])])) for s in part.column("decon_spans").to_pylist()]
+            yield pa.array(flags, pa.bool_())
+
+    return hit
 
 
 def op7_decontaminate(spark, sf_dir):

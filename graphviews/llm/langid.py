@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphviews.llm.common import bounded_batches, held_out, shielded, table
+from graphviews.llm.common import bounded_batches, held_out, table
 
 UNKNOWN = "und"
 SLOTS = 1 << 16
@@ -248,9 +248,20 @@ def identify(docs: DataFrame, chain: Chain, *, text: str = "text", with_words: b
 
 def keep_known(docs: DataFrame, chain: Chain, *, text: str = "text", least: float = 0.35) -> DataFrame:
     """The documents, all columns, with a known language of at least the score."""
-    rows, back = shielded(docs, ["lang_pred", "lang_score"])
-    found = identify(rows, chain, text=text)
-    return found.where((F.col("lang_pred") != UNKNOWN) & (F.col("lang_score") >= least)).drop("lang_pred", "lang_score").withColumnsRenamed(back)
+    shared = docs.sparkSession.sparkContext.broadcast(chain)
+
+    @F.arrow_udf("struct<lang_pred:string,lang_score:double>")
+    def language(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        # only texts go to Python and only verdicts come back; the rows wait in Spark
+        predict = _predict(shared, "text", False)
+        for batch in texts:
+            parts = list(predict(iter([pa.RecordBatch.from_arrays([batch], ["text"])])))
+            found = pa.Table.from_batches(parts).combine_chunks() if parts else None
+            columns = [found.column(c).combine_chunks() if found else pa.array([], t) for c, t in (("lang_pred", pa.string()), ("lang_score", pa.float64()))]
+            yield pa.StructArray.from_arrays(columns, ["lang_pred", "lang_score"])
+
+    said = language(F.col(text))
+    return bounded_batches(docs).where((said["lang_pred"] != UNKNOWN) & (said["lang_score"] >= least))
 
 
 def op4_language_id(spark, sf_dir):
