@@ -25,7 +25,7 @@ REACH = {
     "closure_sql": BASIC | {TransitiveJoin},
     "summary_delta": BASIC | {Group},
     "outer_delta": BASIC | {LeftOuter, Semi, Anti},
-    "value_counts": BASIC | {Group},
+    "value_counts": BASIC | {Group, LeftOuter},
     "order_keys": BASIC | {SortTop, Unwind},
     "topk": BASIC | {SortTop},
     "outer_agg": BASIC | {LeftOuter, Group},

@@ -5,7 +5,7 @@ unrolled joins in one plan.  Others go hop by hop; each frontier is written to t
 shared folder, so lineage stays short and an empty frontier ends the loop.
 
 Modes: ``trail`` uses no edge twice, ``walk`` may (bounded only), ``reach`` gives each
-end once and no path.  Indexes count along edge direction, so the path of an
+end of a walk once and no path (so walking an edge there and back is a way home).  Indexes count along edge direction, so the path of an
 incoming walk is turned round.
 """
 
@@ -73,10 +73,16 @@ def indexed(steps, direction: str):
 
 
 def edge_pairs(scan: DataFrame, node: TransitiveJoin) -> DataFrame:
-    """An edge scan as (s, t, e) in walking direction; weighted scans merge to the edges that are there."""
+    """An edge scan as (s, t, e) in walking direction; weighted scans merge to the edges that are there.
+
+    A loop that is walked both ways is there twice, in either form.
+    """
     e = node.edges
     df = scan.select(column(e.v).alias("s"), column(e.w).alias("t"), column(e.e).alias("e"), *([WEIGHT] if WEIGHT in scan.columns else []))
-    return consolidated(df, positive=True).drop(WEIGHT) if WEIGHT in df.columns else df
+    if WEIGHT not in df.columns:
+        return df
+    there = consolidated(df, positive=True)
+    return there.withColumn("_n", F.explode(F.sequence(F.lit(1).cast("long"), F.col(WEIGHT)))).select("s", "t", "e")
 
 
 def transitive_join(node: TransitiveJoin, left: DataFrame, scan: DataFrame) -> DataFrame:
