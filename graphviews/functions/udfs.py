@@ -8,12 +8,13 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: Rows of a hierarchy that one task may hold and the plan may broadcast.
 HIERARCHY_LIMIT = 1_000_000
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def bag_median(values: pd.Series) -> float:
     """Median of a bag; null where it is empty."""
     values = values.dropna()

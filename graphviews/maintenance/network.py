@@ -179,7 +179,8 @@ class Network:
         """A node's signed change; None where it is empty."""
         if id(node) not in self.memo:
             out = self._delta(node)
-            if out is not None and (node.stateful or not isinstance(node.op, LINEAR)):
+            # changes of other nodes stay lazy and run inside the plan of the next one that is written
+            if out is not None and (node.stateful or isinstance(node.op, TransitiveJoin) or self._derived_leaf(node.op)):
                 out = stored(consolidated(out), f"{self.label}-delta")
                 if not (n := out.count()):
                     out = None
@@ -189,6 +190,12 @@ class Network:
             self.memo[id(node)] = out
         return self.memo[id(node)]
 
+    def _derived_leaf(self, op: Node) -> bool:
+        """Leaves whose change is a difference of derived relations: often empty, and dear to compute twice."""
+        if isinstance(op, ScanEdges):
+            return any(s.derive is not None for s in self.new.edge_sources(op.types))
+        return isinstance(op, ScanVertices) and any(s.derive is not None for s in self.new.vertices.values() if self.new.may_have(s, op.labels))
+
     def _delta(self, node: NetNode) -> DataFrame | None:
         op = node.op
         if isinstance(op, LEAVES):
@@ -265,7 +272,7 @@ class Network:
         if isinstance(op, Dual):
             return None
         edges = isinstance(op, ScanEdges)
-        pool: list[VertexSource | EdgeSource] = self.new.edge_sources(op.types) if edges else list(self.new.vertices.values())
+        pool: list[VertexSource | EdgeSource] = self.new.edge_sources(op.types) if edges else [s for s in self.new.vertices.values() if self.new.may_have(s, op.labels)]
         plain = [s for s in pool if s.derive is None and s.table in self.delta_tables]
         derived = [s for s in pool if s.derive is not None and {s.table, *getattr(s, "tables", ())} & self.delta_tables.keys() | self._inputs(s)]
         parts = []
