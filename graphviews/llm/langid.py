@@ -38,7 +38,7 @@ SLOTS = 1 << 16
 PER_LANG, MAX_CHARS = 300, 4000
 STRETCH, BATCH, EPOCHS = 32, 128, 3
 #: Words in one pass of the chains, and words whose scores a worker remembers.
-CHAIN_WORDS, REMEMBERED = 500_000, 400_000
+CHAIN_WORDS, REMEMBERED = 500_000, 300_000
 WORD = re.compile(r"[^\W\d_]+")
 
 

@@ -41,7 +41,7 @@ WINDOW = 2048
 END_ID = 1
 SHARD_TOKENS = 1 << 19
 K1, B = 1.2, 0.75
-REMEMBERED = 1_500_000
+REMEMBERED = 1_200_000
 #: Letters from here on have exceptions of case or composition.
 EXCEPTIONAL = re.compile("[^\x00-\u012f]").search
 
@@ -82,6 +82,8 @@ class WordIds(dict):
         plain = not EXCEPTIONAL(word)
         if plain and word[-1] in ".," and word[:-1].isalpha():
             value = self[word[:-1]] + self[word[-1]]
+            if len(word) > 6:
+                return value  # most long words are rare, with the mark all the more
         elif plain and word.isalpha() and word.islower():
             spelled = word if word.isascii() else "".join(map(self.letters.__getitem__, unicodedata.normalize("NFC", word).encode()))
             value = array(self.code, [t.id for t in self.model.tokenize(spelled)]).tobytes()
