@@ -246,7 +246,11 @@ def match_benchmark(
     docs: DataFrame, items: DataFrame, *, text: str = "text", item_id: str = "item_id",
     item_text: str = "text", window: int = WINDOW, block_bytes: int = BLOCK_BYTES,
 ) -> DataFrame:
-    """docs with decon_words, decon_spans (hit words as start, length pairs), decon_items and decon_longest."""
+    """docs with decon_words, decon_spans (hit words as start, length pairs), decon_items and decon_longest.
+
+    Columns of these names in docs are replaced.
+    """
+    docs = docs.drop(*ADDED.names)
     out = bounded_batches(docs)
     schema = T.StructType([*docs.schema.fields, *ADDED.fields])
     for block, shared in enumerate(_indexes(docs.sparkSession, items, item_id=item_id, item_text=item_text, window=window, block_bytes=block_bytes)):

@@ -239,7 +239,11 @@ def fit(labelled: DataFrame, *, doc_id: str = "doc_id", text: str = "text", lang
 
 
 def identify(docs: DataFrame, chain: Chain, *, text: str = "text", with_words: bool = False) -> DataFrame:
-    """docs with lang_pred and lang_score, and with_words the label of every word in lang_words."""
+    """docs with lang_pred and lang_score, and with_words the label of every word in lang_words.
+
+    Columns of these names in docs are replaced.
+    """
+    docs = docs.drop("lang_pred", "lang_score", "lang_words")
     shared = docs.sparkSession.sparkContext.broadcast(chain)
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
     extra = ", lang_words array<struct<word: string, lang: string>>" if with_words else ""

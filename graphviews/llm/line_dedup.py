@@ -77,7 +77,11 @@ def removed_lines(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text"
 
 
 def dedup_lines(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", window: int = WINDOW) -> DataFrame:
-    """docs with the text that stays, and ld_lines and ld_removed (counts of lines)."""
+    """docs with the text that stays, and ld_lines and ld_removed (counts of lines).
+
+    Columns of docs that begin with ld_ and are named like one of this operator's are replaced.
+    """
+    docs = docs.drop("ld_k1", "ld_k2", "ld_starts", "ld_kept", "ld_lines", "ld_removed")
     gone = removed_lines(docs, doc_id=doc_id, text=text, window=window)
     lines = _lines(text)
     covered = F.flatten(F.transform("ld_starts", lambda p: F.sequence(p, p + (window - 1))))

@@ -35,6 +35,8 @@ TELLING = 10.83
 #: Bytes of the word beginnings that are features beside the word.
 HEADS = (5, 6, 7, 8)
 REMEMBERED = 400_000
+#: Probability from which a text counts as toxic.
+BAR = 0.4
 
 
 def sigmoid(x):
@@ -152,9 +154,10 @@ def fit(docs: DataFrame, labels: DataFrame, categories: dict[str, object], *, do
 
 
 def score(docs: DataFrame, chain: ChainModel, *, text: str = "text") -> DataFrame:
-    """docs with a probability p_<category> for each category."""
+    """docs with a probability p_<category> for each category; columns of these names in docs are replaced."""
     shared = docs.sparkSession.sparkContext.broadcast(chain)
     added = [f"p_{c}" for c, _ in chain.models]
+    docs = docs.drop(*added)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = shared.value
@@ -177,4 +180,4 @@ def op10_toxicity_chain(spark, sf_dir):
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     chain = fit(docs, table(spark, sf_dir, "labels"), CATEGORIES)
     out = score(docs, chain)
-    return out.select("doc_id", "p_low_quality", "p_toxic", (F.col("p_toxic") >= 0.5).alias("toxic"))
+    return out.select("doc_id", "p_low_quality", "p_toxic", (F.col("p_toxic") >= BAR).alias("toxic"))
