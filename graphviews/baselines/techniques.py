@@ -196,14 +196,10 @@ def _reaching(edges: DataFrame, all_edges: DataFrame) -> DataFrame:
 
 
 def closure_counts(old_edges: DataFrame, inserted: DataFrame, deleted: DataFrame) -> DataFrame:
-    """Reachable pairs of an acyclic graph with their numbers of paths, changed by paths through changed edges only."""
-    def paths(edges: DataFrame) -> DataFrame:
-        # paths with at least one changed edge, counted by the first of them: untouched prefix, then anything
-        return edges
-
+    """Reachable pairs of an acyclic graph with their numbers of paths; only sources that reach a changed edge count anew."""
     count = lambda e, seeds: expand(seeds, e, 1, None, "trail").groupBy(F.col("start").alias("s"), F.col("end").alias("t")).agg(F.count(F.lit(1)).alias("n"))
     old = stored(count(old_edges, old_edges.select(F.col("s").alias("start")).distinct()), "counted")
-    new_edges = paths(old_edges.join(deleted.select("e"), "e", "left_anti").unionByName(inserted))
+    new_edges = old_edges.join(deleted.select("e"), "e", "left_anti").unionByName(inserted)
     touched = _reaching(deleted, old_edges).unionByName(_reaching(inserted, new_edges)).distinct()
     less = old.join(touched.select(F.col("start").alias("s")), "s", "left_semi").withColumn("n", -F.col("n"))
     more = count(new_edges, touched)

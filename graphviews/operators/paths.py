@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphviews.plans.expr import PlanError, column
-from graphviews.plans.ops import BOTH, IN, OUT, TransitiveJoin
+from graphviews.plans.ops import IN, TransitiveJoin
 from graphviews.sources.graph import WEIGHT, consolidated, weighted_join
 from graphviews.sources.shared import dropped, stored
 
@@ -46,9 +46,8 @@ def expand(seeds: DataFrame, edges: DataFrame, low: int, up: int | None, mode: s
         front = step.select("start", F.col("t").alias("end"), grown.alias("steps"))
         if mode == "reach":
             front = front.dropDuplicates(["start", "end"])
-            if low > 1 and k < low:
-                pass  # ends of fewer hops are not answers, longer walks may come back to them
-            elif seen is not None:
+            # ends of fewer hops than low are no answers yet: longer walks may come back to them
+            if seen is not None and k >= low:
                 front = front.join(seen, ["start", "end"], "left_anti").select("start", "end", "steps")
         if loop:
             front = stored(front, "hop")
@@ -121,6 +120,3 @@ def doubled(edges: DataFrame) -> DataFrame:
         if more == n:
             return following
         pairs, n = following, more
-
-
-__all__ = ["BOTH", "OUT", "doubled", "edge_pairs", "expand", "indexed", "shortest", "transitive_join"]

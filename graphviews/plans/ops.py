@@ -7,7 +7,7 @@ a join plan whose leaves carry the properties that the query needs.
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field, fields, replace
+from dataclasses import dataclass, fields, replace
 from typing import Any
 
 OUT, IN, BOTH = "out", "in", "both"
@@ -174,13 +174,6 @@ class Union(Node):
     right: Node
 
 
-@dataclass(frozen=True)
-class Scope:
-    """Names in reach and their kinds: vertex, edge, path or value."""
-
-    kinds: dict[str, str] = field(default_factory=dict)
-
-
 def kinds(node: Node) -> dict[str, str]:
     """Variables of an operator's result and their kinds."""
     match node:

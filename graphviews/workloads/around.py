@@ -13,7 +13,7 @@ from graphviews.operators.paths import doubled, expand, shortest
 from graphviews.sources.commerce import near_customers, read_tables
 from graphviews.sources.graph import generic_graph
 from graphviews.sources.shared import new_path
-from graphviews.workloads.graph import BOTH, CLOSURE, KNOWS, PARENT
+from graphviews.workloads.graph import BOTH, CLOSURE, KNOWS
 
 QUERIES: dict[str, Callable] = {}
 ORACLE_SQL: dict[str, str] = {}
@@ -229,6 +229,3 @@ def _roundtrip(t):
     back = generic_graph(spark.read.parquet(where[0]), edges)
     out = back.query("MATCH (c:Customer)-[:PLACED]->(o:Order) WHERE o.status = 'F' RETURN c, o")
     return out.select(F.pmod("c", F.lit(KIND)).alias("c"), F.pmod("o", F.lit(KIND)).alias("o"))
-
-
-__all__ = ["ORACLE_SQL", "PARENT", "QUERIES"]

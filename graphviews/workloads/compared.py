@@ -7,7 +7,6 @@ from collections.abc import Callable
 from pyspark.sql import functions as F
 
 from graphviews.baselines import techniques as B
-from graphviews.maintenance.changes import ChangeSet
 from graphviews.sources.commerce import EDGES, VERTICES, commerce, read_tables
 from graphviews.sources.graph import PropertyGraph
 from graphviews.workloads import maintained as M
@@ -125,5 +124,3 @@ def _triples(spark, sf_dir):
     status = t.where("p = 'status' and o = 'F'").select(F.col("s").alias("order"))
     return placed.join(segment, "c").join(status, "order").groupBy(F.col("segment").alias("s")).agg(F.count(F.lit(1)).alias("n"))
 
-
-__all__ = ["ChangeSet", "ORACLE_SQL", "QUERIES"]
