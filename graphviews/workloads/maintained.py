@@ -125,3 +125,7 @@ def _running_delta(spark, sf_dir):
 
 
 QUERIES["w_running_delta"] = _running_delta
+ORACLE_SQL["w_running_delta"] = RUNNING_SQL.rstrip().removesuffix("SELECT name FROM nf WHERE n < 1").rstrip() + """, res AS (SELECT name FROM nf WHERE n < 1),
+cand AS (SELECT c_custkey, c_name, c_mktsegment FROM customer JOIN orders ON o_custkey = c_custkey WHERE c_name NOT IN (SELECT name FROM res) ORDER BY c_custkey, o_orderkey LIMIT 1),
+near AS (SELECT c_name AS name, (SELECT count(DISTINCT y.c_custkey) FROM k JOIN customer y ON y.c_custkey = k.b WHERE k.a = cand.c_custkey AND y.c_mktsegment = cand.c_mktsegment) AS n FROM cand)
+SELECT name, w, step FROM near, (VALUES (1::BIGINT, 1), (-1, 2)) t(w, step) WHERE n < 1"""
