@@ -36,6 +36,17 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+_memory: list = [None, None]
+
+
+def worker_memory(owner: str, make):
+    """What one operator remembers in a worker process from task to task; another owner's request drops it."""
+    if _memory[0] != owner:
+        _memory[:] = [None, None]
+        _memory[:] = [owner, make()]
+    return _memory[1]
+
+
 def bounded_batches(df: DataFrame, rows: int = 1000) -> DataFrame:
     """df, in a session that hands Python at most so many rows of texts at once."""
     name = "spark.sql.execution.arrow.maxRecordsPerBatch"

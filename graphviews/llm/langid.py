@@ -22,6 +22,7 @@ without a language, or an empty training table, teach nothing (everything is the
 from __future__ import annotations
 
 import re
+import uuid
 import zlib
 from collections import Counter
 from collections.abc import Iterator
@@ -31,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphviews.llm.common import bounded_batches, held_out, table
+from graphviews.llm.common import bounded_batches, held_out, table, worker_memory
 
 UNKNOWN = "und"
 SLOTS = 1 << 16
@@ -77,6 +78,7 @@ class Chain:
     def __init__(self, langs: list[str], lexicon: dict[str, int], weights, start, move):
         self.langs, self.lexicon = langs, lexicon
         self.weights, self.start, self.move = weights, start, move
+        self.token = uuid.uuid4().hex
 
     def scores(self, words: list[str]) -> np.ndarray:
         """Positive scores of each word for each language, the best about 1."""
@@ -183,8 +185,8 @@ def _predict(shared, text: str, with_words: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         chain: Chain = shared.value
         size = max(1, len(chain.langs))
-        # a reused worker keeps what it knows of words with the broadcast field
-        number, scores = chain.__dict__.get("memory") or ({}, np.zeros((1024, size), np.float32))
+        memory = worker_memory(chain.token, lambda: {"number": {}, "scores": np.zeros((1024, size), np.float32)})
+        number, scores = memory["number"], memory["scores"]
         for batch in batches:
             texts = batch.column(text).to_pylist()
             lo = 0
@@ -203,7 +205,7 @@ def _predict(shared, text: str, with_words: bool):
                     part = fresh[at : at + 20_000]
                     scores[len(number) : len(number) + len(part)] = chain.scores(part)
                     number.update(zip(part, range(len(number), len(number) + len(part))))
-                chain.memory = number, scores
+                memory.update(number=number, scores=scores)
                 lengths = np.fromiter(map(len, docs), np.int64, len(docs))
                 get = number.__getitem__
                 ids = np.fromiter((i for words in docs for i in map(get, words)), np.int64, int(lengths.sum()))

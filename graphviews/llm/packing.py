@@ -27,7 +27,6 @@ import unicodedata
 import zlib
 from array import array
 from collections.abc import Iterator
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -35,7 +34,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphviews.llm.common import bounded_batches, stored, table
+from graphviews.llm.common import bounded_batches, stored, table, worker_memory
 
 WINDOW = 2048
 END_ID = 1
@@ -114,10 +113,9 @@ class TextIds:
         return out
 
 
-@lru_cache(maxsize=1)
 def text_ids(path: str) -> TextIds:
     """One for each worker process, so that tasks share what it remembers."""
-    return TextIds(path)
+    return worker_memory(f"ids {path}", lambda: TextIds(path))
 
 
 def _crc(ids: np.ndarray) -> int:

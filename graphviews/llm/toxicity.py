@@ -18,6 +18,7 @@ repeated rows are scored each.
 
 from __future__ import annotations
 
+import uuid
 from collections import Counter
 from collections.abc import Iterator
 
@@ -26,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphviews.llm.common import alnum_words, bounded_batches, table
+from graphviews.llm.common import alnum_words, bounded_batches, table, worker_memory
 
 MAX_ROWS, MAX_CHARS, MIN_DOCS = 6000, 20_000, 8
 FOLDS, STEPS, RIDGE = 4, 150, 2e-4
@@ -98,7 +99,7 @@ class Linear:
 
 class ChainModel:
     def __init__(self, vocabulary: dict[bytes, int], models: list[tuple[str, Linear]]):
-        self.vocabulary, self.models = vocabulary, models
+        self.vocabulary, self.models, self.token = vocabulary, models, uuid.uuid4().hex
 
     def rows(self, texts: list[bytes | None], known: dict[bytes, tuple[int, ...]] | None = None) -> Sparse:
         """Feature numbers of each text; known remembers those of words from call to call."""
@@ -161,7 +162,7 @@ def score(docs: DataFrame, chain: ChainModel, *, text: str = "text") -> DataFram
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = shared.value
-        known = model.__dict__.setdefault("memory", {})
+        known = worker_memory(model.token, dict)
         for batch in batches:
             for lo in range(0, len(batch), 512):
                 part = batch.slice(lo, 512)
