@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import tempfile
 import uuid
 
@@ -47,6 +49,14 @@ def worker_memory(owner: str, make):
     return _memory[1]
 
 
+def returned_memory() -> None:
+    """Give freed memory of a worker process back to the system, where its C library can."""
+    gc.collect()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
 def bounded_batches(df: DataFrame, rows: int = 1000) -> DataFrame:
     """df, in a session that hands Python at most so many rows of texts at once."""
     name = "spark.sql.execution.arrow.maxRecordsPerBatch"

@@ -32,14 +32,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphviews.llm.common import bounded_batches, held_out, table, worker_memory
+from graphviews.llm.common import bounded_batches, held_out, returned_memory, table, worker_memory
 
 UNKNOWN = "und"
 SLOTS = 1 << 16
 PER_LANG, MAX_CHARS = 300, 4000
 STRETCH, BATCH, EPOCHS = 32, 128, 3
 #: Words in one pass of the chains, and words whose scores a worker remembers.
-CHAIN_WORDS, REMEMBERED = 500_000, 300_000
+CHAIN_WORDS, REMEMBERED = 350_000, 200_000
 WORD = re.compile(r"[^\W\d_]+")
 
 
@@ -227,6 +227,8 @@ def _predict(shared, text: str, with_words: bool):
                     names.append("lang_words")
                 yield pa.RecordBatch.from_arrays(out, names)
                 lo = hi
+        _SLOT.clear()
+        returned_memory()
 
     return run
 

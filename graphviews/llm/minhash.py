@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphviews.llm.common import blank_words, bounded_batches, shielded, stored, table
+from graphviews.llm.common import blank_words, bounded_batches, returned_memory, shielded, stored, table, worker_memory
 from graphviews.llm.components import components
 
 SHINGLE = 5
@@ -42,7 +42,7 @@ BUCKET_BLOCK = 2048
 CLUSTER_BLOCK = 512
 COLUMNS = 4096
 #: Words whose hashes a worker remembers before it starts anew.
-REMEMBERED = 400_000
+REMEMBERED = 250_000
 
 _rng = np.random.Generator(np.random.PCG64(20240901))
 _MUL = _rng.integers(0, 1 << 32, MINIMA, dtype=np.uint64).astype(np.uint32) | np.uint32(1)
@@ -102,7 +102,7 @@ def signature(sets: np.ndarray) -> tuple[bytes, np.ndarray]:
 
 
 def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    hashes = WordHashes()
+    hashes = worker_memory("word hashes", WordHashes)
     for batch in batches:
         texts = batch.column("text").cast(pa.binary())
         for lo in range(0, len(texts), 512):
@@ -119,6 +119,7 @@ def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 [batch.column("doc_id").slice(lo, 512), batch.column("text_hash").slice(lo, 512), pa.array(digests, pa.binary()), pa.array(sizes, pa.int64()), pa.array(packed, pa.binary()), pa.array(bands, pa.list_(pa.int64()))],
                 ["doc_id", "text_hash", "digest", "n_shingles", "sig", "bands"],
             )
+    returned_memory()
 
 
 def groups_of(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.RecordBatch]:
