@@ -6,11 +6,16 @@
 2. Document frequencies, the number of documents and their mean length are counted
    over all documents; they are arrays of the tokenizer's vocabulary, so what is
    broadcast does not grow with the data.
-3. Units are dealt to shards of about ``shard_tokens`` tokens.  Each shard builds an
-   inverted index with BM25 weights; the longest unused unit is the seed, all unused
-   units are ranked by score, and they fill the window in that order.  The last one
-   is cut at the window's end, its rest stays unused.
-4. What a shard has left at the end is cut into sequences of a power of two.
+3. The longest unused units are seeds, some thousand a round.  Each is a query of its
+   whole document's terms to the indexes of all partitions, whose best unused units are
+   merged; equal scores go by the next unit after the seed.  The seed's window takes
+   them in that order, the last one is cut at the window's end, its rest stays unused.
+   A document is indexed by all its terms, whatever its tail holds.
+4. What is left at the end is cut into sequences of a power of two.
+
+Every seed meets every unused unit, so the work grows with the square of the tails.
+The driver keeps what is left of each tail (some bytes a document) and a round's
+candidates, whose number is fixed at first and grows where lists run dry.
 
 So no sequence is padded.  Word by word tokenization with a memory of known words
 gives the ids of the whole text: the tokenizer's rules never reach across a blank,
@@ -34,19 +39,22 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphviews.llm.common import bounded_batches, stored, table, worker_memory
+from graphviews.llm.common import bounded_batches, scratch_path, stored, table, worker_memory
 
 WINDOW = 2048
 END_ID = 1
 SHARD_TOKENS = 1 << 19
 K1, B = 1.2, 0.75
+#: Seeds of one round and of one matrix product, candidates of a round, and the inverse share of documents from which a term is common.
+SEEDS, BLOCK, PAIRS, COMMON = 8192, 256, 1 << 18, 16
+FAR = (1 << 32) - 1
 REMEMBERED = 1_200_000
 #: Letters from here on have exceptions of case or composition.
 EXCEPTIONAL = re.compile("[^\x00-\u012f]").search
 
-SCHEMA = "kind int, doc_id long, start long, length long, doc_tokens long, ids_crc32 long, sequence_id long, ids binary"
+SCHEMA = "kind int, doc_id long, start long, length long, doc_tokens long, ids_crc32 long, sequence_id long, ids binary, terms binary, counts binary"
 PIECE = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
-FULL, TAIL, TERM, TOTAL = 0, 1, 2, 3
+FULL, TAIL, TERM, TOTAL, LENGTHS = 0, 1, 2, 3, 4
 
 
 def default_tokenizer() -> str:
@@ -130,9 +138,10 @@ def _encode(path: str, window: int):
         encoder = text_ids(path)
         frequency = np.zeros(encoder.vocabulary, np.int64)
         documents = tokens = made = 0
+        lengths = array("I")
         base = TaskContext.get().partitionId() << 34
         names = [f.split()[0] for f in SCHEMA.split(", ")]
-        types = [pa.int32(), *[pa.int64()] * 6, pa.binary()]
+        types = [pa.int32(), *[pa.int64()] * 6, *[pa.binary()] * 3]
 
         def batch_of(rows):
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), types)], names)
@@ -144,74 +153,141 @@ def _encode(path: str, window: int):
                 for doc, raw in zip(ids_of.slice(lo, 256).to_pylist(), encoder.of(texts.slice(lo, 256).to_pylist())):
                     ids = np.frombuffer(raw, encoder.kind)
                     n = len(ids)
-                    frequency[np.unique(ids)] += 1
+                    terms, counts = np.unique(ids, return_counts=True)
+                    frequency[terms] += 1
                     documents += 1
                     tokens += n
                     whole = n - n % window
                     for start in range(0, whole, window):
-                        rows.append((FULL, doc, start, window, n, _crc(ids[start : start + window]), (base + made) * 2, None))
+                        rows.append((FULL, doc, start, window, n, _crc(ids[start : start + window]), (base + made) * 2, None, None, None))
                         made += 1
                     if whole < n:
-                        rows.append((TAIL, doc, whole, n - whole, n, None, None, ids[whole:].tobytes()))
+                        rows.append((TAIL, doc, whole, n - whole, n, None, base + len(lengths), ids[whole:].tobytes(), terms.tobytes(), counts.astype("<u4").tobytes()))
+                        lengths.append(n - whole)
                 yield batch_of(rows)
         if documents:
-            rows = [(TERM, None, t, int(frequency[t]), None, None, None, None) for t in np.flatnonzero(frequency).tolist()]
-            yield batch_of([*rows, (TOTAL, None, documents, tokens, None, None, None, None)])
+            rows = [(TERM, None, t, int(frequency[t]), *[None] * 6) for t in np.flatnonzero(frequency).tolist()]
+            yield batch_of([*rows, (TOTAL, None, documents, tokens, *[None] * 6), (LENGTHS, None, base >> 34, None, None, None, None, lengths.tobytes(), None, None)])
 
     return run
 
 
 class ShardIndex:
-    """Inverted index of a shard's units with BM25 weights from counts over the whole corpus."""
+    """Inverted index of a shard's units with BM25 weights from counts over the whole corpus.
+
+    A unit is indexed by its whole document: parts has the terms and counts of each,
+    sizes the documents' lengths; without them the units are the documents.  Weights are
+    whole 1/256, so sums are exact and a score is the same in any shard.
+    """
 
-    def __init__(self, units: list[np.ndarray], frequency: np.ndarray, documents: int, mean: float):
-        parts = [np.unique(u, return_counts=True) for u in units]
+    def __init__(self, units: list[np.ndarray], frequency: np.ndarray, documents: int, mean: float, parts=None, sizes=None):
+        parts = [np.unique(u, return_counts=True) for u in units] if parts is None else parts
+        sizes = np.fromiter(map(len, units), np.float64, len(units)) if sizes is None else np.asarray(sizes, np.float64)
         self.terms = [t for t, _ in parts]
-        sizes = np.fromiter((len(t) for t in self.terms), np.int64, len(units))
-        term = np.concatenate(self.terms) if units else np.zeros(0, np.int64)
-        count = np.concatenate([c for _, c in parts]).astype(np.float64) if units else np.zeros(0)
-        unit = np.repeat(np.arange(len(units)), sizes)
+        many = np.fromiter((len(t) for t in self.terms), np.int64, len(parts))
+        term = np.concatenate(self.terms).astype(np.int64) if parts else np.zeros(0, np.int64)
+        count = np.concatenate([c for _, c in parts]).astype(np.float64) if parts else np.zeros(0)
+        unit = np.repeat(np.arange(len(parts)), many)
         df = np.maximum(frequency[term], 1)
         idf = np.maximum(np.log((documents - df + 0.5) / (df + 0.5)), 0)
-        norm = K1 * (1 - B + B * np.fromiter(map(len, units), np.float64, len(units)) / mean)
-        weight = idf * count * (K1 + 1) / (count + norm[unit])
+        norm = K1 * (1 - B + B * sizes / mean)
+        weight = np.rint(256 * idf * count * (K1 + 1) / (count + norm[unit]))
         telling = weight > 0
-        term, unit, weight = term[telling], unit[telling], weight[telling]
+        term, unit, weight = term[telling], unit[telling], weight[telling].astype(np.float32)
+        # what many documents have goes through a matrix product, the rest through postings
+        self.n, self.size = len(parts), len(frequency)
+        common = np.flatnonzero(frequency * COMMON > documents)
+        self.column = np.full(self.size, -1, np.int64)
+        self.column[common] = np.arange(len(common))
+        column = self.column[term]
+        self.matrix = np.zeros((len(common), self.n), np.float32)
+        self.matrix[column[column >= 0], unit[column >= 0]] = weight[column >= 0]
+        term, unit, weight = term[column < 0], unit[column < 0], weight[column < 0]
         order = np.argsort(term, kind="stable")
-        self.unit, self.weight = unit[order], weight[order].astype(np.float32)
-        self.begin = np.searchsorted(term[order], np.arange(len(frequency) + 1))
-        self.n = len(units)
-
-    def scores(self, seed: int) -> np.ndarray:
-        """BM25 of every unit for the seed's terms as the query."""
-        lo, hi = self.begin[self.terms[seed]], self.begin[self.terms[seed].astype(np.int64) + 1]
-        size = hi - lo
+        self.unit, self.weight = unit[order], weight[order]
+        self.begin = np.searchsorted(term[order], np.arange(self.size + 1))
+
+    def block(self, queries: list[np.ndarray]) -> np.ndarray:
+        """BM25 in 1/256 of every unit for each query's terms."""
+        query = np.repeat(np.arange(len(queries)), [len(q) for q in queries])
+        term = np.concatenate(queries).astype(np.int64)
+        column = self.column[term]
+        asked = np.zeros((len(queries), len(self.matrix)), np.float32)
+        asked[query[column >= 0], column[column >= 0]] = 1
+        out = asked @ self.matrix
+        query, term = query[column < 0], term[column < 0]
+        lo = self.begin[term]
+        size = self.begin[term + 1] - lo
         at = np.arange(size.sum()) + np.repeat(lo - (np.cumsum(size) - size), size)
-        return np.bincount(self.unit[at], self.weight[at], self.n)
+        out += np.bincount(np.repeat(query * self.n, size) + self.unit[at], self.weight[at], out.size).reshape(out.shape)
+        return out
+
+    def keys(self, queries: list[np.ndarray], seeds: np.ndarray, names: np.ndarray, total: int) -> np.ndarray:
+        """A number for each query and unit: the score, then how soon the unit's name follows the seed's, round the end; -1 for the seed itself."""
+        after = names[None, :] - seeds[:, None]
+        after += np.where(after < 0, total, 0)
+        return np.where(after > 0, (self.block(queries).astype(np.int64) << 32) + (FAR - after), -1)
+
+
+def largest(keys: np.ndarray, k: int) -> np.ndarray:
+    return keys if keys.shape[1] <= k else np.partition(keys, keys.shape[1] - k, 1)[:, -k:]
+
+
+def fill_windows(lengths: np.ndarray, window: int, search, seeds: int = SEEDS) -> Iterator[list[list[tuple[int, int, int]]]]:
+    """Rounds of sequences of (unit, start in it, length); each but the last ones full, those of a power of two.
+
+    ``search(seeds, left, k)`` gives the k best of all units that have ids left for each
+    seed, best first.  The longest units are seeds; each takes what is left of its best
+    units in turn.  One whose list does not fill the window waits for the next round, so
+    every window has the best of all units that are left when it is filled.
+    """
+    left, start = lengths.astype(np.int32), np.zeros(len(lengths), np.int32)
+    pairs = PAIRS
+    while total := int(left.sum(dtype=np.int64)):
+        unused = int(np.count_nonzero(left))
+        wanted = min(unused, max(512, min(seeds, total // window // 2, pairs // 32)))
+        k = max(32, pairs // wanted)
+        chosen = np.argsort(-left, kind="stable")[:wanted]
+        was, sequences = left[chosen], []
+        for seed, length, found in zip(chosen.tolist(), was.tolist(), search(chosen, left, k)):
+            if left[seed] != length:
+                continue  # used or cut in this round
+            units, room = [seed], window - length
+            for unit in found.tolist():
+                if room <= 0:
+                    break
+                if left[unit]:
+                    units.append(unit)
+                    room -= int(left[unit])
+            if room > 0 and k < unused - 1:
+                continue
+            filled, room = [], window
+            for unit in units:
+                take = min(room, int(left[unit]))
+                filled.append((unit, int(start[unit]), take))
+                start[unit] += take
+                left[unit] -= take
+                room -= take
+            sequences += [filled] if not room else powers_of_two(filled)
+        if len(sequences) < wanted // 16 + 1:
+            pairs *= 4
+        yield sequences
 
 
 def pack_shard(units: list[np.ndarray], index: ShardIndex, window: int) -> list[list[tuple[int, int, int]]]:
-    """Sequences of (unit, start in it, length); each but the last ones full, those of a power of two."""
-    start = np.zeros(len(units), np.int64)
-    left = np.fromiter(map(len, units), np.int64, len(units))
-    total, sequences = int(left.sum()), []
-    while total:
-        seed = int(np.argmax(left))
-        score = index.scores(seed)
-        unused = np.flatnonzero(left)
-        order = unused[np.argsort(-score[unused], kind="stable")]
-        filled, room = [], window
-        for unit in [seed, *(u for u in order.tolist() if u != seed)]:
-            take = min(room, int(left[unit]))
-            filled.append((unit, int(start[unit]), take))
-            start[unit] += take
-            left[unit] -= take
-            room -= take
-            if not room:
-                break
-        total -= window - room
-        sequences += [filled] if not room else powers_of_two(filled)
-    return sequences
+    """The sequences of units that one index holds."""
+    names = np.arange(len(units))
+
+    def search(seeds, left, k):
+        keys = np.where(left > 0, index.keys([index.terms[i] for i in seeds], seeds, names, len(units)), -1)
+        return units_of(-np.sort(-largest(keys, k), 1), seeds, len(units))
+
+    return [x for part in fill_windows(np.fromiter(map(len, units), np.int64, len(units)), window, search) for x in part]
+
+
+def units_of(keys: np.ndarray, seeds: np.ndarray, total: int) -> list[np.ndarray]:
+    """Names of units from sorted keys."""
+    return [(FAR - (row[row >= 0] & FAR) + seed) % total for row, seed in zip(keys, seeds)]
 
 
 def powers_of_two(pieces: list[tuple[int, int, int]]) -> list[list[tuple[int, int, int]]]:
@@ -233,21 +309,80 @@ def powers_of_two(pieces: list[tuple[int, int, int]]) -> list[list[tuple[int, in
     return out
 
 
-def _pack(shared, window: int):
+def _terms_of(shared):
+    """Names and terms of the seeds."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        offsets, seeds = shared.value
+        for batch in batches:
+            names = _names(batch, offsets)
+            at = np.flatnonzero(np.isin(names, seeds))
+            if len(at):
+                yield pa.RecordBatch.from_arrays([pa.array(names[at]), batch.column("terms").take(pa.array(at))], ["name", "terms"])
+
+    return run
+
+
+def _names(batch: pa.RecordBatch, offsets: np.ndarray) -> np.ndarray:
+    raw = batch.column("sequence_id").to_numpy()
+    return offsets[raw >> 34] + (raw & ((1 << 34) - 1))
+
+
+def _search(counted, asked, shard_tokens: int):
+    """The best units of a partition for each block of seeds, from one index of about shard_tokens after another."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kind, frequency, documents, mean = counted.value
+        offsets, seeds, terms, unused, total, k = asked.value
+        unused = np.unpackbits(unused, count=total).astype(bool)
+        queries = [np.frombuffer(x, kind) for x in terms]
+        best = [np.full((len(seeds[at : at + BLOCK]), 0), -1, np.int64) for at in range(0, len(seeds), BLOCK)]
+        parts, sizes, names, held = [], [], [], 0
+
+        def ask():
+            index, own = ShardIndex([], frequency, documents, mean, parts, sizes), np.array(names, np.int64)
+            for i, at in enumerate(range(0, len(seeds), BLOCK)):
+                keys = index.keys(queries[at : at + BLOCK], seeds[at : at + BLOCK], own, total)
+                best[i] = largest(np.concatenate([best[i], largest(keys, k)], 1), k)
+
+        for batch in batches:
+            own = _names(batch, offsets)
+            at = np.flatnonzero(unused[own])
+            columns = [batch.column(c).take(pa.array(at)).to_pylist() for c in ("terms", "counts", "doc_tokens")]
+            for name, t, c, n in zip(own[at].tolist(), *columns):
+                t = np.frombuffer(t, kind)
+                parts.append((t, np.frombuffer(c, "<u4")))
+                sizes.append(n)
+                names.append(name)
+                held += len(t)
+                if held >= shard_tokens:
+                    ask()
+                    parts, sizes, names, held = [], [], [], 0
+        if parts:
+            ask()
+        for i, keys in enumerate(best):
+            if keys.shape[1]:
+                yield pa.RecordBatch.from_arrays([pa.array([i], pa.int32()), pa.array([keys.shape[1]], pa.int32()), pa.array([keys.tobytes()], pa.binary())], ["block", "wide", "keys"])
+
+    return run
+
+
+def _merged(k: int):
     def run(group: pa.Table) -> pa.Table:
-        kind, frequency, documents, mean = shared.value
-        group = group.sort_by([("unit", "ascending")])
-        doc, start, total = (group.column(c).to_pylist() for c in ("doc_id", "start", "doc_tokens"))
-        shard = group.column("shard")[0].as_py()
-        units = [np.frombuffer(x, kind) for x in group.column("ids").to_pylist()]
-        rows = []
-        for k, pieces in enumerate(pack_shard(units, ShardIndex(units, frequency, documents, mean), window)):
-            offset = 0
-            for unit, at, n in pieces:
-                rows.append((doc[unit], start[unit] + at, n, _crc(units[unit][at : at + n]), total[unit], ((shard << 34) + k) * 2 + 1, offset))
-                offset += n
+        keys = np.concatenate([np.frombuffer(x, np.int64).reshape(-1, w) for x, w in zip(group.column("keys").to_pylist(), group.column("wide").to_pylist())], 1)
+        keys = -np.sort(-largest(keys, k), 1)
+        return pa.table({"block": group.column("block").slice(0, 1), "wide": pa.array([keys.shape[1]], pa.int32()), "keys": pa.array([keys.tobytes()], pa.binary())})
+
+    return run
+
+
+def _digests(shared):
+    """Pieces from rows of a tail and where a piece of it lies."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = [f.split()[0] for f in PIECE.split(", ")]
-        return pa.table({n: pa.array(c, pa.int64()) for n, c in zip(names, zip(*rows))})
+        for batch in batches:
+            at, n = batch.column("at").to_pylist(), batch.column("length").to_pylist()
+            crc = [_crc(np.frombuffer(x, shared.value[0])[a : a + m]) for x, a, m in zip(batch.column("ids").to_pylist(), at, n)]
+            columns = {c: batch.column(c) for c in names if c != "ids_crc32"} | {"ids_crc32": pa.array(crc, pa.int64())}
+            yield pa.RecordBatch.from_arrays([columns[c] for c in names], names)
 
     return run
 
@@ -259,24 +394,59 @@ def pack(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", tokeniz
     plain = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"))
     encoded = stored(bounded_batches(plain).mapInArrow(_encode(path, window), SCHEMA), "encoded")
     terms = encoded.where(F.col("kind") == TERM).groupBy("start").agg(F.sum("length").alias("n")).toPandas()  # at most the vocabulary
-    totals = encoded.agg(
-        F.sum(F.when(F.col("kind") == TOTAL, F.col("start"))).alias("documents"),
-        F.sum(F.when(F.col("kind") == TOTAL, F.col("length"))).alias("tokens"),
-        F.sum(F.when(F.col("kind") == TAIL, F.col("length"))).alias("tails"),
-    ).first()
+    totals = encoded.where(F.col("kind") == TOTAL).agg(F.sum("start").alias("documents"), F.sum("length").alias("tokens")).first()
     encoder = TextIds(path)
     frequency = np.zeros(encoder.vocabulary, np.int64)
     frequency[terms["start"].to_numpy(np.int64)] = terms["n"].to_numpy(np.int64)
     documents = totals["documents"] or 0
-    shared = spark.sparkContext.broadcast((encoder.kind, frequency, documents, (totals["tokens"] or 0) / max(1, documents)))
-    shards = max(1, -(-(totals["tails"] or 0) // shard_tokens))
-    tails = encoded.where(F.col("kind") == TAIL).withColumn("unit", F.monotonically_increasing_id())
-    tails = tails.withColumn("shard", F.pmod(F.xxhash64("unit"), F.lit(shards)))
-    packed = tails.select("shard", "unit", "doc_id", "start", "doc_tokens", "ids").groupBy("shard").applyInArrow(_pack(shared, window), PIECE)
+    counted = spark.sparkContext.broadcast((encoder.kind, frequency, documents, (totals["tokens"] or 0) / max(1, documents)))
+    # four bytes a tail: what is left of it is kept here while windows are filled
+    dealt = sorted(((r["start"], bytes(r["ids"])) for r in encoded.where(F.col("kind") == LENGTHS).select("start", "ids").collect()))
+    lengths = np.concatenate([np.zeros(0, "<u4"), *(np.frombuffer(x, "<u4") for _, x in dealt)])
+    first = np.array([p for p, _ in dealt], np.int64)
+    before = np.cumsum([0, *(len(x) // 4 for _, x in dealt)])
+    offsets = np.zeros(int(first.max(initial=-1)) + 1, np.int64)
+    offsets[first] = before[:-1]
+    tails = encoded.where(F.col("kind") == TAIL)
+    spread = tails.select("sequence_id", "doc_tokens", "terms", "counts").coalesce(2 * spark.sparkContext.defaultParallelism)
+
+    def search(seeds, left, k):
+        wanted = spark.sparkContext.broadcast((offsets, np.sort(seeds)))
+        got = tails.select("sequence_id", "terms").mapInArrow(_terms_of(wanted), "name long, terms binary").toArrow()
+        own = dict(zip(got.column("name").to_pylist(), got.column("terms").to_pylist()))
+        asked = spark.sparkContext.broadcast((offsets, seeds, [own[x] for x in seeds.tolist()], np.packbits(left > 0), len(left), k))
+        found = spread.mapInArrow(_search(counted, asked, shard_tokens), "block int, wide int, keys binary")
+        found = found.groupBy("block").applyInArrow(_merged(k), "block int, wide int, keys binary").toArrow()
+        wanted.destroy()
+        asked.destroy()
+        best = {b: np.frombuffer(x, np.int64).reshape(-1, w) for b, w, x in zip(*(found.column(c).to_pylist() for c in ("block", "wide", "keys")))}
+        for i, at in enumerate(range(0, len(seeds), BLOCK)):
+            part = seeds[at : at + BLOCK]
+            yield from units_of(best.get(i, np.zeros((len(part), 0), np.int64)), part, len(left))
+
+    where, made = scratch_path(spark, "windows"), 0
+    for sequences in fill_windows(lengths, window, search):
+        rows = []
+        for pieces in sequences:
+            offset = 0
+            for unit, at, n in pieces:
+                rows.append((unit, at, n, made * 2 + 1, offset))
+                offset += n
+            made += 1
+        if rows:
+            unit, *rest = (np.array(c, np.int64) for c in zip(*rows))
+            part = np.searchsorted(before, unit, "right") - 1
+            columns = [(first[part] << 34) + unit - before[part], *rest]
+            spark.createDataFrame(pa.table([pa.array(c) for c in columns], names=["unit", "at", "length", "sequence", "offset"])).coalesce(1).write.mode("append").parquet(where)
     whole = encoded.where(F.col("kind") == FULL).select(
         "doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", F.lit(0).cast("long").alias("offset")
     )
-    return whole.unionByName(packed)
+    if not made:
+        return whole
+    pieces = spark.read.schema("unit long, at long, length long, sequence long, offset long").parquet(where)
+    rows = tails.select(F.col("sequence_id").alias("unit"), "doc_id", F.col("start").alias("begin"), "doc_tokens", "ids").join(pieces, "unit")
+    rows = rows.select("doc_id", (F.col("begin") + F.col("at")).alias("start"), "length", "doc_tokens", F.col("sequence").alias("sequence_id"), "offset", "at", "ids")
+    return whole.unionByName(rows.mapInArrow(_digests(counted), PIECE))
 
 
 def op2_retrieval_packing(spark, sf_dir):
