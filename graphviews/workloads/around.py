@@ -190,6 +190,15 @@ def _shortest(t):
     return shortest(edges, start, 12).select(F.col("start").alias("a"), F.col("end").alias("b"), F.col("hops").alias("n"))
 
 
+@register("o_shortest_all")
+def _shortest_all(t):
+    """From every customer, however far; recursion that stops at no length has no SQL here."""
+    k = near_customers(t)
+    edges = k.select(F.col("k").alias("s"), F.col("k2").alias("t")).unionByName(k.select(F.col("k2").alias("s"), F.col("k").alias("t")))
+    start = t["customer"].select(F.col("c_custkey").alias("start"))
+    return shortest(edges, start).select(F.col("start").alias("a"), F.col("end").alias("b"), F.col("hops").alias("n"))
+
+
 @register("o_path_doubling", f"WITH RECURSIVE {CLOSURE} SELECT c AS s, p AS t FROM up")
 def _doubling(t):
     return doubled(t["part"].where("p_partkey > 0").select(F.col("p_partkey").alias("s"), F.expr("(p_partkey - 1) div 4").alias("t")))
