@@ -254,22 +254,51 @@ def topk(plan: SortTop, graph: PropertyGraph, changes: ChangeSet, spare: int = 5
 def higher_order(graph: PropertyGraph, changes: ChangeSet) -> DataFrame:
     """Revenue by customer segment and part brand, where the change queries are kept as tables themselves.
 
-    The three-way join sum needs, for a changed line, only the segment of its order and
-    the brand of its part; those lookups are kept, so a refresh joins no base table.
+    For a changed line the join needs the segment of its order and the brand of its part;
+    for a changed order its lines; for a changed customer the sums of the lines by customer
+    and part; for a changed part the sums by part and segment.  These are kept.  A change
+    of one table meets the new state of the tables after it and the old of those before.
     """
-    t = graph.tables
-    segment_of = stored(t["orders"].join(t["customer"], F.col("o_custkey") == F.col("c_custkey")).select("o_orderkey", "c_mktsegment"), "segment_of")
-    brand_of = stored(t["part"].select("p_partkey", "p_brand"), "brand_of")
+    t = {k: weighted(graph.tables[k]) for k in ("lineitem", "orders", "customer", "part")}
+    delta = {k: changes.tables.get(k, graph.tables[k].limit(0)) for k in t}
+    delta = {k: consolidated(weighted(d).select(*t[k].columns)) for k, d in delta.items()}
     money = F.col("l_extendedprice").cast("decimal(38,6)")
 
-    def lines(df: DataFrame, segments: DataFrame) -> DataFrame:
-        rows = weighted(df).join(segments, F.col("l_orderkey") == F.col("o_orderkey")).join(brand_of, F.col("l_partkey") == F.col("p_partkey"))
-        return rows.groupBy("c_mktsegment", "p_brand").agg(F.sum(F.col(WEIGHT)).alias("n"), F.sum(money * F.col(WEIGHT)).cast("decimal(38,6)").alias("total"))
-
-    view = stored(lines(t["lineitem"], segment_of), "revenue")
-    more = weighted(changes.tables["orders"]).where(F.col(WEIGHT) > 0).join(t["customer"], F.col("o_custkey") == F.col("c_custkey")).select("o_orderkey", "c_mktsegment")
-    delta = lines(changes.tables["lineitem"], segment_of.unionByName(more).distinct())
-    return view.unionByName(delta).groupBy("c_mktsegment", "p_brand").agg(F.sum("n").alias("n"), F.sum("total").alias("total")).where("n > 0")
+    def sums(df: DataFrame, *keys: str) -> DataFrame:
+        return df.groupBy(*keys).agg(F.sum("n").alias("n"), F.sum("total").cast("decimal(38,6)").alias("total"))
+
+    def times(df: DataFrame) -> DataFrame:
+        return df.withColumns({"n": F.col("n") * F.col(WEIGHT), "total": (F.col("total") * F.col(WEIGHT)).cast("decimal(38,6)")}).drop(WEIGHT)
+
+    def lines(df: DataFrame) -> DataFrame:
+        return df.select("l_orderkey", "l_partkey", F.col(WEIGHT).alias("n"), (money * F.col(WEIGHT)).cast("decimal(38,6)").alias("total"))
+
+    customers = lambda df: df.select(F.col("c_custkey").alias("o_custkey"), "c_mktsegment", WEIGHT)
+    parts = lambda df: df.select(F.col("p_partkey").alias("l_partkey"), "p_brand", WEIGHT)
+    orders = lambda df: df.select(F.col("o_orderkey").alias("l_orderkey"), "o_custkey", WEIGHT)
+    by = ("c_mktsegment", "p_brand")
+
+    # kept from the old tables
+    segment_of = stored(weighted_join(orders(t["orders"]), customers(t["customer"]), ["o_custkey"]).select("l_orderkey", "c_mktsegment", WEIGHT), "segment_of")
+    by_order = stored(sums(lines(t["lineitem"]), "l_orderkey", "l_partkey"), "by_order")
+    by_customer = stored(sums(times(by_order.join(orders(t["orders"]), "l_orderkey")), "o_custkey", "l_partkey"), "by_customer")
+    by_part = stored(sums(times(by_order.join(segment_of, "l_orderkey")), "l_partkey", "c_mktsegment"), "by_part")
+    view = stored(sums(times(by_part.join(parts(t["part"]), "l_partkey")), *by), "revenue")
+
+    new_brand = consolidated(added([parts(t["part"]), parts(delta["part"])]))
+    new_customers = consolidated(added([customers(t["customer"]), customers(delta["customer"])]))
+    orders_in = weighted_join(orders(delta["orders"]), new_customers, ["o_custkey"]).select("l_orderkey", "c_mktsegment", WEIGHT)
+    segments_in = weighted_join(orders(t["orders"]), customers(delta["customer"]), ["o_custkey"]).select("l_orderkey", "c_mktsegment", WEIGHT)
+    new_segment = consolidated(added([segment_of, orders_in, segments_in]))
+    branded = lambda df: times(df.join(new_brand, "l_partkey"))
+    parts_ = [
+        view,
+        sums(times(by_part.join(parts(delta["part"]), "l_partkey")), *by),
+        sums(branded(times(by_customer.join(customers(delta["customer"]), "o_custkey"))), *by),
+        sums(branded(times(by_order.join(orders_in, "l_orderkey"))), *by),
+        sums(branded(times(lines(delta["lineitem"]).join(new_segment, "l_orderkey"))), *by),
+    ]
+    return sums(reduce(DataFrame.unionByName, parts_), *by).where("n > 0")
 
 
 def nested(graph: PropertyGraph, changes: ChangeSet) -> DataFrame:

@@ -77,6 +77,13 @@ def _higher_order(spark, sf_dir):
     return out.select(F.col("c_mktsegment").alias("s"), F.col("p_brand").alias("brand"), "n", F.col("total").cast("double").alias("total"))
 
 
+@register("b_higher_order_mixed", f"WITH {M.FINAL} SELECT c_mktsegment AS s, p_brand AS brand, count(*)::BIGINT AS n, CAST(sum(CAST(l_extendedprice AS DECIMAL(18, 6))) AS DOUBLE) AS total FROM lineitem JOIN orders ON o_orderkey = l_orderkey JOIN customer ON c_custkey = o_custkey JOIN part ON p_partkey = l_partkey GROUP BY 1, 2")
+def _higher_order_mixed(spark, sf_dir):
+    """The same view under changes of all four tables."""
+    out = B.higher_order(*_mixed(spark, sf_dir))
+    return out.select(F.col("c_mktsegment").alias("s"), F.col("p_brand").alias("brand"), "n", F.col("total").cast("double").alias("total"))
+
+
 @register("b_nested", f"WITH {M.FINAL} SELECT l_orderkey AS o, count(*)::INT AS n, sum(l_quantity) AS q FROM lineitem GROUP BY 1")
 def _nested(spark, sf_dir):
     graph, changes = _mixed(spark, sf_dir)
