@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from graphviews.baselines.common import Unsupported, require
 from graphviews.maintenance.changes import ChangeSet, added, negated, weighted
 from graphviews.maintenance.network import Network, primitive_leaves
+from graphviews.maintenance.relevance import relevant
 from graphviews.operators.lowering import Lowering, shared_variables
 from graphviews.operators.paths import expand
 from graphviews.plans.expr import column, to_column
@@ -101,6 +102,7 @@ def counting(plan: Node, graph: PropertyGraph, changes: ChangeSet) -> DataFrame:
 def spj(plan: Node, graph: PropertyGraph, changes: ChangeSet) -> tuple[DataFrame, dict[str, int]]:
     """Select-project-join views; changes that no leaf's conditions can meet are dropped first."""
     require("spj", plan)
+    changes = relevant(plan, graph, changes)
     plan = primitive_leaves(plan, graph)
     derived = DeltaQueries(graph, changes, "spj")
     kept = {}
