@@ -8,7 +8,8 @@ Forward-backward gives each word's language probabilities; a text has the langua
 of the largest sum over all its words, and the mean probability as its score.
 
 Training uses at most ``per_lang`` labelled rows of each language of at most
-``max_chars`` characters (those of the smallest id hashes), which bounds what the
+``max_chars`` characters (those of the smallest id hashes; where there are too few, inner
+pieces of longer rows), which bounds what the
 driver holds; prediction covers every whole text and sees nothing but the text.
 The chains of a batch advance together, word by word, the longest first, so the
 work is vectorised over documents and a very long text costs its own length only.
@@ -116,6 +117,14 @@ def chain_posteriors(emit: np.ndarray, lengths: np.ndarray, start: np.ndarray, m
     return alpha
 
 
+def stretches_of(words: list[str]) -> list[list[str]]:
+    """Stretches of one length that cover all words: the last one reaches back, a short text is repeated."""
+    half = STRETCH // 2
+    if len(words) < half:
+        return [(words * half)[:half]] if words else []
+    return [words[min(i, len(words) - half) :][:half] for i in range(0, len(words), half)]
+
+
 def train(rows: list[tuple[str, str]], seed: int = 7) -> Chain:
     """Fit the field to (language, text) rows by stochastic gradients of the conditional likelihood."""
     langs = sorted({lang for lang, _ in rows})
@@ -129,8 +138,7 @@ def train(rows: list[tuple[str, str]], seed: int = 7) -> Chain:
     total: Counter = sum(counts, Counter())
     lexicon = {w: i for i, c in enumerate(counts) for w, n in c.items() if n >= 3 and n > 0.9 * total[w]}
     rng = np.random.default_rng(seed)
-    stretches = [(lang, words[i : i + STRETCH // 2]) for lang, words in docs for i in range(0, len(words), STRETCH // 2)]
-    stretches = [s for s in stretches if len(s[1]) == STRETCH // 2] or [(lang, (words * STRETCH)[: STRETCH // 2]) for lang, words in docs if words]
+    stretches = [(lang, s) for lang, words in docs for s in stretches_of(words)]
     known = {w: i for i, w in enumerate(sorted({w for _, ws in stretches for w in ws}))}
     slots = [features(w, lexicon) for w in known]
     wide = max(map(len, slots), default=1)
@@ -236,8 +244,11 @@ def _predict(shared, text: str, with_words: bool):
 def fit(labelled: DataFrame, *, doc_id: str = "doc_id", text: str = "text", lang: str = "lang", per_lang: int = PER_LANG, max_chars: int = MAX_CHARS) -> Chain:
     """Train on at most per_lang rows of each language."""
     rows = labelled.select(F.col(doc_id).alias("id"), F.col(text).alias("text"), F.col(lang).alias("lang"))
-    rows = rows.where(F.col("lang").isNotNull() & F.col("text").rlike(r"\p{L}") & (F.length("text") <= max_chars))
-    rank = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("id"), "id", "text"))
+    # an inner piece of a longer row stands behind all rows that are short enough
+    long = F.length("text") > max_chars
+    piece = F.when(long, F.col("text").substr(((F.length("text") - max_chars) / 2).cast("int") + 1, F.lit(max_chars))).otherwise(F.col("text"))
+    rows = rows.where(F.col("lang").isNotNull()).select("id", "lang", long.alias("long"), piece.alias("text")).where(F.col("text").rlike(r"\p{L}"))
+    rank = F.row_number().over(Window.partitionBy("lang").orderBy("long", F.xxhash64("id"), "id", "text"))
     sample = rows.withColumn("r", rank).where(F.col("r") <= per_lang).select("lang", "text").orderBy("lang", "text")
     return train([(r["lang"], r["text"]) for r in sample.toLocalIterator()])
 
