@@ -13,10 +13,14 @@ writer (committed per task, any file system) and read back as binary files whose
 records are cut by their declared lengths.  A volume holds about ``volume_bytes``,
 so what a task holds is bounded by that and by its longest record.
 
+Heads and bodies are bytes of any kind, kept as they are; a body sent in chunks stays so in
+its record, its payload, whose length and digest are given, is what the chunks hold.
+
 Defined results: null html is the empty payload; a null id is written without its
 head field and never counts as the largest; rows repeated with one id are each a
 response if theirs is the largest; a declared length beyond the volume gives the
-rest of it, marked truncated; a header line of another form is an error.
+rest of it, marked truncated; a header line of another form is an error; of other
+archives, a digest that is missing counts as right, a length that is nowhere is null.
 """
 
 from __future__ import annotations
@@ -47,6 +51,8 @@ ARC_TITLES = {
     2: "URL IP-address Archive-date Content-type Result-code Checksum Location Offset Filename Archive-length",
 }
 PAGE_FIELD = "X-Page-Id"
+#: A field of our own: the payload's length, which a revisit cannot tell by its block.
+LENGTH_FIELD = "X-Payload-Length"
 
 
 class ArchiveError(ValueError):
@@ -127,27 +133,44 @@ def warc_date(stamp: str) -> str:
 
 
 def split_http(block: bytes) -> tuple[bytes, bytes]:
-    head, mark, payload = block.partition(b"\r\n\r\n")
-    return (head + mark, payload) if block.startswith(b"HTTP/") and mark else (b"", block)
+    head, mark, body = block.partition(b"\r\n\r\n")
+    return (head + mark, body) if block.startswith(b"HTTP/") and mark else (b"", block)
+
+
+def payload_of(head: bytes, body: bytes) -> bytes:
+    """The body, or what its chunks hold where the head says that it is chunked and it is, to its end."""
+    if not re.search(rb"(?mi)^Transfer-Encoding:[ \t]*chunked[ \t]*\r$", head):
+        return body
+    out, at = [], 0
+    while size := re.compile(rb"([0-9A-Fa-f]{1,15})[^\r\n]*\r\n").match(body, at):
+        length = int(size[1], 16)
+        if length == 0:
+            return b"".join(out)
+        at = size.end() + length
+        if body[at : at + 2] != b"\r\n":
+            break
+        out.append(body[size.end() : at])
+        at += 2
+    return body
 
 
 def converted(doc: ArcDocument) -> dict:
     """What a WARC record says of an ARC document."""
-    head, payload = split_http(doc.block)
+    head, body = split_http(doc.block)
+    payload = payload_of(head, body)
     digest = base32_sha1(payload)
     page = re.search(rb"(?mi)^" + PAGE_FIELD.encode() + rb": (-?\d+)\r$", head)
     name = f"{doc.fields['url']} {doc.fields['date']} {page[1].decode() if page else ''} {digest}"
     return {
         "record_id": f"urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, name)}", "url": doc.fields["url"], "date": warc_date(doc.fields["date"]),
-        "ip": doc.fields["ip"], "mime": doc.fields["mime"], "type": "response" if head else "resource", "head": head.decode("utf-8", "replace"),
-        "payload": payload, "payload_bytes": len(payload), "payload_digest": digest, "truncated": doc.truncated, "page_id": int(page[1]) if page else None,
+        "ip": doc.fields["ip"], "mime": doc.fields["mime"], "type": "response" if head else "resource", "head": head,
+        "body": body, "payload_bytes": len(payload), "payload_digest": digest, "truncated": doc.truncated, "page_id": int(page[1]) if page else None,
     }
 
 
 def warc_record(r: dict) -> bytes:
     """The record's bytes up to the two line ends that close it."""
-    head = r["head"].encode()
-    block = head if r["type"] == "revisit" else head + r["payload"]
+    block = r["head"] if r["type"] == "revisit" else r["head"] + r["body"]
     lines = ["WARC/1.1", f"WARC-Type: {r['type']}", f"WARC-Record-ID: <{r['record_id']}>", f"WARC-Date: {r['date']}", f"WARC-Target-URI: {r['url']}"]
     if r["ip"] not in (None, "-", "0.0.0.0"):
         lines.append(f"WARC-IP-Address: {r['ip']}")
@@ -157,6 +180,7 @@ def warc_record(r: dict) -> bytes:
         lines += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest",
                   f"WARC-Refers-To: <{r['refers_id']}>", f"WARC-Refers-To-Target-URI: {r['refers_url']}", f"WARC-Refers-To-Date: {r['refers_date']}"]
     kind = r["mime"] if r["type"] == "resource" else "application/http;msgtype=response"
+    lines.append(f"{LENGTH_FIELD}: {r['payload_bytes']}")
     lines += [f"WARC-Block-Digest: sha1:{base32_sha1(block)}", f"WARC-Payload-Digest: sha1:{r['payload_digest']}", f"Content-Type: {kind}", f"Content-Length: {len(block)}"]
     return "\r\n".join(lines).encode() + b"\r\n\r\n" + block + b"\r\n\r\n"
 
@@ -171,15 +195,23 @@ def read_warc(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
         end = data.find(b"\r\n\r\n", at)
         if not data.startswith(b"WARC/", at) or end < 0:
             raise ArchiveError(f"no record at byte {at}")
-        lines = data[at:end].decode().split("\r\n")[1:]
-        fields = {k.lower(): v for k, v in (x.split(": ", 1) for x in lines)}
+        fields, name = {}, None
+        for line in data[at:end].decode("utf-8", "replace").split("\r\n")[1:]:
+            if line[:1] in (" ", "\t") and name:  # a value goes on in the next line
+                fields[name] += f" {line.strip()}"
+            elif ":" in line:
+                name, value = line.split(":", 1)
+                name = name.strip().lower()
+                fields[name] = value.strip()
+        if not fields.get("content-length", "").isdigit():
+            raise ArchiveError(f"no length of the record at byte {at}")
         length = int(fields["content-length"])
         yield fields, data[end + 4 : end + 4 + length]
         at = end + 4 + length
 
 
 RECORDS = (
-    "record_id string, url string, date string, ip string, mime string, type string, head string, payload binary, "
+    "record_id string, url string, date string, ip string, mime string, type string, head binary, body binary, "
     "payload_bytes long, payload_digest string, truncated boolean, page_id long"
 )
 
@@ -189,8 +221,8 @@ def _arrow(rows: list[dict], like: pa.Schema) -> pa.RecordBatch:
 
 
 _RECORD_SCHEMA = pa.schema([
-    ("record_id", pa.string()), ("url", pa.string()), ("date", pa.string()), ("ip", pa.string()), ("mime", pa.string()), ("type", pa.string()), ("head", pa.string()),
-    ("payload", pa.binary()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("truncated", pa.bool_()), ("page_id", pa.int64()),
+    ("record_id", pa.string()), ("url", pa.string()), ("date", pa.string()), ("ip", pa.string()), ("mime", pa.string()), ("type", pa.string()), ("head", pa.binary()),
+    ("body", pa.binary()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("truncated", pa.bool_()), ("page_id", pa.int64()),
 ])
 
 
@@ -260,15 +292,15 @@ def with_revisits(records: DataFrame, *, least_bytes: int = 0) -> DataFrame:
     )
     again = F.col("kept").isNotNull() & (F.col("type") == "response") & ~F.col("page_id").eqNullSafe(F.col("kept.page_id"))
     return records.join(kept.hint("shuffle_hash"), same, "left").select(
-        *[c for c in records.columns if c not in ("type", "payload")],
+        *[c for c in records.columns if c not in ("type", "body")],
         F.when(again, "revisit").otherwise(F.col("type")).alias("type"),
-        F.when(again, F.lit(b"")).otherwise(F.col("payload")).alias("payload"),
+        F.when(again, F.lit(b"")).otherwise(F.col("body")).alias("body"),
         F.when(again, F.col("kept.record_id")).alias("refers_id"), F.when(again, F.col("kept.url")).alias("refers_url"), F.when(again, F.col("kept.date")).alias("refers_date"),
     )
 
 
 def write_warc(records: DataFrame, path: str, *, volume_bytes: int = VOLUME_BYTES) -> None:
-    """Write the records as WARC archives, one volume a file; payloads must be UTF-8, as pages are."""
+    """Write the records as WARC archives, one volume a file; the text writer takes bytes of any kind as they are."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, size = [], 0
         for batch in batches:
@@ -277,12 +309,12 @@ def write_warc(records: DataFrame, path: str, *, volume_bytes: int = VOLUME_BYTE
                 held.append(record)
                 size += len(record)
                 if size >= volume_bytes:
-                    yield pa.RecordBatch.from_arrays([pa.array([b"".join(held)[:-2].decode()])], ["value"])
+                    yield pa.RecordBatch.from_arrays([pa.array([b"".join(held)[:-2]], pa.binary())], ["value"])
                     held, size = [], 0
         if held:
-            yield pa.RecordBatch.from_arrays([pa.array([b"".join(held)[:-2].decode()])], ["value"])
+            yield pa.RecordBatch.from_arrays([pa.array([b"".join(held)[:-2]], pa.binary())], ["value"])
 
-    volumes = records.mapInArrow(run, "value string")
+    volumes = records.mapInArrow(run, "value binary").select(F.col("value").cast("string").alias("value"))
     volumes.write.option("lineSep", "\r\n").option("compression", "gzip").option("maxRecordsPerFile", 1).text(path)
 
 
@@ -296,17 +328,20 @@ def read_warc_files(spark, path: str) -> DataFrame:
             for at in range(len(batch)):
                 rows = []
                 for f, block in read_warc(_plain(batch.column(0)[at].as_py())):
-                    head, payload = split_http(block)
+                    head, body = split_http(block)
                     page = re.search(rb"(?mi)^" + PAGE_FIELD.encode() + rb": (-?\d+)\r$", head)
-                    said = f["warc-payload-digest"].removeprefix("sha1:")
-                    if f["warc-type"] == "revisit":
-                        size, digest = int(re.search(rb"(?mi)^Content-Length: (\d+)\r$", head)[1]), said
+                    said = f.get("warc-payload-digest", "").removeprefix("sha1:") or None
+                    if f.get("warc-type") == "revisit":
+                        stated = re.search(rb"(?mi)^Content-Length:[ \t]*(\d+)[ \t]*\r$", head)
+                        own = f.get(LENGTH_FIELD.lower(), "")
+                        size, digest = int(own) if own.isdigit() else int(stated[1]) if stated else None, said
                     else:
+                        payload = payload_of(head, body)
                         size, digest = len(payload), base32_sha1(payload)
                     rows.append({
-                        "record_id": f["warc-record-id"].strip("<>"), "type": f["warc-type"], "page_id": int(page[1]) if page else None, "payload_bytes": size,
+                        "record_id": f.get("warc-record-id", "").strip("<>") or None, "type": f.get("warc-type"), "page_id": int(page[1]) if page else None, "payload_bytes": size,
                         "payload_digest": digest, "refers_id": f.get("warc-refers-to", "").strip("<>") or None,
-                        "intact": digest == said and f["warc-block-digest"] == f"sha1:{base32_sha1(block)}",
+                        "intact": said in (None, digest) and f.get("warc-block-digest") in (None, f"sha1:{base32_sha1(block)}"),
                     })
                 yield _arrow(rows, schema)
 
