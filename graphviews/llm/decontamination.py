@@ -2,9 +2,11 @@
 
 Every Arrow batch of documents is a shard: its words become integers, the
 suffixes that can start a benchmark window are sorted into a suffix array, and
-every benchmark suffix is binary-searched in it.  A suffix array is as deep as
-the longest window; longer verbatim matches are the diagonals of consecutive
-window matches, so ``longest`` is exact at every length.
+every benchmark suffix is binary-searched in it for its first ``window`` words.
+Where one occurs, the document's suffix is searched in turn among all suffixes of
+the benchmark, in their full order; the words it shares with its neighbours there
+are the longest verbatim match that starts at that word, with one item at
+consecutive words of it.  A hit's place is a span of words (start, length).
 
 Only words of the benchmark get a number, and only positions whose first two
 words follow each other somewhere in the benchmark enter the array.  Both steps
@@ -56,8 +58,11 @@ class BenchmarkWindows:
         self.vocab: dict[bytes, int] = {}
         found: dict[tuple[int, ...], set[str]] = {}
         follows: set[tuple[int, int]] = set()
+        different: dict[tuple[int, ...], None] = {}
         for item, text in items:
             ids = [self.vocab.setdefault(w, len(self.vocab) + 1) for w in alnum_words(text)]
+            if len(ids) > window:
+                different[tuple(ids)] = None
             for at in range(max(1, len(ids) - window + 1) if ids else 0):
                 found.setdefault(tuple(ids[at : at + window]), set()).add(item)
             follows.update(zip(ids, ids[1:]))
@@ -74,6 +79,33 @@ class BenchmarkWindows:
         self.singles = np.zeros(len(self.vocab) + 1, bool)
         self.singles[[w[0] for w in self.windows if len(w) == 1]] = True
         self.pairs = np.array(sorted((a << 32) | b for a, b in follows), np.int64)
+        self.words = np.array([w for ids in different for w in (*ids, -1)], np.int64)  # -1 ends an item and equals no word
+        self.suffixes = suffix_order(self.words)
+
+    def longest(self, ids: np.ndarray, starts: np.ndarray) -> np.ndarray:
+        """Words that the suffixes of a shard at starts share with the benchmark suffix nearest to them."""
+        if not len(self.suffixes):
+            return np.zeros(len(starts), np.int64)
+        padded = np.concatenate([ids, [0]])  # 0 is no word of the benchmark
+
+        def shared(of: np.ndarray, place: np.ndarray, begun: np.ndarray) -> np.ndarray:
+            out, open_ = begun.copy(), np.arange(len(of))
+            while len(open_):
+                at = of[open_] + out[open_]
+                open_ = open_[padded[np.minimum(at, len(ids))] == self.words[place[open_] + out[open_]]]
+                out[open_] += 1
+            return out
+
+        lo, hi = np.full(len(starts), -1), np.full(len(starts), len(self.suffixes))
+        below, above = np.zeros(len(starts), np.int64), np.zeros(len(starts), np.int64)
+        while len(which := np.flatnonzero(hi - lo > 1)):
+            mid = (lo[which] + hi[which]) >> 1
+            place = self.suffixes[mid]
+            same = shared(starts[which], place, np.minimum(below[which], above[which]))
+            beyond = padded[np.minimum(starts[which] + same, len(ids))] > self.words[place + same]
+            lo[which[beyond]], below[which[beyond]] = mid[beyond], same[beyond]
+            hi[which[~beyond]], above[which[~beyond]] = mid[~beyond], same[~beyond]
+        return np.maximum(below, above)
 
     def packed(self, words: np.ndarray) -> list[np.ndarray]:
         """Columns of words as few unsigned integers that sort in the same order."""
@@ -89,6 +121,20 @@ class BenchmarkWindows:
         return keys
 
 
+def suffix_order(words: np.ndarray) -> np.ndarray:
+    """Starts of all suffixes in sorted order, by ranks of prefixes that double in length."""
+    if not len(words):
+        return np.zeros(0, np.int64)
+    rank, width = np.unique(words, return_inverse=True)[1], 1
+    while True:
+        following = np.concatenate([rank[width:] + 1, np.zeros(min(width, len(words)), np.int64)])
+        key = rank * (len(words) + 1) + following
+        names, rank = np.unique(key, return_inverse=True)
+        if len(names) == len(words):
+            return np.argsort(rank)
+        width *= 2
+
+
 class SuffixArray:
     """Suffixes of a shard's words in sorted order, compared on their first ``window`` words."""
 
@@ -165,36 +211,15 @@ def search_shard(docs: list[list[bytes]], index: BenchmarkWindows) -> tuple[list
     for d, w in zip((met // len(index.windows)).tolist(), (met % len(index.windows)).tolist()):
         seen[d].update(index.items[w])
     items = [sorted(x) for x in seen]
-    # a diagonal: windows of one item at consecutive words; its length is the verbatim match
-    runs: dict[tuple[int, str], tuple[int, int]] = {}
-    follows = _next_windows(index)
-    begun: dict[int, list[tuple[int, int]]] = {}
-    for d, p, w in zip(doc.tolist(), at.tolist(), which.tolist()):
-        before = begun.get(p - 1, ())
-        run = max((n + 1 for v, n in before if (v, w) in follows), default=0) or int(index.length[w])
-        begun.setdefault(p, []).append((w, run))
-        if len(begun) > 2:
-            begun = {k: v for k, v in begun.items() if k >= p - 1}
-        longest[d] = max(longest[d], run)
+    # at each place the longest match: with a suffix of one item, or, below a window, the short item that occurs there
+    head = np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1]]))
+    match = index.longest(ids, at[head])
+    match = np.where(match >= index.window, match, np.maximum.reduceat(reach, head))
+    for d, n in zip(doc[head].tolist(), match.tolist()):
+        longest[d] = max(longest[d], n)
     return spans, items, longest
 
 
-def _next_windows(index: BenchmarkWindows) -> set[tuple[int, int]]:
-    """Pairs of full windows where the second is the first moved on by one word."""
-    if not hasattr(index, "follows"):
-        by_head: dict[tuple[int, ...], list[int]] = {}
-        for w, words in enumerate(index.windows):
-            if len(words) == index.window:
-                by_head.setdefault(words[:-1], []).append(w)
-        index.follows = {
-            (v, w)
-            for v, words in enumerate(index.windows)
-            if len(words) == index.window
-            for w in by_head.get(words[1:], ())
-        }
-    return index.follows
-
-
 def _searcher(index_of, doc_text: str, carried: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         index = index_of()
@@ -283,7 +308,7 @@ def hit_words():
 
 
 def contamination(docs: DataFrame, items: DataFrame, *, doc_id: str = "doc_id", text: str = "text", **options) -> DataFrame:
-    """One row per document: words, words hit, items that occur and their digest."""
+    """One row per document: words, words hit, items that occur and their digest, the longest match, and where (``start+length`` in words, each with a blank behind it)."""
     found = match_benchmark(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text")), items, **options)
     n_hit = hit_words()
     return found.select(
@@ -294,6 +319,7 @@ def contamination(docs: DataFrame, items: DataFrame, *, doc_id: str = "doc_id",
         F.sha2(F.array_join(F.array_sort("decon_items"), ","), 256).alias("items_sha256"),
         (n_hit > 0).alias("contaminated"),
         F.col("decon_longest").alias("longest_match"),
+        F.array_join(F.transform("decon_spans", lambda x, i: F.concat(x.cast("string"), F.when(i % 2 == 0, "+").otherwise(" "))), "").alias("hit_spans"),
     )
 
 
@@ -322,7 +348,7 @@ def op7_decontaminate(spark, sf_dir):
     return contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
-#: longest_match is checked by tests; the SQL computes it too, as the longest run of hits along one diagonal.
+#: The SQL computes longest_match as the longest run of hits along one diagonal.
 OP7_SQL = r"""
 WITH RECURSIVE lowered AS (
   SELECT doc_id, regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'),
@@ -336,13 +362,15 @@ ks AS (SELECT DISTINCT k FROM win),
 dw AS (SELECT doc_id, k, p, array_to_string(list_slice(w, p, p + k - 1), ' ') AS s
        FROM (SELECT doc_id, w, k, unnest(range(1, len(w) - k + 2)) AS p FROM d, ks WHERE len(w) >= k)),
 m AS (SELECT doc_id, dw.p AS p, dw.k AS k, win.p AS q, item_id FROM dw JOIN win USING (k, s)),
-hit AS (SELECT doc_id, count(DISTINCT x) AS n_hit FROM (SELECT doc_id, unnest(range(p, p + k)) AS x FROM m) GROUP BY doc_id),
+hx AS (SELECT DISTINCT doc_id, x FROM (SELECT doc_id, unnest(range(p, p + k)) AS x FROM m)),
+isl AS (SELECT doc_id, min(x) - 1 AS a, count(*) AS n FROM (SELECT doc_id, x, x - row_number() OVER (PARTITION BY doc_id ORDER BY x) AS g FROM hx) GROUP BY doc_id, g),
+hit AS (SELECT doc_id, sum(n) AS n_hit, string_agg(a || '+' || n || ' ', '' ORDER BY a) AS spans FROM isl GROUP BY doc_id),
 its AS (SELECT doc_id, count(*) AS n_items, string_agg(i, ',' ORDER BY i) AS s
         FROM (SELECT DISTINCT doc_id, item_id::VARCHAR AS i FROM m) GROUP BY doc_id),
 diag AS (SELECT DISTINCT doc_id, item_id, k, p, p - q AS g FROM m),
 runs AS (SELECT doc_id, k, p - row_number() OVER (PARTITION BY doc_id, item_id, k, g ORDER BY p) AS r, item_id, g FROM diag),
 lng AS (SELECT doc_id, max(n) AS n FROM (SELECT doc_id, k + count(*) - 1 AS n FROM runs GROUP BY doc_id, item_id, k, g, r) GROUP BY doc_id)
 SELECT d.doc_id, len(w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, coalesce(n_items, 0)::BIGINT AS n_items,
-       sha256(coalesce(its.s, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated, coalesce(lng.n, 0)::BIGINT AS longest_match
+       sha256(coalesce(its.s, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated, coalesce(lng.n, 0)::BIGINT AS longest_match, coalesce(hit.spans, '') AS hit_spans
 FROM d LEFT JOIN hit USING (doc_id) LEFT JOIN its USING (doc_id) LEFT JOIN lng USING (doc_id)
 """
