@@ -6,16 +6,20 @@
 2. Document frequencies, the number of documents and their mean length are counted
    over all documents; they are arrays of the tokenizer's vocabulary, so what is
    broadcast does not grow with the data.
-3. The longest unused units are seeds, some thousand a round.  Each is a query of its
-   whole document's terms to the indexes of all partitions, whose best unused units are
-   merged; equal scores go by the next unit after the seed.  The seed's window takes
-   them in that order, the last one is cut at the window's end, its rest stays unused.
-   A document is indexed by all its terms, whatever its tail holds.
-4. What is left at the end is cut into sequences of a power of two.
-
-Every seed meets every unused unit, so the work grows with the square of the tails.
-The driver keeps what is left of each tail (some bytes a document) and a round's
-candidates, whose number is fixed at first and grows where lists run dry.
+3. Units are dealt to index shards by content.  A router holds at most ``leaders``
+   different units (those of the smallest hashes) as random projections of their BM25 weights
+   and gives each unit the two of the largest cosine; units of equal leaders stand together, and shards are runs of them of about
+   ``shard_terms`` postings.  A pair of leaders with more than that has shards of its own,
+   among which its units are dealt by hash.
+4. A shard is packed by one task.  The longest unused unit is the seed: a query of its whole
+   document's terms to the shard's index.  Its window takes the best unused units in turn, the last one is cut at the window's end, its rest stays unused.
+   Equal scores go by the next unit after the seed.  A document is indexed by all its terms,
+   whatever its tail holds.
+5. What is left at the end is cut into sequences of a power of two.
+
+Work grows with the units, as shards have one size; nothing but counts of pairs of leaders
+and the router comes to the driver.  A seed sees the neighbours of its own shard only: how
+many of its best ones over the whole corpus those are is measured by ``shard_recall``.
 
 So no sequence is padded.  Word by word tokenization with a memory of known words
 gives the ids of the whole text: the tokenizer's rules never reach across a blank,
@@ -27,6 +31,8 @@ or not, is a document; a document of n ids lies in pieces that cover 0 to n.
 
 from __future__ import annotations
 
+import copy
+import heapq
 import re
 import unicodedata
 import zlib
@@ -39,14 +45,18 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphviews.llm.common import bounded_batches, scratch_path, stored, table, worker_memory
+from graphviews.llm.common import bounded_batches, stored, table, worker_memory
 
 WINDOW = 2048
 END_ID = 1
-SHARD_TOKENS = 1 << 19
+#: Postings (a unit and one of its terms) of an index shard, and leaders of the router.
+SHARD_TERMS, LEADERS = 1 << 18, 256
+#: Random projections by which the router compares.
+ROUTED = 32
+MOST_TASKS = 20_000
 K1, B = 1.2, 0.75
-#: Seeds of one round and of one matrix product, candidates of a round, and the inverse share of documents from which a term is common.
-SEEDS, BLOCK, PAIRS, COMMON = 8192, 256, 1 << 18, 16
+#: Queries of one matrix product, neighbours taken at first, and the inverse share of documents from which a term is common.
+BLOCK, WANTED, COMMON = 256, 64, 16
 FAR = (1 << 32) - 1
 REMEMBERED = 1_200_000
 #: Letters from here on have exceptions of case or composition.
@@ -54,7 +64,7 @@ EXCEPTIONAL = re.compile("[^\x00-\u012f]").search
 
 SCHEMA = "kind int, doc_id long, start long, length long, doc_tokens long, ids_crc32 long, sequence_id long, ids binary, terms binary, counts binary"
 PIECE = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
-FULL, TAIL, TERM, TOTAL, LENGTHS = 0, 1, 2, 3, 4
+FULL, TAIL, TERM, TOTAL = 0, 1, 2, 3
 
 
 def default_tokenizer() -> str:
@@ -138,7 +148,6 @@ def _encode(path: str, window: int):
         encoder = text_ids(path)
         frequency = np.zeros(encoder.vocabulary, np.int64)
         documents = tokens = made = 0
-        lengths = array("I")
         base = TaskContext.get().partitionId() << 34
         names = [f.split()[0] for f in SCHEMA.split(", ")]
         types = [pa.int32(), *[pa.int64()] * 6, *[pa.binary()] * 3]
@@ -162,12 +171,11 @@ def _encode(path: str, window: int):
                         rows.append((FULL, doc, start, window, n, _crc(ids[start : start + window]), (base + made) * 2, None, None, None))
                         made += 1
                     if whole < n:
-                        rows.append((TAIL, doc, whole, n - whole, n, None, base + len(lengths), ids[whole:].tobytes(), terms.tobytes(), counts.astype("<u4").tobytes()))
-                        lengths.append(n - whole)
+                        rows.append((TAIL, doc, whole, n - whole, n, None, None, ids[whole:].tobytes(), terms.tobytes(), counts.astype("<u4").tobytes()))
                 yield batch_of(rows)
         if documents:
             rows = [(TERM, None, t, int(frequency[t]), *[None] * 6) for t in np.flatnonzero(frequency).tolist()]
-            yield batch_of([*rows, (TOTAL, None, documents, tokens, *[None] * 6), (LENGTHS, None, base >> 34, None, None, None, None, lengths.tobytes(), None, None)])
+            yield batch_of([*rows, (TOTAL, None, documents, tokens, *[None] * 6)])
 
     return run
 
@@ -204,9 +212,31 @@ class ShardIndex:
         self.matrix[column[column >= 0], unit[column >= 0]] = weight[column >= 0]
         term, unit, weight = term[column < 0], unit[column < 0], weight[column < 0]
         order = np.argsort(term, kind="stable")
-        self.unit, self.weight = unit[order], weight[order]
+        self.unit, self.weight = unit[order].astype(np.int32), weight[order]
         self.begin = np.searchsorted(term[order], np.arange(self.size + 1))
 
+    def without(self, gone: np.ndarray) -> ShardIndex:
+        """The index of the other units alone, numbered in their order."""
+        out = copy.copy(self)
+        out.n, number = int((~gone).sum()), np.cumsum(~gone, dtype=np.int32) - 1
+        keep = ~gone[self.unit]
+        out.unit, out.weight, out.matrix = number[self.unit[keep]], self.weight[keep], self.matrix[:, ~gone]
+        out.begin = np.concatenate([[0], np.cumsum(keep)])[self.begin]
+        return out
+
+    def one(self, query: np.ndarray) -> np.ndarray:
+        """BM25 in 1/256 of every unit for one query's terms."""
+        term = query.astype(np.int64)
+        column = self.column[term]
+        common = column >= 0
+        out = self.matrix[column[common]].sum(0)
+        term = term[~common]
+        if len(term):
+            rows = [slice(a, b) for a, b in zip(self.begin[term].tolist(), self.begin[term + 1].tolist()) if b > a]
+            if rows:
+                out = out + np.bincount(np.concatenate([self.unit[r] for r in rows]), np.concatenate([self.weight[r] for r in rows]), self.n)
+        return out
+
     def block(self, queries: list[np.ndarray]) -> np.ndarray:
         """BM25 in 1/256 of every unit for each query's terms."""
         query = np.repeat(np.arange(len(queries)), [len(q) for q in queries])
@@ -226,63 +256,48 @@ class ShardIndex:
         """A number for each query and unit: the score, then how soon the unit's name follows the seed's, round the end; -1 for the seed itself."""
         after = names[None, :] - seeds[:, None]
         after += np.where(after < 0, total, 0)
-        return np.where(after > 0, (self.block(queries).astype(np.int64) << 32) + (FAR - after), -1)
+        score = self.one(queries[0])[None, :] if len(queries) == 1 else self.block(queries)
+        return np.where(after > 0, (score.astype(np.int64) << 32) + (FAR - after), -1)
 
 
 def largest(keys: np.ndarray, k: int) -> np.ndarray:
     return keys if keys.shape[1] <= k else np.partition(keys, keys.shape[1] - k, 1)[:, -k:]
 
 
-def fill_windows(lengths: np.ndarray, window: int, search, seeds: int = SEEDS) -> Iterator[list[list[tuple[int, int, int]]]]:
-    """Rounds of sequences of (unit, start in it, length); each but the last ones full, those of a power of two.
-
-    ``search(seeds, left, k)`` gives the k best of all units that have ids left for each
-    seed, best first.  The longest units are seeds; each takes what is left of its best
-    units in turn.  One whose list does not fill the window waits for the next round, so
-    every window has the best of all units that are left when it is filled.
-    """
-    left, start = lengths.astype(np.int32), np.zeros(len(lengths), np.int32)
-    pairs = PAIRS
-    while total := int(left.sum(dtype=np.int64)):
-        unused = int(np.count_nonzero(left))
-        wanted = min(unused, max(512, min(seeds, total // window // 2, pairs // 32)))
-        k = max(32, pairs // wanted)
-        chosen = np.argsort(-left, kind="stable")[:wanted]
-        was, sequences = left[chosen], []
-        for seed, length, found in zip(chosen.tolist(), was.tolist(), search(chosen, left, k)):
-            if left[seed] != length:
-                continue  # used or cut in this round
-            units, room = [seed], window - length
-            for unit in found.tolist():
-                if room <= 0:
-                    break
-                if left[unit]:
-                    units.append(unit)
-                    room -= int(left[unit])
-            if room > 0 and k < unused - 1:
-                continue
-            filled, room = [], window
-            for unit in units:
-                take = min(room, int(left[unit]))
-                filled.append((unit, int(start[unit]), take))
-                start[unit] += take
-                left[unit] -= take
-                room -= take
-            sequences += [filled] if not room else powers_of_two(filled)
-        if len(sequences) < wanted // 16 + 1:
-            pairs *= 4
-        yield sequences
-
-
 def pack_shard(units: list[np.ndarray], index: ShardIndex, window: int) -> list[list[tuple[int, int, int]]]:
-    """The sequences of units that one index holds."""
-    names = np.arange(len(units))
-
-    def search(seeds, left, k):
-        keys = np.where(left > 0, index.keys([index.terms[i] for i in seeds], seeds, names, len(units)), -1)
-        return units_of(-np.sort(-largest(keys, k), 1), seeds, len(units))
-
-    return [x for part in fill_windows(np.fromiter(map(len, units), np.int64, len(units)), window, search) for x in part]
+    """Sequences of (unit, start in it, length) of the units that an index holds; each but the last ones full, those of a power of two."""
+    left, start = np.fromiter(map(len, units), np.int64, len(units)), np.zeros(len(units), np.int64)
+    total, names, out, whole = int(left.sum()), np.arange(len(units)), [], index
+    longest = [(-n, unit) for unit, n in enumerate(left.tolist())]
+    heapq.heapify(longest)
+    while total:
+        length, seed = heapq.heappop(longest)
+        if left[seed] != -length:
+            continue  # used or cut since
+        chosen, room, k = [seed], window + length, WANTED
+        if room > 0 and total > -length:
+            if 2 * np.count_nonzero(left) < len(names):
+                index, names = whole.without(left == 0), np.flatnonzero(left)
+            keys = np.where(left[names] > 0, index.keys([whole.terms[seed]], np.array([seed]), names, len(units))[0], -1)
+            while True:
+                best = units_of(-np.sort(-largest(keys[None, :], k), 1), [seed], len(units))[0]
+                ends = np.cumsum(left[best])
+                if k >= len(names) or len(ends) and ends[-1] >= room:
+                    break
+                k *= 4
+            chosen += best[: int(np.searchsorted(ends, room)) + 1].tolist()
+        filled, room = [], window
+        for unit in chosen:
+            take = min(room, int(left[unit]))
+            filled.append((unit, int(start[unit]), take))
+            start[unit] += take
+            left[unit] -= take
+            room -= take
+            if left[unit]:
+                heapq.heappush(longest, (-int(left[unit]), unit))
+        total -= window - room
+        out += [filled] if not room else powers_of_two(filled)
+    return out
 
 
 def units_of(keys: np.ndarray, seeds: np.ndarray, total: int) -> list[np.ndarray]:
@@ -309,88 +324,120 @@ def powers_of_two(pieces: list[tuple[int, int, int]]) -> list[list[tuple[int, in
     return out
 
 
-def _terms_of(shared):
-    """Names and terms of the seeds."""
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        offsets, seeds = shared.value
-        for batch in batches:
-            names = _names(batch, offsets)
-            at = np.flatnonzero(np.isin(names, seeds))
-            if len(at):
-                yield pa.RecordBatch.from_arrays([pa.array(names[at]), batch.column("terms").take(pa.array(at))], ["name", "terms"])
+class Router:
+    """Leaders as random projections of their BM25 weights; a unit goes to those of the largest cosine."""
+
+    def __init__(self, counted: Counts, terms: list[bytes], counts: list[bytes], sizes: list[int]):
+        self.counted = counted
+        self.random = np.random.default_rng(ROUTED).standard_normal((len(counted.frequency), ROUTED), np.float32)
+        self.n, self.leaders = len(terms), self.vectors(terms, counts, sizes)
+
+    def vectors(self, terms: list[bytes], counts: list[bytes], sizes: list[int]) -> np.ndarray:
+        c = self.counted
+        many = np.array([len(x) // c.kind.itemsize for x in terms], np.int64)
+        term, count = np.frombuffer(b"".join(terms), c.kind).astype(np.int64), np.frombuffer(b"".join(counts), "<u4").astype(np.float64)
+        norm = np.repeat(K1 * (1 - B + B * np.array(sizes, np.float64) / max(c.mean, 1)), many)
+        rows = self.random[term] * (c.idf[term] * count / (count + norm)).astype(np.float32)[:, None]
+        out = np.add.reduceat(rows, np.cumsum(many) - many) if len(many) else np.zeros((0, ROUTED), np.float32)
+        length = np.sqrt((out * out).sum(1))
+        return out / np.where(length > 0, length, 1)[:, None]
+
+    def best(self, terms: list[bytes], counts: list[bytes], sizes: list[int]) -> np.ndarray:
+        """The two best leaders of each unit; without any telling term, the number of leaders."""
+        own = self.vectors(terms, counts, sizes)
+        score = np.rint(own @ self.leaders.T * 4096)  # equal texts have equal leaders, whatever the block they come in
+        out = np.full((2, len(own)), self.n, np.int32)
+        told, at = own.any(1), np.arange(len(own))
+        for k in range(min(2, self.n)):
+            top = score.argmax(1)
+            out[k, told] = top[told]
+            score[at, top] = -np.inf
+        return out
 
-    return run
 
+class Counts:
+    """What indexes need of the whole corpus: document frequencies, the number of documents and their mean length."""
 
-def _names(batch: pa.RecordBatch, offsets: np.ndarray) -> np.ndarray:
-    raw = batch.column("sequence_id").to_numpy()
-    return offsets[raw >> 34] + (raw & ((1 << 34) - 1))
+    def __init__(self, kind: np.dtype, frequency: np.ndarray, documents: int, mean: float):
+        self.kind, self.frequency, self.documents, self.mean = kind, frequency, documents, mean
+        df = np.maximum(frequency, 1)
+        self.idf = np.maximum(np.log((documents - df + 0.5) / (df + 0.5)), 0)
 
+    def index(self, terms: list[bytes], counts: list[bytes], sizes: list[int]) -> ShardIndex:
+        parts = [(np.frombuffer(t, self.kind), np.frombuffer(c, "<u4")) for t, c in zip(terms, counts)]
+        return ShardIndex([], self.frequency, self.documents, self.mean, parts, sizes)
 
-def _search(counted, asked, shard_tokens: int):
-    """The best units of a partition for each block of seeds, from one index of about shard_tokens after another."""
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kind, frequency, documents, mean = counted.value
-        offsets, seeds, terms, unused, total, k = asked.value
-        unused = np.unpackbits(unused, count=total).astype(bool)
-        queries = [np.frombuffer(x, kind) for x in terms]
-        best = [np.full((len(seeds[at : at + BLOCK]), 0), -1, np.int64) for at in range(0, len(seeds), BLOCK)]
-        parts, sizes, names, held = [], [], [], 0
-
-        def ask():
-            index, own = ShardIndex([], frequency, documents, mean, parts, sizes), np.array(names, np.int64)
-            for i, at in enumerate(range(0, len(seeds), BLOCK)):
-                keys = index.keys(queries[at : at + BLOCK], seeds[at : at + BLOCK], own, total)
-                best[i] = largest(np.concatenate([best[i], largest(keys, k)], 1), k)
 
+def _routed(shared):
+    """Rows of units with their two best leaders."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        _, router = shared.value
         for batch in batches:
-            own = _names(batch, offsets)
-            at = np.flatnonzero(unused[own])
-            columns = [batch.column(c).take(pa.array(at)).to_pylist() for c in ("terms", "counts", "doc_tokens")]
-            for name, t, c, n in zip(own[at].tolist(), *columns):
-                t = np.frombuffer(t, kind)
-                parts.append((t, np.frombuffer(c, "<u4")))
-                sizes.append(n)
-                names.append(name)
-                held += len(t)
-                if held >= shard_tokens:
-                    ask()
-                    parts, sizes, names, held = [], [], [], 0
-        if parts:
-            ask()
-        for i, keys in enumerate(best):
-            if keys.shape[1]:
-                yield pa.RecordBatch.from_arrays([pa.array([i], pa.int32()), pa.array([keys.shape[1]], pa.int32()), pa.array([keys.tobytes()], pa.binary())], ["block", "wide", "keys"])
+            for lo in range(0, len(batch), BLOCK):
+                part = batch.slice(lo, BLOCK)
+                best = router.best(*(part.column(c).to_pylist() for c in ("terms", "counts", "doc_tokens")))
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(best[0]), pa.array(best[1])], [*part.schema.names, "leader", "second"])
 
     return run
 
 
-def _merged(k: int):
-    def run(group: pa.Table) -> pa.Table:
-        keys = np.concatenate([np.frombuffer(x, np.int64).reshape(-1, w) for x, w in zip(group.column("keys").to_pylist(), group.column("wide").to_pylist())], 1)
-        keys = -np.sort(-largest(keys, k), 1)
-        return pa.table({"block": group.column("block").slice(0, 1), "wide": pa.array([keys.shape[1]], pa.int32()), "keys": pa.array([keys.tobytes()], pa.binary())})
+def dealt(sizes: list[tuple[int, int, int]], shard_terms: int) -> list[tuple[int, int, int, int]]:
+    """(leader, second, first shard, shards) of pairs of leaders with so many postings: runs of small pairs share a shard."""
+    out, shard, held = [], 0, 0
+    for leader, second, size in sorted(sizes):
+        if size > shard_terms:
+            shard += held > 0
+            many = -(-size // shard_terms)
+            out.append((leader, second, shard, many))
+            shard, held = shard + many, 0
+            continue
+        if held and held + size > shard_terms:
+            shard, held = shard + 1, 0
+        out.append((leader, second, shard, 1))
+        held += size
+    return out
 
-    return run
 
+def _packed(shared, window: int):
+    """Pieces of the sequences of each shard of a partition, whose rows stand together in any order."""
+    def shards(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+        held: list[pa.RecordBatch] = []
+        for batch in batches:
+            shard = batch.column("shard").to_numpy()
+            cuts = [0, *(np.flatnonzero(np.diff(shard)) + 1).tolist(), len(batch)]
+            for lo, hi in zip(cuts, cuts[1:]):
+                if held and held[0].column("shard")[0].as_py() != shard[lo]:
+                    yield pa.Table.from_batches(held)
+                    held = []
+                held.append(batch.slice(lo, hi - lo))
+        if held:
+            yield pa.Table.from_batches(held)
 
-def _digests(shared):
-    """Pieces from rows of a tail and where a piece of it lies."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for group in shards(b for b in batches if len(b)):
+            yield from pieces_of(group, group.column("shard")[0].as_py()).to_batches(max_chunksize=10_000)
+
+    def pieces_of(group: pa.Table, shard: int) -> pa.Table:
+        counted, _ = shared.value
+        group = group.sort_by([(c, "ascending") for c in ("doc_id", "start", "length", "ids")])
+        ids = [np.frombuffer(x, counted.kind) for x in group.column("ids").to_pylist()]
+        doc, start, size = (group.column(c).to_pylist() for c in ("doc_id", "start", "doc_tokens"))
+        index = counted.index(group.column("terms").to_pylist(), group.column("counts").to_pylist(), size)
+        rows = []
+        for number, pieces in enumerate(pack_shard(ids, index, window)):
+            offset, name = 0, ((shard << 32) + number) * 2 + 1
+            for unit, at, n in pieces:
+                rows.append((doc[unit], start[unit] + at, n, _crc(ids[unit][at : at + n]), size[unit], name, offset))
+                offset += n
         names = [f.split()[0] for f in PIECE.split(", ")]
-        for batch in batches:
-            at, n = batch.column("at").to_pylist(), batch.column("length").to_pylist()
-            crc = [_crc(np.frombuffer(x, shared.value[0])[a : a + m]) for x, a, m in zip(batch.column("ids").to_pylist(), at, n)]
-            columns = {c: batch.column(c) for c in names if c != "ids_crc32"} | {"ids_crc32": pa.array(crc, pa.int64())}
-            yield pa.RecordBatch.from_arrays([columns[c] for c in names], names)
+        return pa.table([pa.array(c, pa.int64()) for c in zip(*rows)], names=names)
 
     return run
 
 
-def pack(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", tokenizer: str | None = None, window: int = WINDOW, shard_tokens: int = SHARD_TOKENS) -> DataFrame:
-    """Pieces of sequences: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
+def _units(docs: DataFrame, doc_id: str, text: str, path: str, window: int, leaders: int, shard_terms: int):
+    """Encoded rows, units with their shards, the number of these, and a broadcast of the corpus counts and the router."""
     spark = docs.sparkSession
-    path = tokenizer or default_tokenizer()
     plain = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"))
     encoded = stored(bounded_batches(plain).mapInArrow(_encode(path, window), SCHEMA), "encoded")
     terms = encoded.where(F.col("kind") == TERM).groupBy("start").agg(F.sum("length").alias("n")).toPandas()  # at most the vocabulary
@@ -399,54 +446,52 @@ def pack(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", tokeniz
     frequency = np.zeros(encoder.vocabulary, np.int64)
     frequency[terms["start"].to_numpy(np.int64)] = terms["n"].to_numpy(np.int64)
     documents = totals["documents"] or 0
-    counted = spark.sparkContext.broadcast((encoder.kind, frequency, documents, (totals["tokens"] or 0) / max(1, documents)))
-    # four bytes a tail: what is left of it is kept here while windows are filled
-    dealt = sorted(((r["start"], bytes(r["ids"])) for r in encoded.where(F.col("kind") == LENGTHS).select("start", "ids").collect()))
-    lengths = np.concatenate([np.zeros(0, "<u4"), *(np.frombuffer(x, "<u4") for _, x in dealt)])
-    first = np.array([p for p, _ in dealt], np.int64)
-    before = np.cumsum([0, *(len(x) // 4 for _, x in dealt)])
-    offsets = np.zeros(int(first.max(initial=-1)) + 1, np.int64)
-    offsets[first] = before[:-1]
+    counted = Counts(encoder.kind, frequency, documents, (totals["tokens"] or 0) / max(1, documents))
     tails = encoded.where(F.col("kind") == TAIL)
-    spread = tails.select("sequence_id", "doc_tokens", "terms", "counts").coalesce(2 * spark.sparkContext.defaultParallelism)
-
-    def search(seeds, left, k):
-        wanted = spark.sparkContext.broadcast((offsets, np.sort(seeds)))
-        got = tails.select("sequence_id", "terms").mapInArrow(_terms_of(wanted), "name long, terms binary").toArrow()
-        own = dict(zip(got.column("name").to_pylist(), got.column("terms").to_pylist()))
-        asked = spark.sparkContext.broadcast((offsets, seeds, [own[x] for x in seeds.tolist()], np.packbits(left > 0), len(left), k))
-        found = spread.mapInArrow(_search(counted, asked, shard_tokens), "block int, wide int, keys binary")
-        found = found.groupBy("block").applyInArrow(_merged(k), "block int, wide int, keys binary").toArrow()
-        wanted.destroy()
-        asked.destroy()
-        best = {b: np.frombuffer(x, np.int64).reshape(-1, w) for b, w, x in zip(*(found.column(c).to_pylist() for c in ("block", "wide", "keys")))}
-        for i, at in enumerate(range(0, len(seeds), BLOCK)):
-            part = seeds[at : at + BLOCK]
-            yield from units_of(best.get(i, np.zeros((len(part), 0), np.int64)), part, len(left))
-
-    where, made = scratch_path(spark, "windows"), 0
-    for sequences in fill_windows(lengths, window, search):
-        rows = []
-        for pieces in sequences:
-            offset = 0
-            for unit, at, n in pieces:
-                rows.append((unit, at, n, made * 2 + 1, offset))
-                offset += n
-            made += 1
-        if rows:
-            unit, *rest = (np.array(c, np.int64) for c in zip(*rows))
-            part = np.searchsorted(before, unit, "right") - 1
-            columns = [(first[part] << 34) + unit - before[part], *rest]
-            spark.createDataFrame(pa.table([pa.array(c) for c in columns], names=["unit", "at", "length", "sequence", "offset"])).coalesce(1).write.mode("append").parquet(where)
+    hashed = tails.withColumn("h", F.xxhash64("terms", "counts"))
+    smallest = hashed.select("h").distinct().orderBy("h").limit(leaders)
+    led = hashed.join(F.broadcast(smallest), "h", "left_semi").groupBy("h").agg(F.first(F.struct("terms", "counts", "doc_tokens")).alias("x")).orderBy("h").select("x.*").collect()  # at most the leaders
+    router = Router(counted, *([bytes(r[c]) for r in led] for c in ("terms", "counts")), [r["doc_tokens"] for r in led])
+    shared = spark.sparkContext.broadcast((counted, router))
+    own = ("doc_id", "start", "length", "doc_tokens", "ids", "terms", "counts")
+    fields = {f.split()[0]: f for f in SCHEMA.split(", ")}
+    routed = tails.select(*own).mapInArrow(_routed(shared), ", ".join(fields[c] for c in own) + ", leader int, second int")
+    routed = stored(routed.withColumn("size", F.octet_length("terms") / encoder.kind.itemsize), "routed")
+    sizes = routed.groupBy("leader", "second").agg(F.sum("size").cast("long").alias("n")).collect()  # at most pairs of leaders
+    pairs = dealt([tuple(r) for r in sizes], shard_terms)
+    deal = spark.createDataFrame(pairs, "leader int, second int, first long, many long")
+    part = F.pmod(F.xxhash64("doc_id", "start", "ids"), F.col("many"))
+    units = routed.join(F.broadcast(deal), ["leader", "second"]).select(*own, (F.col("first") + part).alias("shard"))
+    return encoded, units, max((first + many for _, _, first, many in pairs), default=0), shared
+
+
+def pack(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", tokenizer: str | None = None, window: int = WINDOW, leaders: int = LEADERS, shard_terms: int = SHARD_TERMS) -> DataFrame:
+    """Pieces of sequences: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
+    encoded, units, shards, shared = _units(docs, doc_id, text, tokenizer or default_tokenizer(), window, leaders, shard_terms)
     whole = encoded.where(F.col("kind") == FULL).select(
         "doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", F.lit(0).cast("long").alias("offset")
     )
-    if not made:
-        return whole
-    pieces = spark.read.schema("unit long, at long, length long, sequence long, offset long").parquet(where)
-    rows = tails.select(F.col("sequence_id").alias("unit"), "doc_id", F.col("start").alias("begin"), "doc_tokens", "ids").join(pieces, "unit")
-    rows = rows.select("doc_id", (F.col("begin") + F.col("at")).alias("start"), "length", "doc_tokens", F.col("sequence").alias("sequence_id"), "offset", "at", "ids")
-    return whole.unionByName(rows.mapInArrow(_digests(counted), PIECE))
+    # a task a shard while there are few: their work is more than their bytes let adaptive execution see
+    together = units.repartitionById(max(1, min(shards, MOST_TASKS)), F.pmod("shard", F.lit(MOST_TASKS)).cast("int")).sortWithinPartitions("shard", "doc_id", "start")
+    return whole.unionByName(together.mapInArrow(_packed(shared, window), PIECE))
+
+
+def shard_recall(docs: DataFrame, queries: int, k: int = 10, **options) -> tuple[float, float]:
+    """The share of the k best units of the whole corpus that lie in a query's own shard, and the same by chance; for tests and reports, on one machine."""
+    tokenizer = options.pop("tokenizer", None) or default_tokenizer()
+    settings = {"window": WINDOW, "leaders": LEADERS, "shard_terms": SHARD_TERMS} | options
+    _, units, _, shared = _units(docs, "doc_id", "text", tokenizer, **settings)
+    rows = units.select("shard", "terms", "counts", "doc_tokens").orderBy("doc_id", "start").toArrow()
+    index = shared.value[0].index(*(rows.column(c).to_pylist() for c in ("terms", "counts", "doc_tokens")))
+    shard, names = rows.column("shard").to_numpy(), np.arange(index.n)
+    asked = names[:: max(1, index.n // queries)]
+    found = 0
+    for lo in range(0, len(asked), 64):
+        part = asked[lo : lo + 64]
+        keys = -np.sort(-largest(index.keys([index.terms[i] for i in part], part, names, index.n), k), 1)
+        found += sum(int((shard[u] == shard[q]).sum()) for q, u in zip(part.tolist(), units_of(keys, part, index.n)))
+    _, sizes = np.unique(shard, return_counts=True)
+    return found / (min(k, index.n - 1) * len(asked)), float((sizes / index.n) @ (sizes / index.n))
 
 
 def op2_retrieval_packing(spark, sf_dir):
