@@ -11,12 +11,13 @@ from graphviews.baselines.common import Unsupported, require
 from graphviews.maintenance.changes import ChangeSet, added, negated, weighted
 from graphviews.maintenance.network import Network, primitive_leaves
 from graphviews.maintenance.relevance import relevant
+from graphviews.maintenance.states import TopState
 from graphviews.operators.lowering import Lowering, shared_variables
 from graphviews.operators.paths import expand
 from graphviews.plans.expr import column, to_column
-from graphviews.plans.ops import Distinct, Group, NaturalJoin, Node, Project, ScanEdges, ScanVertices, Select, SortTop, Union
+from graphviews.plans.ops import Anti, Distinct, Group, LeftOuter, NaturalJoin, Node, Project, ScanEdges, ScanVertices, Select, Semi, SortTop, Union, Unwind
 from graphviews.sources.graph import WEIGHT, PropertyGraph, consolidated, weighted_join
-from graphviews.sources.shared import stored
+from graphviews.sources.shared import run_of, stored
 
 
 def rows_of(bag: DataFrame) -> DataFrame:
@@ -35,18 +36,16 @@ def recompute(plan: Node, graph: PropertyGraph, changes: ChangeSet) -> DataFrame
 
 
 class DeltaQueries:
-    """Two queries derived from a plan: what a change inserts and what it deletes.
+    """The change of a plan's bag as queries over old and new tables and their changes.
 
     Nothing is kept between refreshes but the tables; sub-plans are evaluated where
-    the derived queries mention them.  Set semantics drop duplicates at every step and
-    so need one more test: what is deleted must have no other derivation.
+    the derived queries mention them.
     """
 
-    def __init__(self, graph: PropertyGraph, changes: ChangeSet, name: str):
-        self.name = name
+    def __init__(self, graph: PropertyGraph, changes: ChangeSet):
         self.old = graph.with_tables({t: weighted(df) for t, df in graph.tables.items()})
         self.new = changed(graph, changes)
-        self.net = Network(graph, ScanVertices("_none"), state="root")
+        self.net = Network(graph, ScanVertices("_none"), state="none")
         self.net.old, self.net.new = self.old, self.new
         self.net.delta_tables = {t: consolidated(d.select(*self.old.tables[t].columns)) for t, d in changes.tables.items()}
 
@@ -57,34 +56,164 @@ class DeltaQueries:
         if all(d is None for d in below):
             return None
         if isinstance(node, NaturalJoin):
-            on = shared_variables(node.left, node.right)
-            parts = []
-            if below[0] is not None:
-                parts.append(weighted_join(below[0], Lowering(self.new).df(node.right), on))
-            if below[1] is not None:
-                parts.append(weighted_join(Lowering(self.old).df(node.left), below[1], on))
-            return added([p.select(*[column(c) for c in parts[0].columns]) for p in parts])
-        if isinstance(node, (Select, Project, Union)):
+            return self.joined(node, *below)
+        if isinstance(node, (Select, Project, Unwind, Union)):
             return added(below) if isinstance(node, Union) else Lowering(self.new).apply(node, below)
-        return Lowering(self.new).df(node).unionByName(negated(Lowering(self.old).df(node)))
+        return self.other(node, *below)
+
+    def joined(self, node: Node, left: DataFrame | None, right: DataFrame | None) -> DataFrame:
+        """Each side's change with the other side: new for the left change, old for the right one."""
+        on = shared_variables(node.left, node.right)
+        parts = []
+        if left is not None:
+            parts.append(weighted_join(left, Lowering(self.new).df(node.right), on))
+        if right is not None:
+            parts.append(weighted_join(Lowering(self.old).df(node.left), right, on))
+        return added([p.select(*[column(c) for c in parts[0].columns]) for p in parts])
+
+    def other(self, node: Node, *below) -> DataFrame:
+        raise Unsupported(f"no change equation for {type(node).__name__}")
+
+
+class OuterEquations(DeltaQueries):
+    """Change equations of semi, anti and outer joins besides.
+
+    An outer join is the join, and the left rows without a match filled up with nulls.
+    Left rows change theirs by themselves; a change of the right side moves those left
+    rows that it meets and that had no match before, or have none after.
+    """
+
+    def other(self, node: Node, left: DataFrame | None, right: DataFrame | None) -> DataFrame:
+        if not isinstance(node, (LeftOuter, Semi, Anti)):
+            return super().other(node, left, right)
+        on = shared_variables(node.left, node.right)
+        old_left, old_right, new_right = Lowering(self.old).df(node.left), Lowering(self.old).df(node.right), Lowering(self.new).df(node.right)
+        cond = node.cond if isinstance(node, LeftOuter) else None
+        alone = []
+        if left is not None:
+            alone.append(self.met(left, new_right, on, cond, "left_anti"))
+        if right is not None:
+            moved = consolidated(self.met(old_left, right, on, cond, "left_semi"))
+            lost = self.met(self.met(moved, old_right, on, cond, "left_semi"), new_right, on, cond, "left_anti")
+            found = self.met(self.met(moved, new_right, on, cond, "left_semi"), old_right, on, cond, "left_anti")
+            alone += [lost, negated(found)]
+        if isinstance(node, Anti):
+            return added(alone)
+        if isinstance(node, Semi):
+            # what a semi join has, an anti join has not
+            return added([*([left] if left is not None else []), *map(negated, alone)])
+        joined = self.joined(node, left, right)
+        both = joined if cond is None else joined.where(to_column(cond))
+        names = both.columns
+        filled = [a.select(*[column(c) if c in a.columns else F.lit(None).cast(both.schema[c].dataType).alias(c) for c in names]) for a in alone]
+        return added([both, *filled])
+
+    @staticmethod
+    def met(rows: DataFrame, others: DataFrame, on: list[str], cond, how: str) -> DataFrame:
+        """Rows with (or without) a match among others of positive weight, or of any weight in a change."""
+        there = consolidated(others)
+        there = there.drop(WEIGHT, *[c for c in there.columns if c in rows.columns and c not in on]).withColumnsRenamed({c: f"_right_{c}" for c in on})
+        tests = [column(c) == column(f"_right_{c}") for c in on] + ([to_column(cond)] if cond is not None else [])
+        return rows.join(there, reduce(lambda a, b: a & b, tests) if tests else F.lit(True), how)
+
+
+class SetEquations:
+    """Insertions and deletions of a plan under set semantics, two queries for every operator.
+
+    A projection or union can derive a row twice: what is deleted must have no other
+    derivation in the new state, and what is inserted none in the old one.
+    """
+
+    def __init__(self, graph: PropertyGraph, changes: ChangeSet):
+        self.bags = DeltaQueries(graph, changes)
+
+    def state(self, node: Node, fresh: bool) -> DataFrame:
+        return consolidated(Lowering(self.bags.new if fresh else self.bags.old).df(node), positive=True).drop(WEIGHT)
+
+    @staticmethod
+    def less(a: DataFrame, b: DataFrame) -> DataFrame:
+        return a.select(*b.columns).exceptAll(b) if a is b else a.select(*[column(c) for c in b.columns]).subtract(b)
 
-    def queries(self, plan: Node) -> tuple[DataFrame, DataFrame]:
-        """(insertions, deletions), weights positive."""
-        delta = consolidated(self.delta(plan))
-        return delta.where(F.col(WEIGHT) > 0), negated(delta.where(F.col(WEIGHT) < 0))
+    def change(self, node: Node) -> tuple[DataFrame, DataFrame] | None:
+        """(insertions, deletions), both sets; None where there are none."""
+        if isinstance(node, (ScanVertices, ScanEdges)):
+            delta = self.bags.net.leaf_delta(node)
+            if delta is None:
+                return None
+            delta = consolidated(delta)
+            come, go = (delta.where(F.col(WEIGHT) * sign > 0).drop(WEIGHT) for sign in (1, -1))
+            return self.less(come, self.state(node, False)), self.less(go, self.state(node, True))
+        below = [self.change(c) for c in node.children()]
+        if all(b is None for b in below):
+            return None
+        if isinstance(node, Select):
+            return tuple(x.where(to_column(node.cond)) for x in below[0])
+        if isinstance(node, NaturalJoin):
+            on = shared_variables(node.left, node.right)
+            sides = []
+            for k, fresh in ((0, True), (1, False)):
+                left, right = self.state(node.left, fresh), self.state(node.right, fresh)
+                parts = [weighted_join(below[0][k], right, on)] if below[0] else []
+                parts += [weighted_join(left, below[1][k], on)] if below[1] else []
+                sides.append(added([p.select(*[column(c) for c in parts[0].columns]) for p in parts]).distinct())
+            return sides[0], sides[1]
+        if isinstance(node, (Project, Distinct, Union)):
+            shape = (lambda x: Lowering(self.bags.new).apply(node, [x])) if isinstance(node, Project) else (lambda x: x)
+            come, go = (added([shape(b[k]) for b in below if b]).distinct() for k in (0, 1))
+            return self.less(come, self.state(node, False)), self.less(go, self.state(node, True))
+        raise Unsupported(f"no set equation for {type(node).__name__}")
 
 
 def algebraic(plan: Node, graph: PropertyGraph, changes: ChangeSet, semantics: str = "bag") -> DataFrame:
     """The view from change equations: old less deletions, plus insertions."""
     require(f"algebraic_{semantics}", plan)
     plan = primitive_leaves(plan, graph)
-    derived = DeltaQueries(graph, changes, semantics)
+    if semantics == "set":
+        derived = SetEquations(graph, changes)
+        old, change = derived.state(plan, False), derived.change(plan)
+        return old if change is None else derived.less(old, change[1]).union(change[0].select(*[column(c) for c in old.columns]))
+    over, group = [], plan
+    while isinstance(group, Project):
+        over, group = [group, *over], group.child
+    if isinstance(group, Group):
+        return _aggregated(group, over, DeltaQueries(graph, changes))
+    derived = DeltaQueries(graph, changes)
     old = consolidated(Lowering(derived.old).df(plan))
     delta = derived.delta(plan)
-    bag = old if delta is None else added([old, delta])
-    if semantics == "set":
-        return consolidated(bag, positive=True).drop(WEIGHT)
-    return rows_of(bag)
+    return rows_of(old if delta is None else added([old, delta]))
+
+
+def _aggregated(group: Group, over: list[Node], derived: DeltaQueries) -> DataFrame:
+    """A count or sum of everything: the old value and what the change adds up to."""
+    for _, a in group.outs:
+        if a.name not in ("count", "sum") or a.distinct:
+            raise Unsupported("bag equations add up counts and sums only")
+    old = Lowering(derived.old).df(group)
+    delta = derived.delta(group.child)
+    if delta is not None:
+        more = [F.sum((to_column(a.arg) if a.name == "sum" else F.lit(1) if a.arg is None else F.when(to_column(a.arg).isNotNull(), 1)) * F.col(WEIGHT)).alias(f"_d{i}") for i, (_, a) in enumerate(group.outs)]
+        both = old.drop(WEIGHT).crossJoin(delta.agg(*more))  # one row each
+        old = both.select(*[(F.coalesce(column(n), F.lit(0)) + F.coalesce(F.col(f"_d{i}"), F.lit(0))).alias(n) for i, (n, _) in enumerate(group.outs)])
+    else:
+        old = old.drop(WEIGHT)
+    for node in over:
+        old = Lowering(derived.new).apply(node, [old])
+    return old
+
+
+def trigger(plan: Node, graph: PropertyGraph, changes: ChangeSet) -> DataFrame:
+    """One statement after the other: each changed table fires a query that puts its change into the stored view, the other tables as they are then."""
+    require("trigger", plan)
+    plan = primitive_leaves(plan, graph)
+    now = graph.with_tables({t: weighted(df) for t, df in graph.tables.items()})
+    view = stored(consolidated(Lowering(now).df(plan)), "triggered")
+    for table, rows in changes.tables.items():
+        one = ChangeSet({table: rows})
+        delta = DeltaQueries(now, one).delta(plan)
+        if delta is not None:
+            view = stored(consolidated(added([view, delta.select(*[column(c) for c in view.columns])])), "triggered")
+        now = changed(now, one)
+    return rows_of(view)
 
 
 def counting(plan: Node, graph: PropertyGraph, changes: ChangeSet) -> DataFrame:
@@ -92,7 +221,7 @@ def counting(plan: Node, graph: PropertyGraph, changes: ChangeSet) -> DataFrame:
     require("counting", plan)
     body = plan.child if isinstance(plan, Distinct) else plan
     body = primitive_leaves(body, graph)
-    derived = DeltaQueries(graph, changes, "counting")
+    derived = DeltaQueries(graph, changes)
     counts = stored(consolidated(Lowering(derived.old).df(body)), "counts")
     delta = derived.delta(body)
     bag = counts if delta is None else added([counts, delta])
@@ -104,7 +233,7 @@ def spj(plan: Node, graph: PropertyGraph, changes: ChangeSet) -> tuple[DataFrame
     require("spj", plan)
     changes = relevant(plan, graph, changes)
     plan = primitive_leaves(plan, graph)
-    derived = DeltaQueries(graph, changes, "spj")
+    derived = DeltaQueries(graph, changes)
     kept = {}
     for node in plan.walk():
         if isinstance(node, (ScanVertices, ScanEdges)):
@@ -116,22 +245,31 @@ def spj(plan: Node, graph: PropertyGraph, changes: ChangeSet) -> tuple[DataFrame
 
 
 def outer_delta(plan: Node, graph: PropertyGraph, changes: ChangeSet) -> DataFrame:
-    """Semi, anti and outer join views by the network's key rule without kept states."""
+    """Semi, anti and outer join views from their change equations."""
     require("outer_delta", plan)
-    network = Network(graph, plan, state="root", label="outer").load()
-    network.refresh(changes)
-    return network.read()
+    plan = primitive_leaves(plan, graph)
+    derived = OuterEquations(graph, changes)
+    old = consolidated(Lowering(derived.old).df(plan))
+    delta = derived.delta(plan)
+    return rows_of(old if delta is None else added([old, delta.select(*[column(c) for c in old.columns])]))
+
+
+def outer_agg(plan: Node, graph: PropertyGraph, changes: ChangeSet) -> DataFrame:
+    """Groupings over outer joins: the change of the outer join, summed by group, merged into the view's sums."""
+    return summary_delta(plan, graph, changes, "outer_agg", OuterEquations)
 
 
-def summary_delta(plan: Node, graph: PropertyGraph, changes: ChangeSet) -> DataFrame:
+def summary_delta(plan: Node, graph: PropertyGraph, changes: ChangeSet, technique: str = "summary_delta", equations: type = DeltaQueries) -> DataFrame:
     """A grouped view from its change summed by group first, then merged into the view's sums."""
-    require("summary_delta", plan)
+    require(technique, plan)
     after = [] if isinstance(plan, Group) else [plan]
     group = plan if isinstance(plan, Group) else plan.child
     if not isinstance(group, Group):
         raise Unsupported("summary deltas are of grouped views")
+    if any(e.name not in ("count", "sum", "avg") or e.distinct for _, e in group.outs):
+        raise Unsupported("summary deltas carry counts and sums only")
     child = primitive_leaves(group.child, graph)
-    derived = DeltaQueries(graph, changes, "summary")
+    derived = equations(graph, changes)
 
     def sums(bag: DataFrame) -> DataFrame:
         keys = [to_column(e).alias(n) for n, e in group.keys]
@@ -162,7 +300,7 @@ def value_counts(plan: Node, graph: PropertyGraph, changes: ChangeSet) -> DataFr
     require("value_counts", plan)
     group = plan if isinstance(plan, Group) else plan.child
     child = primitive_leaves(group.child, graph)
-    derived = DeltaQueries(graph, changes, "values")
+    derived = DeltaQueries(graph, changes)
     keys = [to_column(e).alias(n) for n, e in group.keys]
     args = [to_column(e.arg).alias(f"_x_{n}") for n, e in group.outs]
 
@@ -180,16 +318,34 @@ def delete_rederive(old_edges: DataFrame, inserted: DataFrame, deleted: DataFram
     reach = lambda edges, seeds: expand(seeds, edges, 1, None, "reach").select(F.col("start").alias("s"), F.col("end").alias("t"))
     seeds = old_edges.select(F.col("s").alias("start")).distinct()
     pairs = stored(reach(old_edges, seeds), "pairs")
-    kept_edges = old_edges.join(deleted.select("e"), "e", "left_anti").unionByName(inserted)
+    kept_edges = stored(old_edges.join(deleted.select("e"), "e", "left_anti").select("s", "t").distinct(), "kept")
     back = old_edges.select(F.col("t").alias("s"), F.col("s").alias("t"), "e")
     before = expand(deleted.select(F.col("s").alias("start")).distinct(), back, 0, None, "reach").select(F.col("start").alias("x"), F.col("end").alias("s"))
     after = expand(deleted.select(F.col("t").alias("start")).distinct(), old_edges, 0, None, "reach").select(F.col("start").alias("y"), F.col("end").alias("t"))
     over = deleted.select(F.col("s").alias("x"), F.col("t").alias("y")).distinct().join(before, "x").join(after, "y").select("s", "t").distinct()
-    sure = stored(pairs.join(over, ["s", "t"], "left_anti"), "sure")
-    # derive again and extend: sure pairs and kept edges, semi-naive from the touched sources
-    touched = over.select(F.col("s").alias("start")).unionByName(_reaching(inserted, kept_edges)).distinct()
-    again = reach(kept_edges, touched)
-    return sure.unionByName(again).distinct()
+    # whoever may have used a deleted edge is gone, until an edge that is left derives it from a pair that survives
+    gone = stored(pairs.join(over, ["s", "t"]), "gone")
+    alive = [stored(pairs.join(over, ["s", "t"], "left_anti"), "sure")]
+    step = stored(gone.join(kept_edges, ["s", "t"]), "again")
+    found = alive[0]
+    while True:
+        through = kept_edges.withColumnRenamed("t", "m").join(found.withColumnRenamed("s", "m"), "m").select("s", "t")
+        step = run_of(step.unionByName(gone.join(through, ["s", "t"], "left_semi")).distinct().join(reduce(DataFrame.unionByName, alive), ["s", "t"], "left_anti"), "again")
+        if not step.rows:
+            break
+        alive.append(step.df)
+        found, step = step.df, step.df.limit(0)
+    # insertions: new pairs go on by one edge at either end, until nothing is new
+    edges = stored(kept_edges.unionByName(inserted.select("s", "t")).distinct(), "edges")
+    step = inserted.select("s", "t").distinct()
+    while True:
+        step = run_of(step.join(reduce(DataFrame.unionByName, alive), ["s", "t"], "left_anti"), "more")
+        if not step.rows:
+            return reduce(DataFrame.unionByName, alive)
+        alive.append(step.df)
+        ahead = step.df.withColumnRenamed("t", "m").join(edges.withColumnRenamed("s", "m"), "m").select("s", "t")
+        behind = edges.withColumnRenamed("t", "m").join(step.df.withColumnRenamed("s", "m"), "m").select("s", "t")
+        step = ahead.unionByName(behind).distinct()
 
 
 def _reaching(edges: DataFrame, all_edges: DataFrame) -> DataFrame:
@@ -229,28 +385,13 @@ def topk(plan: SortTop, graph: PropertyGraph, changes: ChangeSet, spare: int = 5
     if plan.skip or plan.limit is None:
         raise Unsupported("a top-k view has a limit and no skip")
     child = primitive_leaves(plan.child, graph)
-    derived = DeltaQueries(graph, changes, "topk")
-    wide = SortTop(plan.child, plan.keys, 0, plan.limit + spare)
-    kept = stored(Lowering(derived.old).apply(wide, [Lowering(derived.old).df(child)]), "topk")
+    derived = DeltaQueries(graph, changes)
+    state = TopState(plan, "topk", spare=spare)
+    state.load(Lowering(derived.old).df(child))
     delta = derived.delta(child)
-    if delta is None:
-        return rows_of(Lowering(derived.old).apply(plan, [kept])), False
-    # rows beyond the worst kept one are unknown: only rows not beyond it may enter
-    delta = stored(consolidated(delta), "topk-delta")
-    full = kept.count() >= plan.limit + spare
-    bag = consolidated(added([kept, delta]), positive=True)
-    if full:
-        order = [to_column(e).asc_nulls_last() if up else to_column(e).desc_nulls_last() for e, up in plan.keys] + [column(c) for c in kept.columns if c != WEIGHT]
-        marks = kept.withColumn("_kept", F.lit(True)).unionByName(delta.where(F.col(WEIGHT) > 0).withColumn("_kept", F.lit(False)))
-        from pyspark.sql import Window
-
-        w = Window.partitionBy(F.lit(0)).orderBy(*order)
-        inside = marks.withColumn("_more", F.max(F.col("_kept").cast("int")).over(w.rowsBetween(0, Window.unboundedFollowing))).where("_more = 1")
-        negative = delta.where(F.col(WEIGHT) < 0)
-        bag = consolidated(inside.drop("_more", "_kept").unionByName(negative), positive=True)
-        if bag.count() < plan.limit:
-            return recompute(plan, graph, changes), True
-    return rows_of(Lowering(derived.new).apply(plan, [bag])), False
+    if delta is not None:
+        state.refresh(delta, lambda: Lowering(derived.new).df(child))
+    return rows_of(state.relation(True)), state.refills > 0
 
 
 def higher_order(graph: PropertyGraph, changes: ChangeSet) -> DataFrame:

@@ -2,39 +2,51 @@
 
 Nodes mirror the flat plan.  Loading evaluates it once and writes what stateful
 nodes need of their inputs; a refresh sends signed change sets from the leaves to
-the root.  Linear operators apply to a change as to rows.  A join takes the change
-of one side with the new state of the other, and the old state with the other's
-change.  Operators that are not linear find the keys a change touches and give
-their new result on those keys less the old one, so a refresh reads only touched
-groups.
-
-Leaves keep no state: old and new tables are the state (new = old plus change).  Node
-states are runs, a base and one run a refresh, in the shared folder; weights add up
-when they are read, and runs are merged when there are many.  A refresh commits by
-one switch of all runs; a batch number seen before changes nothing.
+the root.
+
+* Linear operators apply to a change as to rows.
+* A join takes the change of one side with the new state of the other, and the old
+  state with the other's change.
+* A grouping keeps partial aggregates, a sort with a limit its best rows (states.py):
+  both work on the change and the rows it touches in what they keep.
+* Distinct counts how often its rows stand.
+* Outer, semi and anti joins find the keys a change touches and give their result on
+  those keys less the old one; transitive joins walk anew from the rows that reach a
+  changed edge.
+
+Plain leaves keep no state: old and new tables are the state (new = old plus change).
+Derived leaves keep their rows, as windows and range joins are dear to repeat.  States
+and changes of tables are runs in the shared folder; weights add up when they are read,
+and runs are merged when there are many, so a plan has a bounded number of relations.
+A refresh commits by one switch of all runs; a batch number seen before changes
+nothing.  Branches of the plan that do not depend on each other are worked on at once.
 """
 
 from __future__ import annotations
 
 import time
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
-from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphviews.maintenance.changes import ChangeSet, added, negated, weighted
+from graphviews.maintenance.relevance import relevant
+from graphviews.maintenance.states import MOST_RUNS, GroupState, Runs, Table, TopState, touching
 from graphviews.operators.lowering import Lowering, shared_variables
 from graphviews.operators.paths import edge_pairs, expand
-from graphviews.plans.expr import column, to_column
+from graphviews.plans.expr import column
 from graphviews.plans.ops import Anti, Distinct, Dual, Group, LeftOuter, NaturalJoin, Node, Project, ScanEdges, ScanVertices, Select, Semi, SortTop, TransitiveJoin, Union, Unwind, rewritten
-from graphviews.sources.graph import WEIGHT, EdgeSource, PropertyGraph, VertexSource, consolidated, weighted_join
-from graphviews.sources.shared import dropped, stored
+from graphviews.sources.graph import WEIGHT, PropertyGraph, consolidated, inputs_of, weighted_join
+from graphviews.sources.shared import Run, removed, run_of, stored
+
+__all__ = ["MOST_RUNS", "Network", "RefreshReport", "primitive_leaves"]
 
 LINEAR = (Select, Project, Unwind, Union)
 LEAVES = (ScanVertices, ScanEdges, Dual)
-#: Runs of a state before they are merged.
-MOST_RUNS = 4
+#: Generations whose change is kept, and batch names that are remembered.
+HISTORY, SEEN = 16, 10_000
 
 
 def primitive_leaves(plan: Node, graph: PropertyGraph) -> Node:
@@ -57,19 +69,43 @@ def primitive_leaves(plan: Node, graph: PropertyGraph) -> Node:
     return rewritten(plan, rule)
 
 
+def base_tables(graph: PropertyGraph, label: str, folder: str | None = None) -> dict[str, Table]:
+    return {t: Table(weighted(df), Runs(f"{label}-{t}", folder)) for t, df in graph.tables.items()}
+
+
+def staged(tables: dict[str, Table], changes: ChangeSet) -> dict[str, DataFrame]:
+    """Changes written behind their base tables, to be committed; tables whose changes cancel out are left out."""
+    changed = {}
+    for t, df in changes.tables.items():
+        runs = tables[t].runs
+        run = runs.written(consolidated(df.select(*tables[t].first.columns)))
+        if run.rows:
+            runs.pending, changed[t] = run, run.df
+    return changed
+
+
 @dataclass
 class NetNode:
     op: Node
     children: list[NetNode]
+    number: int = 0
     stateful: bool = False
-    runs: list[DataFrame] = field(default_factory=list)
-    pending: DataFrame | None = None
+    rows: Runs | None = None
+    inside: GroupState | TopState | None = None
 
     def walk(self):
         for c in self.children:
             yield from c.walk()
         yield self
 
+    def kept(self) -> dict[str, Runs]:
+        """What is kept, by name."""
+        return {**({"rows": self.rows} if self.rows else {}), **(self.inside.kept() if self.inside else {})}
+
+    @property
+    def runs(self) -> list[DataFrame]:
+        return [p.df for r in self.kept().values() for p in r.parts]
+
 
 @dataclass
 class RefreshReport:
@@ -84,123 +120,187 @@ class RefreshReport:
 class Network:
     """A view's operator network over a graph.
 
-    state: ``all`` keeps the inputs of every operator that needs old rows; ``root`` keeps
-    the view alone and recomputes the rest.
+    state: ``all`` keeps what every operator needs of old rows; ``root`` keeps the view
+    alone and recomputes the rest; ``none`` keeps nothing, the view is computed when it is
+    read.  folder: where runs lie if they outlive the session.  tables: base tables that
+    several networks share, and whose owner commits them.
     """
 
-    def __init__(self, graph: PropertyGraph, plan: Node, state: str = "all", label: str = "view"):
+    def __init__(self, graph: PropertyGraph, plan: Node, state: str = "all", label: str = "view", folder: str | None = None, history: int = HISTORY, tables: dict[str, Table] | None = None):
         self.graph = graph.with_tables({t: weighted(df) for t, df in graph.tables.items()})
+        self.owner = tables is None
+        self.tables = base_tables(self.graph, label, folder) if tables is None else tables
         self.plan = primitive_leaves(plan, graph)
-        self.state, self.label = state, label
+        self.state, self.label, self.folder, self.keep = state, label, folder, history
         self.root = self._build(self.plan)
-        self.root.stateful = True
+        self.root.stateful |= self.root.inside is None and state != "none"
+        for number, node in enumerate(self.root.walk()):
+            node.number = number
+            if node.stateful:
+                node.rows = Runs(f"{label}-{number}", folder)
         self.generation = -1
-        self.seen: set[str] = set()
-        self.history: list[DataFrame | None] = []
+        self.seen: dict[str, None] = {}
+        self.history: dict[int, DataFrame | None] = {}
+        self.garbage: list[tuple[int, Run]] = []
 
     def _build(self, op: Node) -> NetNode:
         node = NetNode(op, [self._build(c) for c in op.children()])
-        if self.state == "all" and not isinstance(op, (*LINEAR, *LEAVES)):
+        if self.state != "all":
+            return node
+        if isinstance(op, Group):
+            node.inside = GroupState(op, f"{self.label}-group", self.folder)
+        elif isinstance(op, SortTop) and op.limit is not None:
+            node.inside = TopState(op, f"{self.label}-top", self.folder)
+        elif not isinstance(op, (*LINEAR, *LEAVES)):
             for c in node.children:
-                c.stateful |= not self._from_leaf(c)
+                c.stateful |= not self._at_hand(c)
         return node
 
-    @classmethod
-    def _from_leaf(cls, node: NetNode) -> bool:
-        """Leaves and linear operators above them are cheaper to read from the tables than from a copy."""
-        return isinstance(node.op, LEAVES) or isinstance(node.op, LINEAR) and all(map(cls._from_leaf, node.children))
+    def _at_hand(self, node: NetNode) -> bool:
+        """Plain leaves, groupings and linear operators above them are cheaper to read from what there is than from a copy."""
+        if isinstance(node.op, LEAVES):
+            return not self._derived_leaf(node.op)
+        return isinstance(node.inside, GroupState) or isinstance(node.op, LINEAR) and all(map(self._at_hand, node.children))
 
     # -- relations
     def relation(self, node: NetNode, graph: PropertyGraph, fresh: bool) -> DataFrame:
         """A node's weighted rows, before (or with fresh, after) the change at hand."""
-        if node.stateful and node.runs:
-            return added([*node.runs, *([node.pending] if fresh else [])])
+        if node.inside is not None and self.generation >= 0:
+            return node.inside.relation(fresh)
+        if node.rows and node.rows.parts:
+            return node.rows.now(fresh)
         return Lowering(graph).apply(node.op, [self.relation(c, graph, fresh) for c in node.children])
 
+    @staticmethod
+    def _each(work, nodes: list[NetNode]) -> list:
+        """Work on nodes that do not depend on each other, at once."""
+        if len(nodes) < 2:
+            return [work(n) for n in nodes]
+        with ThreadPoolExecutor(len(nodes)) as pool:
+            return list(pool.map(work, nodes))
+
     def load(self) -> Network:
         """Generation 0: everything is an insertion."""
-        for node in self.root.walk():
-            if node.stateful:
-                rows = Lowering(self.graph).apply(node.op, [self.relation(c, self.graph, False) for c in node.children])
-                node.runs = [stored(consolidated(rows), f"{self.label}-state")]
+        self._load(self.root)
         self.generation = 0
-        self.history = [self.root.runs[0]]
+        self.history = {0: self.relation(self.root, self.graph, False)}
         return self
 
+    def _load(self, node: NetNode) -> None:
+        self._each(self._load, node.children)
+        if node.inside is not None:
+            node.inside.load(self._loading(node.children[0]))
+        if node.rows:
+            node.rows.parts = [node.rows.written(consolidated(self._loading(node)))]
+
+    def _loading(self, node: NetNode) -> DataFrame:
+        if node.inside is not None and node.inside.kept() and all(r.parts for r in node.inside.kept().values()):
+            return node.inside.relation(False)
+        if node.rows and node.rows.parts:
+            return node.rows.now()
+        return Lowering(self.graph).apply(node.op, [self._loading(c) for c in node.children])
+
     def read(self) -> DataFrame:
         """The view as plain rows."""
-        rows = consolidated(added(self.root.runs), positive=True)
+        rows = consolidated(self.relation(self.root, self.graph, False), positive=True)
         return rows.withColumn("_n", F.explode(F.sequence(F.lit(1).cast("long"), F.col(WEIGHT)))).drop("_n", WEIGHT)
 
     def changes(self, generation: int) -> DataFrame | None:
-        """The signed change that made a generation of the view."""
+        """The signed change that made a generation of the view, of the last generations."""
         return self.history[generation]
 
+    # -- what outlives the session
+    def manifest(self) -> dict:
+        """Folders and sizes of all runs, by node and name."""
+        kept = {str(n.number): {name: [[p.path, p.rows] for p in r.parts] for name, r in n.kept().items()} for n in self.root.walk() if n.kept()}
+        return {"generation": self.generation, "seen": list(self.seen), "kept": kept}
+
+    def restore(self, manifest: dict) -> Network:
+        """Take over the runs of a manifest instead of loading."""
+        spark = self.graph.spark
+        for node in self.root.walk():
+            for name, r in node.kept().items():
+                r.parts = [Run(spark.read.parquet(path), rows, path) for path, rows in manifest["kept"][str(node.number)][name]]
+        self.generation, self.seen = manifest["generation"], dict.fromkeys(manifest["seen"])
+        self.graph = self.graph.with_tables({t: table.now() for t, table in self.tables.items() if table.runs.parts})
+        self.history = {}
+        return self
+
     def state_rows(self) -> int:
-        return sum(run.count() for n in self.root.walk() for run in n.runs)
+        return sum(r.rows() for n in self.root.walk() for r in n.kept().values())
 
     # -- refresh
     def refresh(self, changes: ChangeSet, batch: str | None = None) -> RefreshReport:
         """Apply a change set; a batch name seen before is a repeat and changes nothing."""
+        if batch is not None and batch in self.seen:
+            return RefreshReport(self.generation, None, 0.0, {})
+        return self.apply(staged(self.tables, changes), batch)
+
+    def apply(self, changed: dict[str, DataFrame], batch: str | None = None) -> RefreshReport:
+        """Propagate changes that wait in the base tables."""
         began = time.perf_counter()
         if batch is not None and batch in self.seen:
             return RefreshReport(self.generation, None, 0.0, {})
-        self.delta_tables = {}
-        for t, df in changes.tables.items():
-            columns = [c for c in self.graph.tables[t].columns]
-            merged = stored(consolidated(df.select(*columns)), f"{self.label}-change")
-            if merged.limit(1).count():
-                self.delta_tables[t] = merged
+        self.counts: dict[str, int] = {}
         self.old = self.graph
-        self.new = self.graph.with_tables({t: added([self.graph.tables[t], d]) for t, d in self.delta_tables.items()})
+        self.new = self.graph.with_tables({t: self.tables[t].now(True) for t in changed})
+        # rows that no leaf lets through come into the tables and go no further
+        self.delta_tables = relevant(self.plan, self.graph, ChangeSet(changed)).tables
         self.memo: dict[int, DataFrame | None] = {}
-        self.counts: dict[str, int] = {}
-        root_delta = self.delta(self.root) if self.delta_tables else None
+        root_delta = self.delta(self.root) if self.delta_tables and self.state != "none" else None
+        if root_delta is not None and not self.root.stateful:
+            run = run_of(consolidated(root_delta), f"{self.label}-delta", self.folder)
+            self.counts["view"] = run.rows
+            root_delta = run.df if run.rows else None
         self._commit(root_delta)
         if batch is not None:
-            self.seen.add(batch)
+            self.seen[batch] = None
+            if len(self.seen) > SEEN:
+                del self.seen[next(iter(self.seen))]
         return RefreshReport(self.generation, root_delta, time.perf_counter() - began, self.counts)
 
     def _commit(self, root_delta: DataFrame | None) -> None:
+        gone = [run for t in self.tables.values() for run in t.runs.commit()] if self.owner else []
         for node in self.root.walk():
-            if node.pending is not None:
-                node.runs = [*node.runs, node.pending]
-                node.pending = None
-                if len(node.runs) > MOST_RUNS:
-                    before, node.runs = node.runs, [stored(consolidated(added(node.runs)), f"{self.label}-state")]
-                    if node is not self.root:
-                        for run in before:
-                            dropped(run)
-        self.graph = self.new
+            if node.rows:
+                gone += node.rows.commit()
+            if node.inside is not None:
+                gone += node.inside.commit() if isinstance(node.inside, TopState) else [run for r in node.inside.kept().values() for run in r.commit()]
+        self.graph = self.graph.with_tables({t: table.now(not self.owner) for t, table in self.tables.items() if table.runs.parts or table.runs.pending})
         self.generation += 1
-        self.history.append(root_delta)
+        self.history[self.generation] = root_delta
+        for old in [g for g in self.history if g <= self.generation - self.keep]:
+            del self.history[old]
+        # what was merged away may still be read by frames handed out before
+        self.garbage += [(self.generation, run) for run in gone]
+        while self.garbage and self.garbage[0][0] <= self.generation - self.keep:
+            removed(self.graph.spark, self.garbage.pop(0)[1].path)
 
     def delta(self, node: NetNode) -> DataFrame | None:
         """A node's signed change; None where it is empty."""
         if id(node) not in self.memo:
             out = self._delta(node)
             # changes of other nodes stay lazy and run inside the plan of the next one that is written
-            if out is not None and (node.stateful or isinstance(node.op, TransitiveJoin) or self._derived_leaf(node.op)):
-                out = stored(consolidated(out), f"{self.label}-delta")
-                if not (n := out.count()):
-                    out = None
-                self.counts[f"{type(node.op).__name__} {len(self.counts)}"] = n
-            if node.stateful:
-                node.pending = out
+            if out is not None and (node.rows or isinstance(node.op, TransitiveJoin) or self._derived_leaf(node.op)):
+                run = node.rows.written(consolidated(out)) if node.rows else run_of(consolidated(out), f"{self.label}-delta")
+                out = run.df if run.rows else None
+                if node.rows and run.rows:
+                    node.rows.pending = run
+                self.counts[f"{type(node.op).__name__} {node.number}"] = run.rows
             self.memo[id(node)] = out
         return self.memo[id(node)]
 
     def _derived_leaf(self, op: Node) -> bool:
-        """Leaves whose change is a difference of derived relations: often empty, and dear to compute twice."""
+        """Leaves over derived relations, whose rows and changes are dear to compute twice."""
         if isinstance(op, ScanEdges):
-            return any(s.derive is not None for s in self.new.edge_sources(op.types))
-        return isinstance(op, ScanVertices) and any(s.derive is not None for s in self.new.vertices.values() if self.new.may_have(s, op.labels))
+            return any(s.derive is not None for s in self.graph.edge_sources(op.types))
+        return isinstance(op, ScanVertices) and any(s.derive is not None for s in self.graph.vertices.values() if self.graph.may_have(s, op.labels))
 
     def _delta(self, node: NetNode) -> DataFrame | None:
         op = node.op
         if isinstance(op, LEAVES):
             return self.leaf_delta(op)
-        deltas = [self.delta(c) for c in node.children]
+        deltas = self._each(self.delta, node.children)
         if all(d is None for d in deltas):
             return None
         apply = Lowering(self.new).apply
@@ -213,28 +313,26 @@ class Network:
         if isinstance(op, TransitiveJoin):
             return self.transitive_delta(node, *deltas)
         if isinstance(op, SortTop):
+            if isinstance(node.inside, TopState):
+                return node.inside.refresh(deltas[0], lambda: self.relation(node.children[0], self.new, True))
+            if op.limit is None and not op.skip:
+                return deltas[0]  # a bag has no order
             return self.difference(node, lambda rows, side: rows)
         if isinstance(op, (LeftOuter, Semi, Anti)):
             on = shared_variables(op.left, op.right)
             keys = [column(c).alias(f"_k{i}") for i, c in enumerate(on)]
             touched = added([d.select(*keys) for d in deltas if d is not None]).distinct() if on else None
-            return self.difference(node, lambda rows, side: rows if touched is None else self.touching(rows, touched, [column(c) for c in on]))
+            return self.difference(node, lambda rows, side: rows if touched is None else touching(rows, touched, [column(c) for c in on]))
         if isinstance(op, Distinct):
-            own = [c for c in deltas[0].columns if c != WEIGHT]
-            touched = deltas[0].select(*[column(c).alias(f"_k{i}") for i, c in enumerate(own)]).distinct()
-            return self.difference(node, lambda rows, side: self.touching(rows, touched, [column(c) for c in own]))
+            return self.distinct_delta(node, deltas[0])
         if isinstance(op, Group):
-            exprs = [to_column(e) for _, e in op.keys]
-            touched = deltas[0].select(*[e.alias(f"_k{i}") for i, e in enumerate(exprs)]).distinct() if exprs else None
-            return self.difference(node, lambda rows, side: rows if touched is None else self.touching(rows, touched, exprs))
+            if isinstance(node.inside, GroupState):
+                return node.inside.refresh(deltas[0])
+            exprs = [e for _, e in GroupState(op, self.label).keys]
+            touched = deltas[0].select(*[e.alias(f"_k{i}") for i, e in enumerate(exprs)]).distinct()
+            return self.difference(node, lambda rows, side: touching(rows, touched, exprs))
         raise TypeError(op)
 
-    @staticmethod
-    def touching(rows: DataFrame, touched: DataFrame, exprs: list) -> DataFrame:
-        """Rows whose key is among the touched ones; nulls are keys too."""
-        cond = reduce(lambda a, b: a & b, [e.eqNullSafe(F.col(f"_k{i}")) for i, e in enumerate(exprs)])
-        return rows.join(touched, cond, "left_semi")
-
     def difference(self, node: NetNode, restrict) -> DataFrame:
         """The operator on restricted new inputs less the same on old ones."""
         sides = []
@@ -243,6 +341,15 @@ class Network:
             sides.append(Lowering(graph).apply(node.op, inputs))
         return sides[0].unionByName(negated(sides[1]))
 
+    def distinct_delta(self, node: NetNode, delta: DataFrame) -> DataFrame:
+        """Rows whose number rises from zero or falls to it."""
+        own = [c for c in delta.columns if c != WEIGHT]
+        touched = delta.select(*[column(c).alias(f"_k{i}") for i, c in enumerate(own)]).distinct()
+        old = touching(self.relation(node.children[0], self.old, False), touched, [column(c) for c in own])
+        both = old.withColumn("_old", F.col(WEIGHT)).unionByName(delta.withColumn("_old", F.lit(0).cast("long")))
+        counted = both.groupBy(*[column(c) for c in own]).agg((F.when(F.sum(WEIGHT) > 0, 1).otherwise(0) - F.when(F.sum("_old") > 0, 1).otherwise(0)).cast("long").alias(WEIGHT))
+        return counted.where(F.col(WEIGHT) != 0)
+
     def join_delta(self, node: NetNode, left: DataFrame | None, right: DataFrame | None) -> DataFrame | None:
         on = shared_variables(node.op.left, node.op.right)
         parts = []
@@ -272,40 +379,25 @@ class Network:
         if isinstance(op, Dual):
             return None
         edges = isinstance(op, ScanEdges)
-        pool: list[VertexSource | EdgeSource] = self.new.edge_sources(op.types) if edges else [s for s in self.new.vertices.values() if self.new.may_have(s, op.labels)]
+        pool = self.new.edge_sources(op.types) if edges else [s for s in self.new.vertices.values() if self.new.may_have(s, op.labels)]
         plain = [s for s in pool if s.derive is None and s.table in self.delta_tables]
-        derived = [s for s in pool if s.derive is not None and {s.table, *getattr(s, "tables", ())} & self.delta_tables.keys() | self._inputs(s)]
+        derived = [s for s in pool if s.derive is not None and inputs_of(s) & self.delta_tables.keys()]
         parts = []
         if plain:
             tables = {s.table: self.delta_tables[s.table] for s in plain}
             parts.append(Lowering(self._only(self.new, plain, edges).with_tables(tables)).apply(op, []))
         for s in derived:
+            keys = dict(s.touch)
+            changed = inputs_of(s) & self.delta_tables.keys()
+            touched = added([self.delta_tables[t].select(F.expr(keys[t]).alias("_k0")) for t in sorted(changed)]).distinct() if changed <= keys.keys() else None
             for graph, sign in ((self.new, 1), (self.old, -1)):
                 some = graph
-                if s.touch and s.touch[0] in self.delta_tables and {s.touch[0]} == self._inputs(s):
-                    table, key = s.touch
-                    touched = self.delta_tables[table].select(F.col(key).alias("_k0")).distinct()
-                    some = graph.with_tables({table: self.touching(graph.tables[table], touched, [F.col(key)])})
+                if touched is not None:
+                    some = graph.with_tables({t: touching(graph.tables[t], touched, [F.expr(k)]) for t, k in keys.items()})
                 rows = Lowering(self._only(some, [s], edges)).apply(op, [])
                 parts.append(rows if sign > 0 else negated(rows))
         return added(parts)
 
-    def _inputs(self, s) -> set[str]:
-        """Changed tables that a derived source reads."""
-        reads: set[str] = set()
-
-        class Seen(dict):
-            def __getitem__(inner, name):
-                reads.add(name)
-                return dict.__getitem__(inner, name)
-
-        s.derive(Seen(self._plain_tables))
-        return reads & self.delta_tables.keys()
-
-    @property
-    def _plain_tables(self) -> dict[str, DataFrame]:
-        return {t: df.drop(WEIGHT) for t, df in self.old.tables.items()}
-
     @staticmethod
     def _only(graph: PropertyGraph, sources: list, edges: bool) -> PropertyGraph:
         return graph.of_sources([] if edges else sources, sources if edges else [])

@@ -6,21 +6,25 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphviews.maintenance.changes import ChangeSet
-from graphviews.plans.expr import HasLabels, Lit, Op, Prop, conjuncts, properties, to_column
-from graphviews.plans.ops import Node, ScanEdges, ScanVertices, Select
-from graphviews.sources.graph import PropertyGraph
+from graphviews.plans.expr import Lit, Op, Prop, conjuncts, properties, to_column
+from graphviews.plans.ops import NaturalJoin, Node, ScanEdges, ScanVertices, Select
+from graphviews.sources.graph import PropertyGraph, inputs_of
 
 
-def leaf_conditions(plan: Node) -> dict[str, list]:
-    """Conjuncts of selections that compare one variable's property with a constant, by variable."""
-    found: dict[str, list] = {}
-    for node in plan.walk():
-        if isinstance(node, Select):
-            for c in conjuncts(node.cond):
-                own = {v for v, _ in properties(c)}
-                if len(own) == 1 and isinstance(c, (Op, HasLabels)) and all(isinstance(a, (Prop, Lit)) for a in getattr(c, "args", ())):
-                    found.setdefault(own.pop(), []).append(c)
-    return found
+def leaf_conditions(plan: Node, own: tuple = ()) -> list[tuple[Node, tuple]]:
+    """Leaves with the conditions that every row of theirs must meet to matter.
+
+    Those are conjuncts over one variable's properties and constants, of selections with
+    nothing but joins and other selections between them and the leaf.
+    """
+    if isinstance(plan, Select):
+        mine = [c for c in conjuncts(plan.cond) if isinstance(c, Op) and all(isinstance(a, (Prop, Lit)) for a in c.args) and len({v for v, _ in properties(c)}) == 1]
+        return leaf_conditions(plan.child, (*own, *mine))
+    if isinstance(plan, NaturalJoin):
+        return [*leaf_conditions(plan.left, own), *leaf_conditions(plan.right, own)]
+    if isinstance(plan, (ScanVertices, ScanEdges)):
+        return [(plan, own)]
+    return [found for c in plan.children() for found in leaf_conditions(c)]
 
 
 def relevant(plan: Node, graph: PropertyGraph, changes: ChangeSet) -> ChangeSet:
@@ -29,23 +33,21 @@ def relevant(plan: Node, graph: PropertyGraph, changes: ChangeSet) -> ChangeSet:
     A row stays where any leaf over its table has no constant condition on it, or one
     it meets; tables that derived sources read are left whole.
     """
-    conditions = leaf_conditions(plan)
     tests: dict[str, list] = {}
     whole: set[str] = set()
-    for leaf in plan.walk():
+    for leaf, conditions in leaf_conditions(plan):
         if isinstance(leaf, ScanVertices):
             pairs = [(s, leaf.var) for s in graph.vertices.values() if graph.may_have(s, leaf.labels)]
-        elif isinstance(leaf, ScanEdges):
-            pairs = [(s, leaf.e) for s in graph.edge_sources(leaf.types)]
-            ends = {x for s, _ in pairs for x in (s.source, s.target)}
-            pairs += [(graph.vertices[x], v) for x in ends for v in (leaf.v, leaf.w)]
         else:
-            continue
+            pairs = [(s, leaf.e) for s in graph.edge_sources(leaf.types)]
+            if leaf.ends:
+                ends = {x for s, _ in pairs for x in (s.source, s.target)}
+                pairs += [(graph.vertices[x], v) for x in ends for v in (leaf.v, leaf.w)]
         for source, var in pairs:
             if source.derive is not None:
-                whole |= {source.table, *getattr(source, "tables", ())}
+                whole |= inputs_of(source)
                 continue
-            own = [c for c in conditions.get(var, []) if isinstance(c, Op) and all(k in source.props for _, k in properties(c))]
+            own = [c for c in conditions if all(v == var and k in source.props for v, k in properties(c))]
             tests.setdefault(source.table, []).append((source, var, own))
     out: dict[str, DataFrame] = {}
     for table, df in changes.tables.items():

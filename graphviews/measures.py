@@ -95,7 +95,7 @@ def measure(graph: PropertyGraph, text: str, changes: list[ChangeSet], mode: str
     if check:
         now = network.read()
         out.exact = same_bag(now, again)
-        deltas = [d for d in network.history[1:] if d is not None]
+        deltas = [d for g, d in network.history.items() if g and d is not None]
         total = consolidated(deltas[0] if len(deltas) == 1 else _union(deltas)) if deltas else None
         if total is not None:
             plus, minus = _rows(total.where(f"{WEIGHT} > 0")), _rows(total.where(f"{WEIGHT} < 0").withColumn(WEIGHT, -total[WEIGHT]))

@@ -184,13 +184,19 @@ def grouped(node: Group, df: DataFrame) -> DataFrame:
     return out.withColumn(WEIGHT, F.lit(1).cast("long")) if weighted else out
 
 
+def order_of(node: SortTop, df: DataFrame) -> list[Column]:
+    """A sort's keys, then all columns, so that ties have one order."""
+    keys = [to_column(e).asc_nulls_last() if up else to_column(e).desc_nulls_last() for e, up in node.keys]
+    return [*keys, *[column(c) for c in df.columns if c != WEIGHT]]
+
+
 def sorted_top(node: SortTop, df: DataFrame) -> DataFrame:
     weighted = is_weighted(df)
     if weighted:
         df = consolidated(df, positive=True)
-        df = df.withColumn("_n", F.explode(F.sequence(F.lit(1).cast("long"), F.col(WEIGHT)))).drop("_n").withColumn(WEIGHT, F.lit(1).cast("long"))
-    keys = [to_column(e).asc_nulls_last() if up else to_column(e).desc_nulls_last() for e, up in node.keys]
-    df = df.orderBy(*keys, *[column(c) for c in df.columns if c != WEIGHT])
+        times = F.col(WEIGHT) if node.limit is None else F.least(F.col(WEIGHT), F.lit(node.skip + node.limit))
+        df = df.withColumn("_n", F.explode(F.sequence(F.lit(1).cast("long"), times))).drop("_n").withColumn(WEIGHT, F.lit(1).cast("long"))
+    df = df.orderBy(*order_of(node, df))
     if node.skip:
         df = df.offset(node.skip)
     return df.limit(node.limit) if node.limit is not None else df

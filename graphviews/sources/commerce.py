@@ -85,12 +85,13 @@ VERTICES = [
     VertexSource("supplier", "supplier", node(SUPPLIER, "s_suppkey"), ("Party", "Supplier"), {"name": "s_name", "acctbal": "s_acctbal", "nationkey": "s_nationkey", "key": "s_suppkey"}),
     VertexSource("part", "part", node(PART, "p_partkey"), ("Item", "Part"), {"name": "p_name", "brand": "p_brand", "ptype": "p_type", "size": "p_size", "retailprice": "p_retailprice", "words": "split(p_name, ' ')", "key": "p_partkey"}),
     VertexSource("orders", "orders", node(ORDER, "o_orderkey"), ("Order",), {"status": "o_orderstatus", "totalprice": "o_totalprice", "orderdate": "o_orderdate", "priority": "o_orderpriority", "key": "o_orderkey"}, "if(o_orderpriority = '1-URGENT', array('Urgent'), array())", ("Urgent",)),
-    VertexSource("tag", "part", hashed(TAG, "p_type"), ("Tag",), {"topic": "p_type"}, derive=distinct_of("part", "p_type")),
-    VertexSource("class", "part", hashed(CLASS, "p_brand"), ("Class",), {"subject": "p_brand"}, derive=distinct_of("part", "p_brand")),
+    VertexSource("tag", "part", hashed(TAG, "p_type"), ("Tag",), {"topic": "p_type"}, derive=distinct_of("part", "p_type"), touch=(("part", "p_type"),)),
+    VertexSource("class", "part", hashed(CLASS, "p_brand"), ("Class",), {"subject": "p_brand"}, derive=distinct_of("part", "p_brand"), touch=(("part", "p_brand"),)),
     VertexSource("event", "events", node(EVENT, "event_id"), ("Event",), {"ts": "ts", "etype": "event_type", "value": "value", "props": "from_json(props, 'map<string,string>')", "key": "event_id"}),
     VertexSource("document", "documents", node(DOCUMENT, "doc_id"), ("Text", "Document"), {"text": "text", "lang": "lang", "source": "source", "n_chars": "n_chars", "key": "doc_id", "quality": "quality", "toxic": "toxic"},
                  "if(labelled, array('Labelled'), array())", ("Labelled",),
-                 derive=lambda t: t["documents"].join(t["labels"].withColumn("labelled", F.lit(True)), "doc_id", "left").withColumn("labelled", F.coalesce("labelled", F.lit(False)))),
+                 derive=lambda t: t["documents"].join(t["labels"].withColumn("labelled", F.lit(True)), "doc_id", "left").withColumn("labelled", F.coalesce("labelled", F.lit(False))),
+                 tables=("documents", "labels"), touch=(("documents", "doc_id"), ("labels", "doc_id"))),
     VertexSource("turn", "conversations", node(TURN, "conv_id * 1000 + turn"), ("Text", "Turn"), {"role": "role", "text": "text", "turn": "turn", "conv": "conv_id"}, "array(role)", ("user", "assistant", "system")),
     VertexSource("page", "pages", node(PAGE, "page_id"), ("Page",), {"url": "url", "html": "html", "host": "parse_url(url, 'HOST')", "key": "page_id"}),
     VertexSource("term", "pages", hashed(TERM, "word"), ("Term",), {"word": "word"}, derive=lambda t: links(t).select("word").distinct()),
@@ -106,21 +107,21 @@ EDGES = [
     EdgeSource("PLACED", "orders", node(24, "o_orderkey"), node(CUSTOMER, "o_custkey"), node(ORDER, "o_orderkey"), "customer", "orders", {"orderdate": "o_orderdate"}),
     EdgeSource("CONTAINS", "lineitem", node(25, "l_orderkey * 1000 + line"), node(ORDER, "l_orderkey"), node(PART, "l_partkey"), "orders", "part",
                {"quantity": "l_quantity", "price": "l_extendedprice", "discount": "l_discount", "tax": "l_tax", "returnflag": "l_returnflag", "linestatus": "l_linestatus", "shipdate": "l_shipdate", "line": "line"},
-               derive=numbered_lines, touch=("lineitem", "l_orderkey")),
+               derive=numbered_lines, touch=(("lineitem", "l_orderkey"),)),
     EdgeSource("SHIPPED_BY", "lineitem", node(26, "l_orderkey * 1000 + line"), node(ORDER, "l_orderkey"), node(SUPPLIER, "l_suppkey"), "orders", "supplier", {"quantity": "l_quantity", "line": "line"},
-               derive=numbered_lines, touch=("lineitem", "l_orderkey")),
+               derive=numbered_lines, touch=(("lineitem", "l_orderkey"),)),
     EdgeSource("SUPPLIES", "lineitem", node(27, "l_suppkey * 10000000L + l_partkey"), node(SUPPLIER, "l_suppkey"), node(PART, "l_partkey"), "supplier", "part",
-               derive=lambda t: t["lineitem"].select("l_suppkey", "l_partkey").distinct(), touch=("lineitem", "l_suppkey")),
+               derive=lambda t: t["lineitem"].select("l_suppkey", "l_partkey").distinct(), touch=(("lineitem", "l_suppkey"),)),
     EdgeSource("HAS_TYPE", "part", node(28, "p_partkey"), node(PART, "p_partkey"), hashed(TAG, "p_type"), "part", "tag"),
     EdgeSource("HAS_BRAND", "part", node(29, "p_partkey"), node(PART, "p_partkey"), hashed(CLASS, "p_brand"), "part", "class"),
     EdgeSource("SUBCLASS_OF", "part", node(30, "p_partkey"), node(PART, "p_partkey"), node(PART, f"(p_partkey - 1) div {BRANCHING}"), "part", "part", where="p_partkey > 0"),
-    EdgeSource("KNOWS", "customer", node(31, "k * 10000000L + k2"), node(CUSTOMER, "k"), node(CUSTOMER, "k2"), "customer", "customer", derive=near_customers, touch=("customer", "c_nationkey")),
+    EdgeSource("KNOWS", "customer", node(31, "k * 10000000L + k2"), node(CUSTOMER, "k"), node(CUSTOMER, "k2"), "customer", "customer", derive=near_customers, touch=(("customer", "c_nationkey"),)),
     EdgeSource("DID", "events", node(32, "event_id"), node(CUSTOMER, "user_id"), node(EVENT, "event_id"), "customer", "event", {"etype": "event_type", "value": "value", "ts": "ts"}),
-    EdgeSource("FOLLOWS", "events", node(33, "event_id"), node(EVENT, "event_id"), node(EVENT, "after"), "event", "event", derive=next_events, touch=("events", "user_id")),
-    EdgeSource("NEXT", "conversations", node(34, "conv_id * 1000 + turn"), node(TURN, "conv_id * 1000 + turn"), node(TURN, "conv_id * 1000 + after"), "turn", "turn", derive=next_turns, touch=("conversations", "conv_id")),
-    EdgeSource("LINKS_TO", "pages", hashed(35, "page_id, word"), node(PAGE, "page_id"), hashed(TERM, "word"), "page", "term", derive=links, touch=("pages", "page_id")),
-    EdgeSource("SIMILAR_TO", "embeddings", node(36, "vec_id * 10000000L + vec_id2"), node(VECTOR, "vec_id"), node(VECTOR, "vec_id2"), "vector", "vector", {"cosine": "cos"}, derive=similar_vectors, touch=("embeddings", "label")),
-    EdgeSource("SAME_TEXT", "documents", node(37, "doc_id"), node(DOCUMENT, "doc_id"), node(DOCUMENT, "first"), "document", "document", derive=same_text),
+    EdgeSource("FOLLOWS", "events", node(33, "event_id"), node(EVENT, "event_id"), node(EVENT, "after"), "event", "event", derive=next_events, touch=(("events", "user_id"),)),
+    EdgeSource("NEXT", "conversations", node(34, "conv_id * 1000 + turn"), node(TURN, "conv_id * 1000 + turn"), node(TURN, "conv_id * 1000 + after"), "turn", "turn", derive=next_turns, touch=(("conversations", "conv_id"),)),
+    EdgeSource("LINKS_TO", "pages", hashed(35, "page_id, word"), node(PAGE, "page_id"), hashed(TERM, "word"), "page", "term", derive=links, touch=(("pages", "page_id"),)),
+    EdgeSource("SIMILAR_TO", "embeddings", node(36, "vec_id * 10000000L + vec_id2"), node(VECTOR, "vec_id"), node(VECTOR, "vec_id2"), "vector", "vector", {"cosine": "cos"}, derive=similar_vectors, touch=(("embeddings", "label"),)),
+    EdgeSource("SAME_TEXT", "documents", node(37, "doc_id"), node(DOCUMENT, "doc_id"), node(DOCUMENT, "first"), "document", "document", derive=same_text, touch=(("documents", "xxhash64(trim(lower(text)))"),)),
 ]
 
 

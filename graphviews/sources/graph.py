@@ -27,7 +27,13 @@ WEIGHT = "__w"
 
 @dataclass(frozen=True)
 class VertexSource:
-    """Vertices of one kind: id and property expressions over a table."""
+    """Vertices of one kind: id and property expressions over a table.
+
+    derive makes the relation from tables where it is no plain selection of one; tables
+    names all that it reads, if it reads more than its own.  touch=((table, expression), ...)
+    says that the relation falls into independent parts by the expressions' value, so that
+    a change of these tables re-derives only the parts it touches.
+    """
 
     name: str
     table: str
@@ -38,17 +44,13 @@ class VertexSource:
     possible: tuple[str, ...] | None = None  # which those may be; None: any
     where: str | None = None
     derive: Callable[[dict[str, DataFrame]], DataFrame] | None = None
-    touch: tuple[str, str] | None = None
+    touch: tuple[tuple[str, str], ...] = ()
+    tables: tuple[str, ...] = ()
 
 
 @dataclass(frozen=True)
 class EdgeSource:
-    """Edges of one type between the vertices of two sources.
-
-    derive makes the relation from tables where it is no plain selection of one;
-    touch=(table, column) says that it falls into independent parts by that column,
-    so that a change re-derives only the parts it touches.
-    """
+    """Edges of one type between the vertices of two sources; derive, tables and touch as for vertices."""
 
     type: str
     table: str
@@ -60,10 +62,15 @@ class EdgeSource:
     props: dict[str, str] = field(default_factory=dict)
     where: str | None = None
     derive: Callable[[dict[str, DataFrame]], DataFrame] | None = None
-    touch: tuple[str, str] | None = None
+    touch: tuple[tuple[str, str], ...] = ()
     tables: tuple[str, ...] = ()
 
 
+def inputs_of(source: VertexSource | EdgeSource) -> set[str]:
+    """The tables behind a source."""
+    return {source.table, *source.tables}
+
+
 def consolidated(df: DataFrame, positive: bool = False) -> DataFrame:
     """Equal rows merged by adding weights; rows of weight zero vanish."""
     keys = [c for c in df.columns if c != WEIGHT]
@@ -111,7 +118,7 @@ class PropertyGraph:
         if source.derive is None:
             df = self.tables[source.table]
         else:
-            needed = source.tables if isinstance(source, EdgeSource) and source.tables else (source.table,)
+            needed = inputs_of(source)
             weighted = any(WEIGHT in self.tables[t].columns for t in needed)
             inputs = self.tables
             if weighted:  # derived relations see plain rows

@@ -33,11 +33,14 @@ def compared(name: str, of: str, technique, **options) -> None:
 
 
 compared("b_recompute", "m_join", B.recompute)
+compared("b_trigger", "m_join", B.trigger)
 compared("b_algebraic_set", "m_distinct", B.algebraic, semantics="set")
 compared("b_algebraic_bag", "m_join", B.algebraic)
 compared("b_counting", "m_distinct", B.counting)
 compared("b_spj", "m_label_change", B.spj)
 compared("b_outer_delta", "m_outer_theta", B.outer_delta)
+compared("b_semi_delta", "m_semi", B.outer_delta)
+compared("b_anti_delta", "m_anti", B.outer_delta)
 compared("b_value_counts", "m_minmax", B.value_counts)
 compared("b_topk", "m_topk", B.topk)
 
@@ -59,27 +62,35 @@ def _summary(spark, sf_dir):
     return B.summary_delta(plan, graph, changes).withColumn("total", F.round("total", 1))
 
 
-@register("b_outer_agg", f"WITH {M.FINAL} SELECT c_custkey AS c, count(o_orderkey)::BIGINT AS n FROM customer LEFT JOIN orders ON o_custkey = c_custkey AND {M.URGENT} GROUP BY 1")
+OUTER_AGG_SQL = f"WITH {M.FINAL} SELECT c_custkey AS c, count(o_orderkey)::BIGINT AS n FROM customer LEFT JOIN orders ON o_custkey = c_custkey AND {M.URGENT} GROUP BY 1"
+
+
+@register("b_outer_agg", OUTER_AGG_SQL)
 def _outer_agg(spark, sf_dir):
     graph, changes = _mixed(spark, sf_dir)
-    from graphviews.maintenance.network import Network
-
     plan = graph.plans("MATCH (c:Customer) OPTIONAL MATCH (c)-[:PLACED]->(o:Order:Urgent) WHERE o.status = 'F' RETURN c.key AS c, count(o) AS n").flat
-    network = Network(graph, plan, label="b_outer_agg").load()
-    network.refresh(changes)
-    return network.read()
+    return B.outer_agg(plan, graph, changes)
 
 
-@register("b_higher_order", "SELECT c_mktsegment AS s, p_brand AS brand, count(*)::BIGINT AS n, CAST(sum(CAST(l_extendedprice AS DECIMAL(18, 6))) AS DOUBLE) AS total FROM lineitem JOIN orders ON o_orderkey = l_orderkey JOIN customer ON c_custkey = o_custkey JOIN part ON p_partkey = l_partkey GROUP BY 1, 2")
-def _higher_order(spark, sf_dir):
-    graph, batches = M.load_and_changes(spark, sf_dir)
-    out = B.higher_order(graph, batches[0])
-    return out.select(F.col("c_mktsegment").alias("s"), F.col("p_brand").alias("brand"), "n", F.col("total").cast("double").alias("total"))
+@register("b_summary_outer", f"WITH {M.FINAL} SELECT c_mktsegment AS s, count(*)::BIGINT AS rows, count(o_orderkey)::BIGINT AS n, round(sum(o_totalprice), 1) AS total FROM customer LEFT JOIN orders ON o_custkey = c_custkey AND {M.URGENT} GROUP BY 1")
+def _summary_outer(spark, sf_dir):
+    """Summary deltas over an outer join: rows, matches and sums by segment."""
+    graph, changes = _mixed(spark, sf_dir)
+    plan = graph.plans("MATCH (c:Customer) OPTIONAL MATCH (c)-[:PLACED]->(o:Order:Urgent) WHERE o.status = 'F' RETURN c.segment AS s, count(*) AS rows, count(o) AS n, sum(o.totalprice) AS total").flat
+    return B.outer_agg(plan, graph, changes).withColumn("total", F.round("total", 1))
+
 
+@register("b_aggregate_bag", f"WITH {M.FINAL} SELECT count(*)::BIGINT AS n, round(sum(o_totalprice), 1) AS total FROM orders WHERE o_orderpriority = '1-URGENT'")
+def _aggregate_bag(spark, sf_dir):
+    """A count and a sum of everything, from the old value and the change."""
+    graph, changes = _mixed(spark, sf_dir)
+    plan = graph.plans("MATCH (o:Order:Urgent) RETURN count(*) AS n, sum(o.totalprice) AS total").flat
+    return B.algebraic(plan, graph, changes).withColumn("total", F.round("total", 1))
 
-@register("b_higher_order_mixed", f"WITH {M.FINAL} SELECT c_mktsegment AS s, p_brand AS brand, count(*)::BIGINT AS n, CAST(sum(CAST(l_extendedprice AS DECIMAL(18, 6))) AS DOUBLE) AS total FROM lineitem JOIN orders ON o_orderkey = l_orderkey JOIN customer ON c_custkey = o_custkey JOIN part ON p_partkey = l_partkey GROUP BY 1, 2")
-def _higher_order_mixed(spark, sf_dir):
-    """The same view under changes of all four tables."""
+
+@register("b_higher_order", f"WITH {M.FINAL} SELECT c_mktsegment AS s, p_brand AS brand, count(*)::BIGINT AS n, CAST(sum(CAST(l_extendedprice AS DECIMAL(18, 6))) AS DOUBLE) AS total FROM lineitem JOIN orders ON o_orderkey = l_orderkey JOIN customer ON c_custkey = o_custkey JOIN part ON p_partkey = l_partkey GROUP BY 1, 2")
+def _higher_order(spark, sf_dir):
+    """Revenue by segment and brand under changes of all four tables."""
     out = B.higher_order(*_mixed(spark, sf_dir))
     return out.select(F.col("c_mktsegment").alias("s"), F.col("p_brand").alias("brand"), "n", F.col("total").cast("double").alias("total"))
 
