@@ -6,7 +6,8 @@ the root.
 
 * Linear operators apply to a change as to rows.
 * A join takes the change of one side with the new state of the other, and the old
-  state with the other's change.
+  state with the other's change; joins of joins are one node, which takes the change of
+  each input in turn and keeps nothing between them.
 * A grouping keeps partial aggregates, a sort with a limit its best rows (states.py):
   both work on the change and the rows it touches in what they keep.
 * Distinct counts how often its rows stand.
@@ -37,7 +38,8 @@ from graphviews.maintenance.states import MOST_RUNS, GroupState, Runs, Table, To
 from graphviews.operators.lowering import Lowering, shared_variables
 from graphviews.operators.paths import edge_pairs, expand
 from graphviews.plans.expr import column
-from graphviews.plans.ops import Anti, Distinct, Dual, Group, LeftOuter, NaturalJoin, Node, Project, ScanEdges, ScanVertices, Select, Semi, SortTop, TransitiveJoin, Union, Unwind, rewritten
+from graphviews.plans.ops import Anti, Distinct, Dual, Group, LeftOuter, NaturalJoin, Node, Project, ScanEdges, ScanVertices, Select, Semi, SortTop, TransitiveJoin, Union, Unwind, kinds, rewritten
+from graphviews.plans.rewrite import connected, joined_parts
 from graphviews.sources.graph import WEIGHT, PropertyGraph, consolidated, inputs_of, weighted_join
 from graphviews.sources.shared import Run, removed, run_of, stored
 
@@ -123,15 +125,16 @@ class Network:
     state: ``all`` keeps what every operator needs of old rows; ``root`` keeps the view
     alone and recomputes the rest; ``none`` keeps nothing, the view is computed when it is
     read.  folder: where runs lie if they outlive the session.  tables: base tables that
-    several networks share, and whose owner commits them.
+    several networks share, and whose owner commits them.  multiway: joins of joins are one
+    node without inner states; without it every join keeps its inputs.
     """
 
-    def __init__(self, graph: PropertyGraph, plan: Node, state: str = "all", label: str = "view", folder: str | None = None, history: int = HISTORY, tables: dict[str, Table] | None = None):
+    def __init__(self, graph: PropertyGraph, plan: Node, state: str = "all", label: str = "view", folder: str | None = None, history: int = HISTORY, tables: dict[str, Table] | None = None, multiway: bool = True):
         self.graph = graph.with_tables({t: weighted(df) for t, df in graph.tables.items()})
         self.owner = tables is None
         self.tables = base_tables(self.graph, label, folder) if tables is None else tables
         self.plan = primitive_leaves(plan, graph)
-        self.state, self.label, self.folder, self.keep = state, label, folder, history
+        self.state, self.label, self.folder, self.keep, self.multiway = state, label, folder, history, multiway
         self.root = self._build(self.plan)
         self.root.stateful |= self.root.inside is None and state != "none"
         for number, node in enumerate(self.root.walk()):
@@ -144,7 +147,8 @@ class Network:
         self.garbage: list[tuple[int, Run]] = []
 
     def _build(self, op: Node) -> NetNode:
-        node = NetNode(op, [self._build(c) for c in op.children()])
+        parts = joined_parts(op) if self.multiway else [op]
+        node = NetNode(op, [self._build(c) for c in (parts if len(parts) > 2 else op.children())])
         if self.state != "all":
             return node
         if isinstance(op, Group):
@@ -169,7 +173,21 @@ class Network:
             return node.inside.relation(fresh)
         if node.rows and node.rows.parts:
             return node.rows.now(fresh)
-        return Lowering(graph).apply(node.op, [self.relation(c, graph, fresh) for c in node.children])
+        return self._lowered(node, graph, [self.relation(c, graph, fresh) for c in node.children])
+
+    def _lowered(self, node: NetNode, graph: PropertyGraph, inputs: list[DataFrame]) -> DataFrame:
+        """The operator, or a join of more than two inputs, over its inputs' relations."""
+        return self.joined(node, inputs, 0) if len(inputs) > 2 else Lowering(graph).apply(node.op, inputs)
+
+    @staticmethod
+    def joined(node: NetNode, inputs: list[DataFrame], first: int) -> DataFrame:
+        """Natural join of many inputs, from the first on along shared variables."""
+        ops = [c.op for c in node.children]
+        have, out = set(kinds(ops[first])), inputs[first]
+        for i in connected(ops, kinds, first)[1:]:
+            out = weighted_join(out, inputs[i], [n for n in kinds(ops[i]) if n in have])
+            have |= set(kinds(ops[i]))
+        return out
 
     @staticmethod
     def _each(work, nodes: list[NetNode]) -> list:
@@ -198,7 +216,7 @@ class Network:
             return node.inside.relation(False)
         if node.rows and node.rows.parts:
             return node.rows.now()
-        return Lowering(self.graph).apply(node.op, [self._loading(c) for c in node.children])
+        return self._lowered(node, self.graph, [self._loading(c) for c in node.children])
 
     def read(self) -> DataFrame:
         """The view as plain rows."""
@@ -309,7 +327,7 @@ class Network:
         if isinstance(op, LINEAR):
             return apply(op, deltas)
         if isinstance(op, NaturalJoin):
-            return self.join_delta(node, *deltas)
+            return self.multiway_delta(node, deltas) if len(deltas) > 2 else self.join_delta(node, *deltas)
         if isinstance(op, TransitiveJoin):
             return self.transitive_delta(node, *deltas)
         if isinstance(op, SortTop):
@@ -359,6 +377,15 @@ class Network:
             parts.append(weighted_join(self.relation(node.children[0], self.old, False), right, on))
         return added([p.select(*[column(c) for c in parts[0].columns]) for p in parts])
 
+    def multiway_delta(self, node: NetNode, deltas: list[DataFrame | None]) -> DataFrame:
+        """For every input that changes, its change with the new state of those before it and the old state of those behind it, in one join."""
+        parts = []
+        for i, delta in enumerate(deltas):
+            if delta is not None:
+                inputs = [delta if k == i else self.relation(c, self.new if k < i else self.old, k < i) for k, c in enumerate(node.children)]
+                parts.append(self.joined(node, inputs, i))
+        return added([p.select(*[column(c) for c in parts[0].columns]) for p in parts])
+
     def transitive_delta(self, node: NetNode, left: DataFrame | None, edges: DataFrame | None) -> DataFrame | None:
         """New rows walk the new edges; old rows that can reach a changed edge walk anew."""
         op, rows, scan = node.op, node.children[0], node.children[1]

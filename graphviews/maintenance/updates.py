@@ -2,7 +2,8 @@
 
 A statement reads first and writes after: what it matches is fixed before any of its
 changes counts.  Forms: ``CREATE (:L {k: v})``, ``MATCH ... CREATE (a)-[:T {k: v}]->(b)``,
-``MATCH ... SET v.k = expr``, ``MATCH ... REMOVE v.k``, ``MATCH ... [DETACH] DELETE v``.
+``MERGE`` in place of CREATE (what is there already, by labels and the given properties or by ends,
+type and the given properties, is not made again), ``MATCH ... SET v.k = expr``, ``MATCH ... REMOVE v.k``, ``MATCH ... [DETACH] DELETE v``.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ from graphviews.plans.ops import Project, kinds
 from graphviews.plans.parser import Parser
 from graphviews.sources.graph import PropertyGraph
 
-_HEAD = re.compile(r"\b(create|set|remove|detach\s+delete|delete)\b", re.IGNORECASE)
+_HEAD = re.compile(r"\b(create|merge|set|remove|detach\s+delete|delete)\b", re.IGNORECASE)
 
 
 def apply(graph: PropertyGraph, statement: str) -> ChangeSet:
@@ -36,8 +37,8 @@ def apply(graph: PropertyGraph, statement: str) -> ChangeSet:
         plan = parser.plan
     writer = Parser(rest)
     writer.plan = plan
-    if verb == "create":
-        return _create(graph, plan, writer)
+    if verb in ("create", "merge"):
+        return _create(graph, plan, writer, verb == "merge")
     if plan is None:
         raise PlanError(f"{verb} needs a MATCH")
     if verb in ("set", "remove"):
@@ -72,7 +73,18 @@ def _map(writer: Parser) -> dict:
     return values
 
 
-def _create(graph, plan, writer: Parser) -> ChangeSet:
+def _missing(rows: DataFrame, there: DataFrame, tests: dict[str, str], wanted: dict) -> DataFrame:
+    """Different rows for which the table has none with equal columns and properties; null equals nothing, so it is always missing."""
+    rows = rows.distinct()
+    cond = F.lit(True)
+    for mine, own in tests.items():
+        cond = cond & (F.col(f"_new.{mine}") == F.col(f"_old.{own}"))
+    for mine, key in wanted.items():
+        cond = cond & (F.col(f"_new.{mine}") == F.col(f"_old.properties.{key}"))
+    return rows.alias("_new").join(there.alias("_old"), cond, "left_anti")
+
+
+def _create(graph, plan, writer: Parser, merge: bool = False) -> ChangeSet:
     vertices, edges = graph.tables["vertices"], graph.tables["edges"]
     writer.need("(")
     var = writer.name() if writer.tokens[writer.at][0] == "name" else None
@@ -84,10 +96,13 @@ def _create(graph, plan, writer: Parser) -> ChangeSet:
     if writer.peek(""):
         if plan is not None and var in kinds(plan):
             raise PlanError(f"{var} exists")
-        row = graph.spark.range(1) if plan is None else _rows(graph, plan, [("_one", Lit(1))])
+        row = graph.spark.range(1).select(*[to_column(e).alias(f"_p_{k}") for k, e in values.items()]) if plan is None else _rows(graph, plan, [("_one", Lit(1)), *((f"_p_{k}", e) for k, e in values.items())])
+        if merge:
+            there = vertices.where(F.forall(F.array(*map(F.lit, labels)).cast("array<string>"), lambda x: F.array_contains("labels", x)))
+            row = _missing(row, there, {}, {f"_p_{k}": k for k in values}) if values else row.distinct().join(there.limit(1).select("id"), F.lit(True), "left_anti")
         made = row.select(
             (F.lit(_next_id(vertices)) + F.monotonically_increasing_id()).cast("long").alias("id"), F.array(*map(F.lit, labels)).cast("array<string>").alias("labels"),
-            _struct(vertices.schema["properties"].dataType, {k: to_column(e) for k, e in values.items()}).alias("properties"),
+            _struct(vertices.schema["properties"].dataType, {k: F.col(f"_p_{k}") for k in values}).alias("properties"),
         )
         return ChangeSet.inserts(vertices=made)
     if plan is None or var not in kinds(plan):
@@ -107,6 +122,8 @@ def _create(graph, plan, writer: Parser) -> ChangeSet:
         raise PlanError(f"{other} is not bound")
     items = [("_src", Var(other if back else var)), ("_trg", Var(var if back else other)), *((f"_p_{k}", e) for k, e in props.items())]
     rows = _rows(graph, plan, items)
+    if merge:
+        rows = _missing(rows, edges.where(F.col("type") == kind), {"_src": "src", "_trg": "trg"}, {f"_p_{k}": k for k in props})
     made = rows.select(
         (F.lit(_next_id(edges)) + F.monotonically_increasing_id()).cast("long").alias("id"), F.col("_src").alias("src"), F.col("_trg").alias("trg"), F.lit(kind).alias("type"),
         _struct(edges.schema["properties"].dataType, {k: F.col(f"_p_{k}") for k in props}).alias("properties"),

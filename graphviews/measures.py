@@ -1,4 +1,4 @@
-"""Measures of views and plans: times, state, traffic, widths, joins, exactness, crossover, coverage."""
+"""Measures of views and plans: times, state, traffic, widths, joins, exactness, crossover, coverage, lookups."""
 
 from __future__ import annotations
 
@@ -133,3 +133,45 @@ def ablations(graph: PropertyGraph, text: str, mode: str = "trail") -> dict[str,
     """(joins, seconds) of a query with each rewrite switched off."""
     cases = {"all": Options(), "no fusion": Options(fuse=False), "endpoint joins kept": Options(drop_endpoint=False), "no left-deep order": Options(left_deep=False)}
     return {name: (join_count(graph.plans(text, mode, o).flat), timed(graph.query(text, mode, o))) for name, o in cases.items()}
+
+
+def traffic(spark) -> dict[str, int]:
+    """Jobs and stages run so far, bytes shuffled and read; two of them differ by what lies between."""
+    store = spark.sparkContext._jsc.sc().statusStore()
+    jobs = store.jobsList(None)
+    none = spark.sparkContext._gateway.new_array(spark.sparkContext._jvm.double, 0)
+    stages = store.stageList(None, False, False, none, None)
+    out = {"jobs": jobs.size(), "stages": 0, "shuffle_bytes": 0, "input_bytes": 0}
+    for k in range(stages.size()):
+        stage = stages.apply(k)
+        out["stages"] += 1
+        out["shuffle_bytes"] += stage.shuffleWriteBytes()
+        out["input_bytes"] += stage.inputBytes()
+    return out
+
+
+#: One statement for each feature of the language.
+COVERAGE = {
+    "vertex scan": "MATCH (a:A) RETURN a", "property": "MATCH (a) RETURN a.name AS n", "out": "MATCH (a)-[:T]->(b) RETURN a, b", "in": "MATCH (a)<-[:T]-(b) RETURN a, b", "both": "MATCH (a)-[:T]-(b) RETURN a, b",
+    "variable length": "MATCH (a)-[e:T*1..2]->(b) RETURN a, length(e) AS n", "unbounded": "MATCH (a)-[e:T*]->(b) RETURN a, b", "zero hops": "MATCH (a)-[e:T*0..]->(b) RETURN a, b",
+    "several patterns": "MATCH (a)-[:T]->(b), (b)-[:T]->(c) RETURN a, c", "optional": "MATCH (a) OPTIONAL MATCH (a)-[:T]->(b) WHERE a.age < b.age RETURN a, b",
+    "pattern": "MATCH (a) WHERE (a)-[:T]->() RETURN a", "negated pattern": "MATCH (a) WHERE NOT (a)-[:T]->() RETURN a", "pattern under or": "MATCH (a) WHERE a.age > 3 OR (a)-[:T]->() RETURN a",
+    "label test": "MATCH (a) WHERE a:B RETURN a", "unwind": "MATCH (a) UNWIND a.speaks AS s RETURN s", "unwind with place": "MATCH (a) UNWIND a.speaks AS s AT i RETURN s, i",
+    "distinct": "MATCH (a) RETURN DISTINCT a.name AS n", "group": "MATCH (a) RETURN a.name AS n, count(*) AS k", "having": "MATCH (a) WITH a.name AS n, count(*) AS k WHERE k > 1 RETURN n",
+    "order": "MATCH (a) RETURN a.name AS n ORDER BY n DESC SKIP 1 LIMIT 2", "collect": "MATCH (a) RETURN collect(a.name) AS all", "distinct aggregate": "MATCH (a) RETURN count(DISTINCT a.name) AS k",
+}
+
+
+def coverage(graph: PropertyGraph, statements: dict[str, str] = COVERAGE) -> dict[str, str]:
+    """For each statement ``maintained``, ``read`` where only one-time evaluation works, or the error."""
+    out = {}
+    for name, text in statements.items():
+        try:
+            graph.query(text).schema
+            out[name] = "read"
+            Network(graph, graph.plans(text).flat, label="covered").load()
+            out[name] = "maintained"
+        except Exception as error:
+            if name not in out:
+                out[name] = f"{type(error).__name__}: {error}"[:100]
+    return out

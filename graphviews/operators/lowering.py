@@ -65,8 +65,10 @@ class Lowering:
                 return grouped(node, inputs[0])
             case SortTop():
                 return sorted_top(node, inputs[0])
-            case Unwind(items=items, name=name):
+            case Unwind(items=items, name=name, place=None):
                 return inputs[0].select("*", F.explode(to_column(items)).alias(name))
+            case Unwind(items=items, name=name, place=place):
+                return inputs[0].select("*", F.posexplode(to_column(items)).alias("_place", name)).withColumn(place, (F.col("_place") + 1).cast("int")).drop("_place")
             case NaturalJoin(left=a, right=b):
                 return weighted_join(*inputs, shared_variables(a, b))
             case LeftOuter():

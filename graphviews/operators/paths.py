@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from graphviews.plans.expr import PlanError, column
 from graphviews.plans.ops import IN, TransitiveJoin
 from graphviews.sources.graph import WEIGHT, consolidated, weighted_join
-from graphviews.sources.shared import dropped, stored
+from graphviews.sources.shared import dropped, run_of, stored
 
 UNROLLED = 3
 STEP = "array<struct<edge:bigint,src:bigint,trg:bigint>>"
@@ -30,7 +30,7 @@ def expand(seeds: DataFrame, edges: DataFrame, low: int, up: int | None, mode: s
     if mode == "walk" and up is None:
         raise PlanError("walks need an upper bound")
     front = seeds.select("start", F.col("start").alias("end"), F.array().cast(STEP).alias("steps"))
-    hops, made = ([front] if low == 0 else []), []
+    hops = [front] if low == 0 else []
     edges = edges.select("s", "t", "e")
     loop = up is None or up > unrolled or mode == "reach"
     if loop:
@@ -41,7 +41,8 @@ def expand(seeds: DataFrame, edges: DataFrame, low: int, up: int | None, mode: s
         k += 1
         step = front.join(edges, F.col("end") == F.col("s"))
         if mode == "trail":
-            step = step.where(~F.exists("steps", lambda x: x["edge"] == F.col("e")))
+            ends = lambda a, b: F.struct(F.least(a, b), F.greatest(a, b))
+            step = step.where(~F.exists("steps", lambda x: (x["edge"] == F.col("e")) & (ends(x["src"], x["trg"]) == ends(F.col("s"), F.col("t")))))
         grown = F.concat("steps", F.array(F.struct(F.col("e").alias("edge"), F.col("s").alias("src"), F.col("t").alias("trg")))) if keep_path and mode != "reach" else F.col("steps")
         front = step.select("start", F.col("t").alias("end"), grown.alias("steps"))
         if mode == "reach":
@@ -50,9 +51,9 @@ def expand(seeds: DataFrame, edges: DataFrame, low: int, up: int | None, mode: s
             if seen is not None and k >= low:
                 front = front.join(seen, ["start", "end"], "left_anti").select("start", "end", "steps")
         if loop:
-            front = stored(front, "hop")
-            made.append(front)
-            if front.limit(1).count() == 0:
+            run = run_of(front, "hop")
+            front = run.df
+            if not run.rows:
                 break
         if k >= low:
             hops.append(front)
@@ -101,8 +102,9 @@ def shortest(edges: DataFrame, sources: DataFrame, most: int | None = None) -> D
         k += 1
         seen = reduce(DataFrame.unionByName, [x.select("start", "end") for x in levels])
         step = front.join(edges, F.col("end") == F.col("s")).select("start", F.col("t").alias("end")).distinct()
-        front = stored(step.join(seen, ["start", "end"], "left_anti"), "front")
-        if front.limit(1).count() == 0:
+        run = run_of(step.join(seen, ["start", "end"], "left_anti"), "front")
+        front = run.df
+        if not run.rows:
             break
         levels.append(front.withColumn("hops", F.lit(k)))
     return reduce(DataFrame.unionByName, levels)
@@ -110,12 +112,12 @@ def shortest(edges: DataFrame, sources: DataFrame, most: int | None = None) -> D
 
 def doubled(edges: DataFrame) -> DataFrame:
     """Reachable pairs (s, t) over one or more edges, by squaring: as many rounds as the longest distance has bits."""
-    pairs = stored(edges.select("s", "t").distinct(), "pairs")
-    n = pairs.count()
+    first = run_of(edges.select("s", "t").distinct(), "pairs")
+    pairs, n = first.df, first.rows
     while True:
         longer = pairs.alias("a").join(pairs.alias("b"), F.col("a.t") == F.col("b.s")).select("a.s", "b.t")
-        following = stored(pairs.unionByName(longer).distinct(), "pairs")
-        more = following.count()
+        run = run_of(pairs.unionByName(longer).distinct(), "pairs")
+        following, more = run.df, run.rows
         dropped(pairs)
         if more == n:
             return following

@@ -141,6 +141,7 @@ class Unwind(Node):
     child: Node
     items: Any
     name: str
+    place: str | None = None
 
 
 @dataclass(frozen=True)
@@ -191,8 +192,8 @@ def kinds(node: Node) -> dict[str, str]:
             return _named(kinds(c), items)
         case Group(child=c, keys=keys, outs=outs):
             return {**_named(kinds(c), keys), **{n: "value" for n, _ in outs}}
-        case Unwind(child=c, name=n):
-            return {**kinds(c), n: "value"}
+        case Unwind(child=c, name=n, place=p):
+            return {**kinds(c), n: "value", **({p: "value"} if p else {})}
         case NaturalJoin(left=a, right=b) | LeftOuter(left=a, right=b):
             return {**kinds(b), **kinds(a)}
         case Semi(left=a) | Anti(left=a) | Union(left=a):

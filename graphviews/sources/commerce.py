@@ -1,6 +1,8 @@
 """The virtual graph over the given tables: fifteen kinds of vertices, sixteen types of edges.
 
-Ids are the kind times 10^15 plus the natural key.  Edges that no foreign key
+Ids are the kind times 10^15 plus the natural key, or its hash where that is a text or a
+pair; a turn has room for 100,000 in a conversation, a line for 10,000 in an order.  Paths tell
+edges apart by id and both ends, so two pairs of equal hash are not taken for one edge.  Edges that no foreign key
 holds are derived: nearness by a binned range join, order by windows inside a
 partition, hierarchies by arithmetic on keys.
 """
@@ -16,7 +18,7 @@ KIND = 10**15
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 REGION, NATION, CUSTOMER, SUPPLIER, PART, ORDER, TAG, CLASS, EVENT, DOCUMENT, TURN, PAGE, TERM, VECTOR, BENCHMARK = range(1, 16)
 SEGMENTS = ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY")
-NEAR, BRANCHING, SIMILAR = 100, 4, 0.9
+NEAR, BRANCHING, SIMILAR, BLOCKS = 100, 4, 0.9, 16
 
 
 def node(kind: int, key: str) -> str:
@@ -24,8 +26,8 @@ def node(kind: int, key: str) -> str:
 
 
 def hashed(kind: int, key: str) -> str:
-    """Ids of vertices whose natural key is a text: 48 bits of its hash."""
-    return node(kind, f"pmod(xxhash64({key}), 281474976710656L)")
+    """Ids whose natural key is a text or more than one number: its hash, as wide as there is room."""
+    return node(kind, f"pmod(xxhash64({key}), {KIND}L)")
 
 
 def numbered_lines(t: dict[str, DataFrame]) -> DataFrame:
@@ -59,12 +61,17 @@ def links(t: dict[str, DataFrame]) -> DataFrame:
 
 
 def similar_vectors(t: dict[str, DataFrame]) -> DataFrame:
-    """Vectors of one label with a cosine of at least SIMILAR; rows of a label meet in blocks of their ids."""
+    """Vectors of one label with a cosine of at least SIMILAR.
+
+    All vectors of a label meet, in blocks, so that one label of many vectors is many tasks;
+    the bound is too low for any exact index of isotropic vectors to drop pairs.
+    """
     unit = t["embeddings"].select("vec_id", "label", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
     unit = unit.withColumn("n", F.sqrt(F.aggregate("v", F.lit(0.0), lambda s, x: s + x * x))).where("n > 0")
-    a, b = unit, unit.withColumnsRenamed({"vec_id": "vec_id2", "v": "v2", "n": "n2"})
+    a = unit.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(BLOCKS)))
+    b = unit.withColumnsRenamed({"vec_id": "vec_id2", "v": "v2", "n": "n2"}).withColumn("block", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(BLOCKS - 1).cast("long"))))
     dot = F.aggregate(F.zip_with("v", "v2", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    return a.join(b, "label").where(F.col("vec_id") < F.col("vec_id2")).withColumn("cos", dot / (F.col("n") * F.col("n2"))).where(F.col("cos") >= SIMILAR).select("vec_id", "vec_id2", "cos")
+    return a.join(b, ["label", "block"]).where(F.col("vec_id") < F.col("vec_id2")).withColumn("cos", dot / (F.col("n") * F.col("n2"))).where(F.col("cos") >= SIMILAR).select("vec_id", "vec_id2", "cos")
 
 
 def same_text(t: dict[str, DataFrame]) -> DataFrame:
@@ -92,7 +99,7 @@ VERTICES = [
                  "if(labelled, array('Labelled'), array())", ("Labelled",),
                  derive=lambda t: t["documents"].join(t["labels"].withColumn("labelled", F.lit(True)), "doc_id", "left").withColumn("labelled", F.coalesce("labelled", F.lit(False))),
                  tables=("documents", "labels"), touch=(("documents", "doc_id"), ("labels", "doc_id"))),
-    VertexSource("turn", "conversations", node(TURN, "conv_id * 1000 + turn"), ("Text", "Turn"), {"role": "role", "text": "text", "turn": "turn", "conv": "conv_id"}, "array(role)", ("user", "assistant", "system")),
+    VertexSource("turn", "conversations", node(TURN, "conv_id * 100000L + turn"), ("Text", "Turn"), {"role": "role", "text": "text", "turn": "turn", "conv": "conv_id"}, "array(role)", ("user", "assistant", "system")),
     VertexSource("page", "pages", node(PAGE, "page_id"), ("Page",), {"url": "url", "html": "html", "host": "parse_url(url, 'HOST')", "key": "page_id"}),
     VertexSource("term", "pages", hashed(TERM, "word"), ("Term",), {"word": "word"}, derive=lambda t: links(t).select("word").distinct()),
     VertexSource("vector", "embeddings", node(VECTOR, "vec_id"), ("Vector",), {"embedding": "embedding", "cluster": "label", "key": "vec_id"}),
@@ -105,22 +112,22 @@ EDGES = [
     EdgeSource("LOCATED_IN", "customer", node(22, "c_custkey"), node(CUSTOMER, "c_custkey"), node(NATION, "c_nationkey"), "customer", "nation"),
     EdgeSource("LOCATED_IN", "supplier", node(23, "s_suppkey"), node(SUPPLIER, "s_suppkey"), node(NATION, "s_nationkey"), "supplier", "nation"),
     EdgeSource("PLACED", "orders", node(24, "o_orderkey"), node(CUSTOMER, "o_custkey"), node(ORDER, "o_orderkey"), "customer", "orders", {"orderdate": "o_orderdate"}),
-    EdgeSource("CONTAINS", "lineitem", node(25, "l_orderkey * 1000 + line"), node(ORDER, "l_orderkey"), node(PART, "l_partkey"), "orders", "part",
+    EdgeSource("CONTAINS", "lineitem", node(25, "l_orderkey * 10000L + line"), node(ORDER, "l_orderkey"), node(PART, "l_partkey"), "orders", "part",
                {"quantity": "l_quantity", "price": "l_extendedprice", "discount": "l_discount", "tax": "l_tax", "returnflag": "l_returnflag", "linestatus": "l_linestatus", "shipdate": "l_shipdate", "line": "line"},
                derive=numbered_lines, touch=(("lineitem", "l_orderkey"),)),
-    EdgeSource("SHIPPED_BY", "lineitem", node(26, "l_orderkey * 1000 + line"), node(ORDER, "l_orderkey"), node(SUPPLIER, "l_suppkey"), "orders", "supplier", {"quantity": "l_quantity", "line": "line"},
+    EdgeSource("SHIPPED_BY", "lineitem", node(26, "l_orderkey * 10000L + line"), node(ORDER, "l_orderkey"), node(SUPPLIER, "l_suppkey"), "orders", "supplier", {"quantity": "l_quantity", "line": "line"},
                derive=numbered_lines, touch=(("lineitem", "l_orderkey"),)),
-    EdgeSource("SUPPLIES", "lineitem", node(27, "l_suppkey * 10000000L + l_partkey"), node(SUPPLIER, "l_suppkey"), node(PART, "l_partkey"), "supplier", "part",
+    EdgeSource("SUPPLIES", "lineitem", hashed(27, "l_suppkey, l_partkey"), node(SUPPLIER, "l_suppkey"), node(PART, "l_partkey"), "supplier", "part",
                derive=lambda t: t["lineitem"].select("l_suppkey", "l_partkey").distinct(), touch=(("lineitem", "l_suppkey"),)),
     EdgeSource("HAS_TYPE", "part", node(28, "p_partkey"), node(PART, "p_partkey"), hashed(TAG, "p_type"), "part", "tag"),
     EdgeSource("HAS_BRAND", "part", node(29, "p_partkey"), node(PART, "p_partkey"), hashed(CLASS, "p_brand"), "part", "class"),
     EdgeSource("SUBCLASS_OF", "part", node(30, "p_partkey"), node(PART, "p_partkey"), node(PART, f"(p_partkey - 1) div {BRANCHING}"), "part", "part", where="p_partkey > 0"),
-    EdgeSource("KNOWS", "customer", node(31, "k * 10000000L + k2"), node(CUSTOMER, "k"), node(CUSTOMER, "k2"), "customer", "customer", derive=near_customers, touch=(("customer", "c_nationkey"),)),
+    EdgeSource("KNOWS", "customer", hashed(31, "k, k2"), node(CUSTOMER, "k"), node(CUSTOMER, "k2"), "customer", "customer", derive=near_customers, touch=(("customer", "c_nationkey"),)),
     EdgeSource("DID", "events", node(32, "event_id"), node(CUSTOMER, "user_id"), node(EVENT, "event_id"), "customer", "event", {"etype": "event_type", "value": "value", "ts": "ts"}),
     EdgeSource("FOLLOWS", "events", node(33, "event_id"), node(EVENT, "event_id"), node(EVENT, "after"), "event", "event", derive=next_events, touch=(("events", "user_id"),)),
-    EdgeSource("NEXT", "conversations", node(34, "conv_id * 1000 + turn"), node(TURN, "conv_id * 1000 + turn"), node(TURN, "conv_id * 1000 + after"), "turn", "turn", derive=next_turns, touch=(("conversations", "conv_id"),)),
+    EdgeSource("NEXT", "conversations", node(34, "conv_id * 100000L + turn"), node(TURN, "conv_id * 100000L + turn"), node(TURN, "conv_id * 100000L + after"), "turn", "turn", derive=next_turns, touch=(("conversations", "conv_id"),)),
     EdgeSource("LINKS_TO", "pages", hashed(35, "page_id, word"), node(PAGE, "page_id"), hashed(TERM, "word"), "page", "term", derive=links, touch=(("pages", "page_id"),)),
-    EdgeSource("SIMILAR_TO", "embeddings", node(36, "vec_id * 10000000L + vec_id2"), node(VECTOR, "vec_id"), node(VECTOR, "vec_id2"), "vector", "vector", {"cosine": "cos"}, derive=similar_vectors, touch=(("embeddings", "label"),)),
+    EdgeSource("SIMILAR_TO", "embeddings", hashed(36, "vec_id, vec_id2"), node(VECTOR, "vec_id"), node(VECTOR, "vec_id2"), "vector", "vector", {"cosine": "cos"}, derive=similar_vectors, touch=(("embeddings", "label"),)),
     EdgeSource("SAME_TEXT", "documents", node(37, "doc_id"), node(DOCUMENT, "doc_id"), node(DOCUMENT, "first"), "document", "document", derive=same_text, touch=(("documents", "xxhash64(trim(lower(text)))"),)),
 ]
 

@@ -112,6 +112,20 @@ class PropertyGraph:
         ends = [x for e in found for x in ((e.target,) if direction == OUT else (e.source,) if direction == IN else (e.source, e.target))]
         return bool(found) and all(set(labels) <= set(self.vertices[x].labels) for x in ends)
 
+    def estimate(self, leaf) -> float:
+        """Bytes of the tables behind a leaf, as the file system or the plan knows them, shared out by its labels."""
+        edges = not hasattr(leaf, "var")
+        pool = self.edge_sources(leaf.types) if edges else [s for s in self.vertices.values() if self.may_have(s, leaf.labels)]
+        if edges:
+            pool = [s for s in pool if leaf.direction == BOTH or self._may_end(s, leaf)]
+        size = lambda t: float(str(self.tables[t]._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+        labels = () if edges else set(leaf.labels)
+        return sum(size(t) / (1 if edges or labels <= set(s.labels) else 5) for s in pool for t in inputs_of(s))
+
+    def _may_end(self, source: EdgeSource, leaf) -> bool:
+        a, b = (source.source, source.target) if leaf.direction == OUT else (source.target, source.source)
+        return self.may_have(self.vertices[a], leaf.v_labels) and self.may_have(self.vertices[b], leaf.w_labels)
+
     # -- relations
     def base(self, source) -> DataFrame:
         """The rows behind a source; weighted tables give weighted rows."""

@@ -3,15 +3,17 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
-from pyspark.sql import Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphviews.functions.udfs import ancestors, bag_median, keyed_outer_change
 from graphviews.operators.multiway import triangles
 from graphviews.operators.paths import doubled, expand, shortest
-from graphviews.sources.commerce import near_customers, read_tables
-from graphviews.sources.graph import generic_graph
+from graphviews.sources.commerce import CUSTOMER, EDGES, KIND, VERTICES, near_customers, read_tables
+from graphviews.sources.graph import PropertyGraph, generic_graph
+from graphviews.sources.indexer import LeafIndex
 from graphviews.sources.shared import new_path
 from graphviews.workloads.graph import BOTH, CLOSURE, KNOWS
 
@@ -238,3 +240,14 @@ def _roundtrip(t):
     back = generic_graph(spark.read.parquet(where[0]), edges)
     out = back.query("MATCH (c:Customer)-[:PLACED]->(o:Order) WHERE o.status = 'F' RETURN c, o")
     return out.select(F.pmod("c", F.lit(KIND)).alias("c"), F.pmod("o", F.lit(KIND)).alias("o"))
+
+
+@register("u_index_lookup", "SELECT kind, n FROM (SELECT 'parts of type' AS kind, count(*)::BIGINT AS n FROM part UNION ALL SELECT 'urgent orders', count(*) FROM orders WHERE o_orderpriority = '1-URGENT' UNION ALL SELECT 'placed by 7 and 8', count(*) FROM orders WHERE o_custkey IN (7, 8))")
+def _lookup(t):
+    """Numbers of vertices and edges that lookups by label, type and id give."""
+    spark = t["orders"].sparkSession
+    graph = PropertyGraph(spark, t, [v for v in VERTICES if v.name in ("customer", "orders", "part")], [e for e in EDGES if e.type == "PLACED"])
+    index = LeafIndex.build(graph)
+    customers = [CUSTOMER * KIND + k for k in (7, 8)]
+    found = {"parts of type": index.vertices(("Part",)), "urgent orders": index.vertices(("Urgent",)), "placed by 7 and 8": index.edges(("PLACED",), ("Customer",), customers)}
+    return reduce(DataFrame.unionByName, [df.agg(F.count(F.lit(1)).alias("n")).select(F.lit(k).alias("kind"), "n") for k, df in found.items()])

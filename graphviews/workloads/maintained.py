@@ -6,10 +6,12 @@ from collections.abc import Callable
 
 from pyspark.sql import functions as F
 
+from graphviews.maintenance.catalog import ViewCatalog
 from graphviews.maintenance.changes import ChangeSet
 from graphviews.maintenance.network import Network
 from graphviews.sources.commerce import EDGES, VERTICES, read_tables
 from graphviews.sources.graph import PropertyGraph
+from graphviews.sources.shared import new_path
 from graphviews.workloads.graph import CLOSURE, KNOWS, RUNNING, RUNNING_SQL
 
 QUERIES: dict[str, Callable] = {}
@@ -79,9 +81,70 @@ maintained("m_vertex_change", "MATCH (a:Customer)-[:KNOWS]-(b:Customer) WHERE a.
 maintained("m_label_change", "MATCH (c:BUILDING)-[:PLACED]->(o:Order) RETURN c.key AS c, o.key AS o", "SELECT o_custkey AS c, o_orderkey AS o FROM orders JOIN customer ON c_custkey = o_custkey WHERE c_mktsegment = 'BUILDING'")
 maintained("m_global", "MATCH (o:Order:Urgent) RETURN count(*) AS n, max(o.totalprice) AS top", "SELECT count(*)::BIGINT AS n, max(o_totalprice) AS top FROM orders WHERE o_orderpriority = '1-URGENT'")
 maintained("m_multiway", "MATCH (a:Customer)-[:KNOWS]->(b:Customer)-[:KNOWS]->(c:Customer)<-[:KNOWS]-(a) RETURN a.key AS a, b.key AS b, c.segment AS s", f"WITH {KNOWS} SELECT x.a AS a, x.b AS b, c_mktsegment AS s FROM knows x JOIN knows y ON x.b = y.a JOIN knows z ON z.a = x.a AND z.b = y.b JOIN customer ON c_custkey = y.b")
+maintained("m_pattern_or", "MATCH (c:Customer) WHERE c.acctbal > 9000 OR (c)-[:PLACED]->(:Order:Urgent {status: 'F'}) RETURN c.key AS c, c.segment AS s", f"SELECT c_custkey AS c, c_mktsegment AS s FROM customer WHERE c_acctbal > 9000 OR EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND {URGENT})")
 maintained("w_running_maint", RUNNING, RUNNING_SQL, mode="reach")
 
 
+def _two_tables(name: str, text: str, sql: str) -> None:
+    """A view over documents and their labels, where both come and go."""
+    def run(spark, sf_dir):
+        t = read_tables(spark, sf_dir)
+        docs, labels = t["documents"], t["labels"]
+        graph = PropertyGraph(spark, {**t, "documents": docs.where("doc_id % 10 <> 0"), "labels": labels.where("doc_id % 3 <> 0")}, VERTICES, EDGES)
+        network = Network(graph, graph.plans(text).flat, label=name).load()
+        network.refresh(ChangeSet.inserts(documents=docs.where("doc_id % 10 = 0"), labels=labels.where("doc_id % 3 = 0")))
+        network.refresh(ChangeSet.deletes(documents=docs.where("doc_id % 10 = 1"), labels=labels.where("doc_id % 5 = 1")))
+        return network.read()
+
+    QUERIES[name] = run
+    ORACLE_SQL[name] = f"WITH documents AS (SELECT * FROM main.documents WHERE doc_id % 10 <> 1), labels AS (SELECT * FROM main.labels WHERE doc_id % 5 <> 1) {sql}"
+
+
+_two_tables("m_doc_opt", "MATCH (d:Document) OPTIONAL MATCH (d)-[:SAME_TEXT]->(f:Document) WHERE f.toxic = 1 RETURN d.key AS d, d.quality AS quality, f.key AS f",
+            "SELECT d.doc_id AS d, l.quality AS quality, x.f AS f FROM documents d LEFT JOIN labels l USING (doc_id) LEFT JOIN (SELECT c.doc_id, g.f FROM documents c JOIN (SELECT md5(trim(lower(text))) AS m, min(doc_id) AS f FROM documents GROUP BY 1) g ON md5(trim(lower(c.text))) = g.m AND c.doc_id > g.f JOIN labels k ON k.doc_id = g.f AND k.toxic = 1) x ON x.doc_id = d.doc_id")
+_two_tables("m_any_vertex", "MATCH (x) WHERE x.toxic = 1 OR x.lang = 'de' RETURN x.lang AS lang, count(*) AS n, count(x.toxic) AS known",
+            "SELECT lang, count(*)::BIGINT AS n, count(toxic)::BIGINT AS known FROM documents LEFT JOIN labels USING (doc_id) WHERE toxic = 1 OR lang = 'de' GROUP BY 1")
+
+
+MANY = 21
+
+
+def _many_batches(spark, sf_dir):
+    """Sums by segment after a batch for every remainder of the order key; runs and plans stay bounded."""
+    t = read_tables(spark, sf_dir)
+    graph = PropertyGraph(spark, {**t, "orders": t["orders"].limit(0)}, VERTICES, EDGES)
+    network = Network(graph, graph.plans("MATCH (c:Customer)-[:PLACED]->(o:Order) RETURN c.segment AS s, count(*) AS n, round(sum(o.totalprice), 1) AS total, max(o.totalprice) AS top").flat, label="m_many_batches").load()
+    for i in range(MANY):
+        network.refresh(ChangeSet.inserts(orders=t["orders"].where(f"o_orderkey % {MANY} = {i}")), f"batch {i}")
+    return network.read()
+
+
+QUERIES["m_many_batches"] = _many_batches
+ORACLE_SQL["m_many_batches"] = "SELECT c_mktsegment AS s, count(*)::BIGINT AS n, round(sum(o_totalprice), 1) AS total, max(o_totalprice) AS top FROM orders JOIN customer ON c_custkey = o_custkey GROUP BY 1"
+
+
+def _catalogued(policy: str, restart: bool):
+    """A view of a catalogue in a folder, under both batches, with a restart between them."""
+    def run(spark, sf_dir):
+        graph, batches = load_and_changes(spark, sf_dir)
+        folder = new_path(spark, "catalogue")
+        catalog = ViewCatalog(graph, folder if restart else None)
+        catalog.create("spread", "MATCH (c:Customer)-[:PLACED]->(o:Order) RETURN c.segment AS s, o.status AS status, count(*) AS n, min(o.totalprice) AS low", policy=policy)
+        for k, changes in enumerate(batches):
+            catalog.refresh(changes, f"batch {k}")
+            if restart:
+                catalog = ViewCatalog.open(graph, folder)
+                catalog.refresh(changes, f"batch {k}")
+        return catalog.views["spread"].read()
+
+    return run
+
+
+for _name, _policy, _restart in (("m_restart", "immediate", True), ("m_deferred", "deferred", False), ("m_recomputed", "recomputed", False)):
+    QUERIES[_name] = _catalogued(_policy, _restart)
+    ORACLE_SQL[_name] = f"WITH {FINAL} SELECT c_mktsegment AS s, o_orderstatus AS status, count(*)::BIGINT AS n, min(o_totalprice) AS low FROM orders JOIN customer ON c_custkey = o_custkey GROUP BY 1, 2"
+
+
 def _insert_into_tree(spark, sf_dir):
     """Closure of the part tree, where a tenth of the parts comes later."""
     t = read_tables(spark, sf_dir)
