@@ -52,8 +52,9 @@ def _role_in(role: Column) -> Column:
 
 
 def _role_out(role: Column) -> Column:
-    plain = F.replace(F.replace(unescaped(role), F.lit("\\\\"), F.lit("\0")), F.lit("\\n"), F.lit("\n"))
-    return F.replace(plain, F.lit("\0"), F.lit("\\"))
+    # a pair of backslashes is one, between pairs a backslash and n are a line end
+    between = F.split(unescaped(role), r"\\\\", -1)
+    return F.array_join(F.transform(between, lambda x: F.replace(x, F.lit("\\n"), F.lit("\n"))), "\\")
 
 
 def fold_messages(events: DataFrame) -> DataFrame:
@@ -116,14 +117,27 @@ def digests(parsed: DataFrame) -> DataFrame:
     )
 
 
-def events_of_rows(rows: DataFrame) -> DataFrame:
-    """Each row (conv_id, turn, role, text) as the one event of a message of its own."""
+def log_of_rows(rows: DataFrame) -> DataFrame:
+    """Rows (conv_id, turn, role, text) as the log that a chat service would have written of them.
+
+    An answer was begun, regenerated, and then streamed in two deltas; any other turn was
+    sent half written and then edited.  Each row is a message of its own.
+    """
     order = Window.partitionBy("conv_id").orderBy("turn", "role", "text")
+    half = F.floor(F.length("text") / 2).cast("int")
+    begun, rest = F.substring(F.col("text"), F.lit(1), half), F.substring(F.col("text"), half + 1, F.length("text"))
+
+    def event(kind: str, text: Column) -> Column:
+        return F.struct(F.lit(kind).alias("kind"), text.alias("text"))
+
+    answer = F.array(event("delta", begun), event("regenerate", F.lit(None).cast("string")), event("delta", begun), event("delta", rest))
+    other = F.array(event("message", begun), event("edit", F.col("text")))
     return (
         rows.select("conv_id", F.col("turn").cast("long").alias("turn"), F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
         .repartition("conv_id")
         .withColumn("message", F.row_number().over(order).cast("long"))
-        .select("conv_id", F.col("message").alias("seq"), "message", F.lit("message").alias("kind"), "role", "text")
+        .select("conv_id", "message", "role", F.posexplode(F.when(F.col("role") == LOSS_ROLE, answer).otherwise(other)).alias("at", "event"))
+        .select("conv_id", (F.col("message") * 4 + F.col("at")).alias("seq"), "message", "event.kind", "role", "event.text")
     )
 
 
@@ -134,7 +148,7 @@ def op6_chat_format(spark, sf_dir):
         F.lit("</s>[INST] ok [/INST]").alias("text"),
     )
     rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text").unionByName(probe)
-    return digests(parse(render(fold_messages(events_of_rows(rows)))))
+    return digests(parse(render(fold_messages(log_of_rows(rows)))))
 
 
 OP6_SQL = r"""
