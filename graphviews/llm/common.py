@@ -57,21 +57,24 @@ def returned_memory() -> None:
         trim(0)
 
 
-def bounded_batches(df: DataFrame, rows: int = 1000) -> DataFrame:
-    """df, in a session that hands Python at most so many rows of texts at once."""
-    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if not 0 < int(df.sparkSession.conf.get(name)) <= rows:
-        df.sparkSession.conf.set(name, rows)
+def bounded_batches(df: DataFrame, rows: int = 1000, size: int = 64 << 20) -> DataFrame:
+    """df, in a session that hands Python at most so many rows or bytes of texts at once (one row at least)."""
+    for name, most in (("spark.sql.execution.arrow.maxRecordsPerBatch", rows), ("spark.sql.execution.arrow.maxBytesPerBatch", size)):
+        set_ = int(str(df.sparkSession.conf.get(name, str(most + 1))).rstrip("b"))
+        if not 0 < set_ <= most:
+            df.sparkSession.conf.set(name, most)
     return df
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where the session names none."""
+    """The folder that driver and executors share; where the session names none, a temporary one on a local master and an error on a cluster."""
     where = spark.conf.get("spark.checkpoint.dir", None)
     if where is None:
         context = spark.sparkContext
         where = context.getCheckpointDir()
         if where is None:
+            if not context.master.startswith("local"):
+                raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
             context.setCheckpointDir(tempfile.mkdtemp(prefix="graphviews-"))
             where = context.getCheckpointDir()
     return where.rstrip("/")

@@ -295,8 +295,11 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
     plain = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
     hashed = plain.withColumn("text_hash", F.xxhash64("text"))
     signed = stored(bounded_batches(hashed).mapInArrow(_sign, "doc_id long, text_hash long, digest binary, n_shingles long, sig binary, bands array<long>"), "signed")
+    named = F.struct("doc_id", "text_hash")
     classes = stored(
-        signed.where("digest is not null").groupBy("digest").agg(F.min("doc_id").alias("doc_id"), F.first("sig").alias("sig"), F.first("bands").alias("bands")),
+        signed.where("digest is not null").groupBy("digest").agg(
+            F.coalesce(F.min(F.when(F.col("doc_id").isNotNull(), named)), F.min(named)).alias("rep"), F.first("sig").alias("sig"), F.first("bands").alias("bands")
+        ).select("digest", "rep.doc_id", "rep.text_hash", "sig", "bands"),
         "classes",
     )
     similarity = num / den
@@ -308,15 +311,16 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
     hinted = _dealt(members, "bucket", "bi", "bj").mapInArrow(_bucket_links(bar), "a binary, b binary").distinct()
     clusters = components(hinted)
     sized = clusters.join(clusters.groupBy("label").agg(F.count(F.lit(1)).alias("n")), "label")
-    wanted = sized.select(F.col("node").alias("digest"), F.col("label").alias("cluster"), "n").join(classes.select("digest", "doc_id"), "digest")
-    wanted = wanted.withColumnRenamed("doc_id", "rep")
-    texts = blocked(plain.join(wanted.hint("shuffle_hash"), F.col("doc_id").eqNullSafe(F.col("rep"))), "cluster", "n", CLUSTER_BLOCK)
-    texts = texts.select("cluster", "bi", "bj", "own", "digest", "text")
+    wanted = sized.select(F.col("node").alias("digest"), F.col("label").alias("cluster"), "n").join(classes.select("digest", F.col("doc_id").alias("rep"), F.col("text_hash").alias("rep_hash")), "digest")
+    # one text a class, by id and text, so that rows of one id (or none) do not all meet
+    found = hashed.join(wanted.hint("shuffle_hash"), F.col("doc_id").eqNullSafe(F.col("rep")) & (F.col("text_hash") == F.col("rep_hash")))
+    found = found.groupBy("digest").agg(F.first("cluster").alias("cluster"), F.first("n").alias("n"), F.first("text").alias("text"))
+    texts = blocked(found, "cluster", "n", CLUSTER_BLOCK).select("cluster", "bi", "bj", "own", "digest", "text")
     links = _dealt(texts, "cluster", "bi", "bj").mapInArrow(_cluster_links(num, den), "a binary, b binary")
     labels = components(links).withColumnRenamed("node", "digest")
-    named = classes.select("digest", "doc_id").join(labels, "digest", "left").select("digest", "doc_id", F.coalesce("label", "digest").alias("label"))
-    smallest = named.groupBy("label").agg(F.min("doc_id").alias("component_id"))
-    of_class = named.join(smallest, "label").select("digest", "label", "component_id")
+    members_ = classes.select("digest", "doc_id").join(labels, "digest", "left").select("digest", "doc_id", F.coalesce("label", "digest").alias("label"))
+    smallest = members_.groupBy("label").agg(F.min("doc_id").alias("component_id"))
+    of_class = members_.join(smallest, "label").select("digest", "label", "component_id")
     out = signed.select("doc_id", "text_hash", "digest", "n_shingles").join(of_class, "digest", "left")
     component = F.when(F.col("digest").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"), "text_hash", "label")
