@@ -13,6 +13,7 @@ from graphviews.maintenance.network import Network, primitive_leaves
 from graphviews.maintenance.relevance import relevant
 from graphviews.maintenance.states import TopState
 from graphviews.operators.lowering import Lowering, shared_variables
+from graphviews.operators.ordering import between, numbered
 from graphviews.operators.paths import expand
 from graphviews.plans.expr import column, to_column
 from graphviews.plans.ops import Anti, Distinct, Group, LeftOuter, NaturalJoin, Node, Project, ScanEdges, ScanVertices, Select, Semi, SortTop, Union, Unwind
@@ -353,31 +354,49 @@ def _reaching(edges: DataFrame, all_edges: DataFrame) -> DataFrame:
     return expand(edges.select(F.col("s").alias("start")).distinct(), back, 0, None, "reach").select(F.col("end").alias("start"))
 
 
+def path_counts(edges: DataFrame, seeds: DataFrame) -> DataFrame:
+    """(s, t, n): how many paths lead from each seed (start) to each vertex of an acyclic graph; counts are added up hop by hop, no path is made."""
+    step = edges.join(seeds.select(F.col("start").alias("s")).distinct(), "s").groupBy("s", "t").agg(F.count(F.lit(1)).alias("n"))
+    onward = stored(edges.groupBy(F.col("s").alias("by"), F.col("t").alias("u")).agg(F.count(F.lit(1)).alias("m")).withColumnRenamed("by", "t"), "onward")
+    levels = []
+    while True:
+        run = run_of(step, "paths")
+        if not run.rows:
+            break
+        levels.append(run.df)
+        step = run.df.join(onward, "t").groupBy("s", F.col("u").alias("t")).agg(F.sum(F.col("n") * F.col("m")).alias("n"))
+    return reduce(DataFrame.unionByName, levels).groupBy("s", "t").agg(F.sum("n").alias("n")) if levels else run.df
+
+
 def closure_counts(old_edges: DataFrame, inserted: DataFrame, deleted: DataFrame) -> DataFrame:
     """Reachable pairs of an acyclic graph with their numbers of paths; only sources that reach a changed edge count anew."""
-    count = lambda e, seeds: expand(seeds, e, 1, None, "trail").groupBy(F.col("start").alias("s"), F.col("end").alias("t")).agg(F.count(F.lit(1)).alias("n"))
-    old = stored(count(old_edges, old_edges.select(F.col("s").alias("start")).distinct()), "counted")
+    old = stored(path_counts(old_edges, old_edges.select(F.col("s").alias("start"))), "counted")
     new_edges = old_edges.join(deleted.select("e"), "e", "left_anti").unionByName(inserted)
     touched = _reaching(deleted, old_edges).unionByName(_reaching(inserted, new_edges)).distinct()
     less = old.join(touched.select(F.col("start").alias("s")), "s", "left_semi").withColumn("n", -F.col("n"))
-    more = count(new_edges, touched)
+    more = path_counts(new_edges, touched)
     return reduce(DataFrame.unionByName, [old, less, more]).groupBy("s", "t").agg(F.sum("n").alias("n")).where("n > 0")
 
 
-def order_keys(old: DataFrame, inserted: DataFrame, deleted: DataFrame, by: list[str]) -> DataFrame:
-    """A sorted view whose rows carry order keys: new rows get keys between their neighbours', old keys stay."""
+def order_keys(old: DataFrame, inserted: DataFrame, deleted: DataFrame, by: list) -> DataFrame:
+    """A sorted view whose rows carry order keys: new rows get keys between their neighbours', old keys stay.
+
+    Where a gap has no room for another key, all rows are numbered anew.
+    """
     from pyspark.sql import Window
 
-    keyed = stored(old.withColumn("_pos", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy(*by)).cast("double")), "ordered") if "_pos" not in old.columns else old
-    left = keyed.join(deleted.select(*[c for c in keyed.columns if c != "_pos"]), [c for c in keyed.columns if c != "_pos"], "left_anti")
-    both = left.withColumn("_new", F.lit(False)).unionByName(inserted.withColumn("_pos", F.lit(None).cast("double")).withColumn("_new", F.lit(True)))
-    w = Window.partitionBy(F.lit(0)).orderBy(*by)
-    both = both.withColumns({"_low": F.last("_pos", True).over(w.rowsBetween(Window.unboundedPreceding, 0)), "_high": F.first("_pos", True).over(w.rowsBetween(0, Window.unboundedFollowing))})
-    run = Window.partitionBy("_low", "_high").orderBy(*by)
-    size = Window.partitionBy("_low", "_high")
+    keyed = old if "_pos" in old.columns else stored(numbered(old, by, "_pos").withColumn("_pos", F.col("_pos").cast("double")), "ordered")
+    names = [c for c in keyed.columns if c != "_pos"]
+    left = keyed.join(deleted.select(*names), names, "left_anti").withColumn("_new", F.lit(False))
+    both = between(left.unionByName(inserted.select(*names).withColumns({"_pos": F.lit(None).cast("double"), "_new": F.lit(True)})), by, "_pos")
+    gap = Window.partitionBy("_low", "_high")
     low, high = F.coalesce("_low", F.col("_high") - 1, F.lit(0.0)), F.coalesce("_high", F.col("_low") + 1, F.lit(1.0))
-    both = both.withColumn("_pos", F.when(F.col("_new"), low + (high - low) * F.row_number().over(run) / (F.count(F.lit(1)).over(size) + 1)).otherwise(F.col("_pos")))
-    return both.drop("_low", "_high", "_new")
+    # old rows stand between their own key and itself, so they are gaps of one row
+    key = F.when(F.col("_new"), low + (high - low) * F.row_number().over(gap.orderBy(*by)) / (F.count(F.lit(1)).over(gap) + 1)).otherwise(F.col("_pos"))
+    made = run_of(both.withColumn("_pos", key).drop("_low", "_high", "_new"), "ordered")
+    if made.df.select("_pos").distinct().count() < made.rows:
+        return numbered(made.df.drop("_pos"), by, "_pos").withColumn("_pos", F.col("_pos").cast("double"))
+    return made.df
 
 
 def topk(plan: SortTop, graph: PropertyGraph, changes: ChangeSet, spare: int = 50) -> tuple[DataFrame, bool]:

@@ -39,7 +39,7 @@ from graphviews.operators.lowering import Lowering, shared_variables
 from graphviews.operators.paths import edge_pairs, expand
 from graphviews.plans.expr import column
 from graphviews.plans.ops import Anti, Distinct, Dual, Group, LeftOuter, NaturalJoin, Node, Project, ScanEdges, ScanVertices, Select, Semi, SortTop, TransitiveJoin, Union, Unwind, kinds, rewritten
-from graphviews.plans.rewrite import connected, joined_parts
+from graphviews.plans.rewrite import connected, joined_parts, pushed
 from graphviews.sources.graph import WEIGHT, PropertyGraph, consolidated, inputs_of, weighted_join
 from graphviews.sources.shared import Run, removed, run_of, stored
 
@@ -133,7 +133,7 @@ class Network:
         self.graph = graph.with_tables({t: weighted(df) for t, df in graph.tables.items()})
         self.owner = tables is None
         self.tables = base_tables(self.graph, label, folder) if tables is None else tables
-        self.plan = primitive_leaves(plan, graph)
+        self.plan = primitive_leaves(pushed(plan), graph)
         self.state, self.label, self.folder, self.keep, self.multiway = state, label, folder, history, multiway
         self.root = self._build(self.plan)
         self.root.stateful |= self.root.inside is None and state != "none"

@@ -32,17 +32,16 @@ def expand(seeds: DataFrame, edges: DataFrame, low: int, up: int | None, mode: s
     front = seeds.select("start", F.col("start").alias("end"), F.array().cast(STEP).alias("steps"))
     hops = [front] if low == 0 else []
     edges = edges.select("s", "t", "e")
-    loop = up is None or up > unrolled or mode == "reach"
-    if loop:
-        edges = stored(edges, "edges")
+    if up is not None and up <= unrolled and mode != "reach":
+        return _unrolled(front, edges, low, up, mode)
+    edges = stored(edges, "edges")
     seen = front.select("start", "end") if low == 0 else None
     k = 0
     while up is None or k < up:
         k += 1
         step = front.join(edges, F.col("end") == F.col("s"))
         if mode == "trail":
-            ends = lambda a, b: F.struct(F.least(a, b), F.greatest(a, b))
-            step = step.where(~F.exists("steps", lambda x: (x["edge"] == F.col("e")) & (ends(x["src"], x["trg"]) == ends(F.col("s"), F.col("t")))))
+            step = step.where(~F.exists("steps", lambda x: (x["edge"] == F.col("e")) & (_ends(x["src"], x["trg"]) == _ends(F.col("s"), F.col("t")))))
         grown = F.concat("steps", F.array(F.struct(F.col("e").alias("edge"), F.col("s").alias("src"), F.col("t").alias("trg")))) if keep_path and mode != "reach" else F.col("steps")
         front = step.select("start", F.col("t").alias("end"), grown.alias("steps"))
         if mode == "reach":
@@ -50,11 +49,10 @@ def expand(seeds: DataFrame, edges: DataFrame, low: int, up: int | None, mode: s
             # ends of fewer hops than low are no answers yet: longer walks may come back to them
             if seen is not None and k >= low:
                 front = front.join(seen, ["start", "end"], "left_anti").select("start", "end", "steps")
-        if loop:
-            run = run_of(front, "hop")
-            front = run.df
-            if not run.rows:
-                break
+        run = run_of(front, "hop")
+        front = run.df
+        if not run.rows:
+            break
         if k >= low:
             hops.append(front)
             if mode == "reach":
@@ -65,6 +63,27 @@ def expand(seeds: DataFrame, edges: DataFrame, low: int, up: int | None, mode: s
     return reduce(DataFrame.unionByName, hops)
 
 
+def _ends(a, b):
+    """The two ends of an edge, in no direction."""
+    return F.struct(F.least(a, b), F.greatest(a, b))
+
+
+def _unrolled(front: DataFrame, edges: DataFrame, low: int, up: int, mode: str) -> DataFrame:
+    """Paths as one plan: a hop's edge is three columns, and where no one reads the steps Spark drops the arrays."""
+    front, hops = front.select("start", "end"), []
+    for k in range(up + 1):
+        if k:
+            new = [f"_s{k}", f"_t{k}", f"_e{k}"]
+            step = front.join(edges.toDF(*new), F.col("end") == F.col(f"_s{k}"))
+            for j in range(1, k) if mode == "trail" else ():
+                step = step.where((F.col(f"_e{j}") != F.col(f"_e{k}")) | (_ends(F.col(f"_s{j}"), F.col(f"_t{j}")) != _ends(F.col(f"_s{k}"), F.col(f"_t{k}"))))
+            front = step.select("start", F.col(f"_t{k}").alias("end"), *[f"_{c}{j}" for j in range(1, k + 1) for c in "ste"])
+        if k >= low:
+            steps = [F.struct(F.col(f"_e{j}").alias("edge"), F.col(f"_s{j}").alias("src"), F.col(f"_t{j}").alias("trg")) for j in range(1, k + 1)]
+            hops.append(front.select("start", "end", F.array(*steps).cast(STEP).alias("steps")))
+    return reduce(DataFrame.unionByName, hops)
+
+
 def indexed(steps, direction: str):
     """Steps as (index from 1, edge, src, trg) along edge direction."""
     turned = F.reverse(steps) if direction == IN else steps
@@ -85,10 +104,17 @@ def edge_pairs(scan: DataFrame, node: TransitiveJoin) -> DataFrame:
     return there.withColumn("_n", F.explode(F.sequence(F.lit(1).cast("long"), F.col(WEIGHT)))).select("s", "t", "e")
 
 
-def transitive_join(node: TransitiveJoin, left: DataFrame, scan: DataFrame) -> DataFrame:
-    """Rows of left with each path from v: its edge list and end."""
-    seeds = left.select(column(node.v).alias("start")).where("start is not null").distinct()
-    found = expand(seeds, edge_pairs(scan, node), node.low, node.up, node.mode)
+def transitive_join(node: TransitiveJoin, left: DataFrame, scan: DataFrame, ends: DataFrame | None = None) -> DataFrame:
+    """Rows of left with each path from v: its edge list and end; with ends, the paths to those alone, found from there."""
+    edges = edge_pairs(scan, node)
+    if ends is None:
+        seeds = left.select(column(node.v).alias("start")).where("start is not null").distinct()
+        found = expand(seeds, edges, node.low, node.up, node.mode)
+    else:
+        seeds = ends.select(column(node.w).alias("start")).distinct()
+        back = expand(seeds, edges.select(F.col("t").alias("s"), F.col("s").alias("t"), "e"), node.low, node.up, node.mode)
+        turned = F.transform(F.reverse("steps"), lambda x: F.struct(x["edge"].alias("edge"), x["trg"].alias("src"), x["src"].alias("trg")))
+        found = back.select(F.col("end").alias("start"), F.col("start").alias("end"), turned.alias("steps"))
     paths = found.select(F.col("start").alias(node.v), indexed(F.col("steps"), node.direction).alias(node.e), F.col("end").alias(node.w))
     return weighted_join(left, paths, [node.v])
 

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from graphviews.plans.expr import PlanError
-from graphviews.sources.shared import stored
+from graphviews.sources.shared import run_of, stored
 
 _PART = re.compile(r"\s*(\^?[A-Za-z_]\w*|[()|*+?/])")
 
@@ -102,8 +102,9 @@ def regular_paths(spark: SparkSession, seeds: DataFrame, edges: DataFrame, patte
     while True:
         step = front.join(F.broadcast(table), "q").join(both, (F.col("end") == F.col("s")) & (both["type"] == table["type"]))
         step = step.select("start", F.col("t").alias("end"), F.col("q2").alias("q")).distinct()
-        front = stored(step.join(reduce(DataFrame.unionByName, seen), ["start", "end", "q"], "left_anti"), "front")
-        if front.limit(1).count() == 0:
+        run = run_of(step.join(reduce(DataFrame.unionByName, seen), ["start", "end", "q"], "left_anti"), "front")
+        front = run.df
+        if not run.rows:
             break
         seen.append(front)
     return reduce(DataFrame.unionByName, seen).where(F.col("q").isin(*sorted(ends))).select("start", "end").distinct()

@@ -87,7 +87,10 @@ class WalkVar(Node):
 
 @dataclass(frozen=True)
 class TransitiveJoin(Node):
-    """Rows of child with the paths that start at v; edges is an edge scan."""
+    """Rows of child with the paths that start at v; edges is an edge scan.
+
+    ends, if given, has the only vertices w that matter; paths are then walked back from them.
+    """
 
     child: Node
     edges: Node
@@ -98,6 +101,7 @@ class TransitiveJoin(Node):
     up: int | None
     mode: str
     direction: str
+    ends: Node | None = None
 
 
 @dataclass(frozen=True)

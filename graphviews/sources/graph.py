@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from graphviews.plans.expr import LABELS, SOURCE, TARGET, TYPE, flat
 from graphviews.plans.ops import BOTH, IN, OUT, Node
 from graphviews.plans.parser import parse
-from graphviews.plans.rewrite import Options, Plans, compiled
+from graphviews.plans.rewrite import Options, Plans, compiled, pushed, seeking_ends
 
 WEIGHT = "__w"
 
@@ -255,7 +255,7 @@ class PropertyGraph:
         """One-time evaluation."""
         from graphviews.operators.lowering import Lowering
 
-        return Lowering(self).df(self.plans(query, mode, options).flat)
+        return Lowering(self).df(seeking_ends(pushed(self.plans(query, mode, options).flat)))
 
 
 def _plain_rows(df: DataFrame) -> DataFrame:

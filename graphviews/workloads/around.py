@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from graphviews.functions.udfs import ancestors, bag_median, keyed_outer_change
 from graphviews.operators.multiway import triangles
 from graphviews.operators.paths import doubled, expand, shortest
+from graphviews.operators.regular import regular_paths
 from graphviews.sources.commerce import CUSTOMER, EDGES, KIND, VERTICES, near_customers, read_tables
 from graphviews.sources.graph import PropertyGraph, generic_graph
 from graphviews.sources.indexer import LeafIndex
@@ -251,3 +252,15 @@ def _lookup(t):
     customers = [CUSTOMER * KIND + k for k in (7, 8)]
     found = {"parts of type": index.vertices(("Part",)), "urgent orders": index.vertices(("Urgent",)), "placed by 7 and 8": index.edges(("PLACED",), ("Customer",), customers)}
     return reduce(DataFrame.unionByName, [df.agg(F.count(F.lit(1)).alias("n")).select(F.lit(k).alias("kind"), "n") for k, df in found.items()])
+
+
+@register("o_regular", f"WITH RECURSIVE {CLOSURE}, above AS (SELECT c, p FROM up UNION SELECT p_partkey, p_partkey FROM part) SELECT DISTINCT o_custkey AS c, above.p AS p FROM orders JOIN lineitem ON l_orderkey = o_orderkey JOIN above ON above.c = l_partkey")
+def _regular(t):
+    """Customers and the parts they bought, or that those are below: a pattern of edge types."""
+    spark = t["orders"].sparkSession
+    graph = PropertyGraph(spark, t, VERTICES, EDGES)
+    kinds = ("PLACED", "CONTAINS", "SUBCLASS_OF")
+    edges = reduce(DataFrame.unionByName, [graph.scan_edges("s", (), "e", (k,), "t", (), ends=False).select(F.lit(k).alias("type"), "s", "t") for k in kinds])
+    seeds = graph.scan_vertices("start", ("Customer",)).select("start")
+    found = regular_paths(spark, seeds, edges, "PLACED/CONTAINS/SUBCLASS_OF*")
+    return found.select(F.pmod("start", F.lit(KIND)).alias("c"), F.pmod("end", F.lit(KIND)).alias("p"))

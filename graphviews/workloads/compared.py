@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import functions as F
 
 from graphviews.baselines import techniques as B
+from graphviews.operators.ordering import numbered
 from graphviews.sources.commerce import EDGES, VERTICES, commerce, read_tables
 from graphviews.sources.graph import PropertyGraph
 from graphviews.workloads import maintained as M
@@ -124,11 +125,9 @@ def _closure(spark, sf_dir):
 @register("b_order_keys", f"WITH {M.FINAL} SELECT o_orderkey AS o, row_number() OVER (ORDER BY o_totalprice DESC, o_orderkey) AS place FROM orders")
 def _order_keys(spark, sf_dir):
     """Orders by price with order keys; the place is read off the keys alone."""
-    from pyspark.sql import Window
-
     orders = read_tables(spark, sf_dir)["orders"].select("o_orderkey", "o_totalprice")
     out = B.order_keys(orders.where("o_orderkey % 10 <> 0"), orders.where("o_orderkey % 10 = 0"), orders.where("o_orderkey % 10 = 1"), [F.col("o_totalprice").desc(), F.col("o_orderkey")])
-    return out.select(F.col("o_orderkey").alias("o"), F.row_number().over(Window.orderBy("_pos")).cast("long").alias("place"))
+    return numbered(out, [F.col("_pos")], "place").select(F.col("o_orderkey").alias("o"), F.col("place").cast("long").alias("place"))
 
 
 @register("b_triples", "SELECT c_mktsegment AS s, count(*)::BIGINT AS n FROM customer JOIN orders ON o_custkey = c_custkey WHERE o_orderstatus = 'F' GROUP BY 1")

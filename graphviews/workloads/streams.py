@@ -66,12 +66,12 @@ def _dedup(spark, sf_dir):
     return last_result(twice.dropDuplicatesWithinWatermark(["event_id"]).select(F.col("event_id").alias("e"), F.col("event_type").alias("kind")), "append")
 
 
-def _files(spark, sf_dir, files: int):
-    """The events dealt to so many files, one a micro-batch, rows in no order of time."""
+def _files(spark, sf_dir, files: int, by: str = "event_id"):
+    """The events dealt to so many files by a number, one a micro-batch; by id, rows come in no order of time."""
     events = read_tables(spark, sf_dir, ["events"])["events"]
     path = new_path(spark, "events")
     for i in range(files):
-        events.where(F.pmod("event_id", F.lit(files)) == i).coalesce(1).write.mode("append").parquet(path)
+        events.where(F.pmod(F.expr(by), F.lit(files)) == i).coalesce(1).write.mode("append").parquet(path)
     return path, events.schema
 
 
@@ -89,7 +89,7 @@ def _stateful(spark, sf_dir):
 
 def _streamed_view(spark, sf_dir, text: str):
     t = read_tables(spark, sf_dir)
-    path, schema = _files(spark, sf_dir, 3)
+    path, schema = _files(spark, sf_dir, 3, "unix_date(to_date(ts))")  # whole days come together
     graph = PropertyGraph(spark, {**t, "events": t["events"].limit(0)}, VERTICES, EDGES)
     network = Network(graph, graph.plans(text).flat, label="streamed").load()
     maintain(folder_stream(spark, path, schema), "events", network)
