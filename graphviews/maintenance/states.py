@@ -177,10 +177,11 @@ class GroupState:
                 lost = lost | F.coalesce(out >= own if a.name == "max" else out <= own, F.lit(False))
                 moved = (F.greatest if a.name == "max" else F.least)(own, F.col(f"_in{i}"))
                 merged = merged.withColumn(f"_moved{i}", moved)
-        marked = run_of(merged.withColumn("_lost", lost), f"{self.partials.label}-moved").df
+        run = run_of(merged.withColumn("_lost", lost), f"{self.partials.label}-moved", mark=F.col("_lost"))
+        marked = run.df
         moved = marked.where("not _lost").select(*self.names, *self.sums, *[F.col(f"_moved{c[2:]}").alias(c) if f"_moved{c[2:]}" in marked.columns else F.col(c) for c in self.finals])
         lost_ = marked.where("_lost")
-        if not lost_.limit(1).count():
+        if not run.marked:
             return moved
         values = among(self.values.now(True), lost_.select(*self.names), self.names)
         again = among(lost_.select(*self.names, *self.sums), self.recomputed(values), self.names, "left")

@@ -6,7 +6,7 @@ import tempfile
 import uuid
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, Observation, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -42,16 +42,20 @@ class Run:
     df: DataFrame
     rows: int
     path: str
+    marked: int = 0  # rows that met the condition counted besides
 
 
-def run_of(df: DataFrame, label: str, folder: str | None = None) -> Run:
+def run_of(df: DataFrame, label: str, folder: str | None = None, mark: Column | None = None) -> Run:
     """df written as a table, in the folder if one is given (and left there at the session's end); rows are counted by the write itself."""
     path = f"{folder}/{label}-{uuid.uuid4().hex}" if folder else new_path(df.sparkSession, label)
     counted = Observation()
-    df.observe(counted, F.count(F.lit(1)).alias("n")).write.parquet(path)
+    marked = F.count_if(mark) if mark is not None else F.count_if(F.lit(False))
+    df.observe(counted, F.count(F.lit(1)).alias("n"), marked.alias("marked")).write.parquet(path)
     back = df.sparkSession.read.schema(df.schema).parquet(path)
-    n = counted.get.get("n")  # missing where the plan turned out to be empty
-    return Run(back, back.count() if n is None else n, path)
+    if "n" in (got := counted.get):
+        return Run(back, got["n"], path, got["marked"])
+    # the plan turned out to be empty, and the counts with it
+    return Run(back, back.count(), path, back.where(mark).count() if mark is not None else 0)
 
 
 def stored(df: DataFrame, label: str) -> DataFrame:
