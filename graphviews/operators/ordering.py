@@ -41,6 +41,8 @@ def between(df: DataFrame, by: list[Column], key: str) -> DataFrame:
     rows = [(r["_part"], a, b) for r, a, b in zip(ends, lows, reversed(highs))]
     around = df.sparkSession.createDataFrame(rows, f"_part int, _from {dict(df.dtypes)[key]}, _to {dict(df.dtypes)[key]}")
     w = Window.partitionBy("_part").orderBy(*by)
-    inside = {"_low": F.last(key, True).over(w.rowsBetween(Window.unboundedPreceding, 0)), "_high": F.first(key, True).over(w.rowsBetween(0, Window.unboundedFollowing))}
+    # a frame up to the end of the range would be read anew for every row; the next known key is one pass
+    following = F.expr(f"lead(`{key}`) ignore nulls").over(w)
+    inside = {"_low": F.last(key, True).over(w.rowsBetween(Window.unboundedPreceding, 0)), "_high": F.coalesce(F.col(key), following)}
     out = parts.withColumns(inside).join(F.broadcast(around), "_part")
     return out.withColumns({"_low": F.coalesce("_low", "_from"), "_high": F.coalesce("_high", "_to")}).drop("_part", "_from", "_to")
